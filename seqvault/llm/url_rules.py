@@ -86,11 +86,11 @@ def judge(pages: DataFrame, rules: DataFrame, default: str = DEFAULT, id_col: st
 
 JUDGE_SQL = """
 WITH cut AS (
-  SELECT page_id, coalesce(url, '') AS u, strpos(coalesce(url, ''), '://') AS at FROM pages
+  SELECT page_id, coalesce(url, '') AS u, strpos(coalesce(url, ''), '://') AS mark FROM pages
 ), parts AS (
   SELECT page_id,
-    CASE WHEN at = 0 THEN '' ELSE regexp_extract(substr(u, at + 3), '^[^/?#]*') END AS raw,
-    CASE WHEN at = 0 THEN '' ELSE regexp_extract(substr(u, at + 3), '^[^/?#]*([^?#]*)', 1) END AS path
+    CASE WHEN mark = 0 THEN '' ELSE regexp_extract(substr(u, mark + 3), '^[^/?#]*') END AS raw,
+    CASE WHEN mark = 0 THEN '' ELSE regexp_extract(substr(u, mark + 3), '^[^/?#]*([^?#]*)', 1) END AS path
   FROM cut
 ), named AS (
   SELECT page_id, translate(raw, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, path FROM parts
