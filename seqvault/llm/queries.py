@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from seqvault.llm import mixing, token_count, token_file, url_rules
+from seqvault.llm import mixing, quality, token_count, token_file, toxicity, url_rules
 from seqvault.sources.tables import table
 
 
@@ -16,6 +16,11 @@ def vocabulary(name: str = "byte_bpe_50k.json") -> str:
     return public_tokenizers.path(name)
 
 
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return toxicity.score_documents(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
+
+
 def op5_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_rules.judge(table(spark, sf_dir, "pages"), url_rules.rule_table(spark, url_rules.RULES))
 
@@ -32,8 +37,13 @@ def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_file.write_token_files(table(spark, sf_dir, "documents"), vocabulary()).digest()
 
 
+def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return quality.score_documents(docs, quality.fit(docs, table(spark, sf_dir, "labels")))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op5_url_rules, op6_token_counts, op7_mixing, op8_token_files)}
+    return {f.__name__: f for f in (op1_toxicity, op5_url_rules, op6_token_counts, op7_mixing, op8_token_files, op9_quality)}
 
 
 def oracle_sql() -> dict[str, str]:
