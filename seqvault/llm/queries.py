@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from seqvault.llm import mixing, quality, simhash_trie, token_count, token_file, toxicity, url_rules
+from seqvault.llm import decontaminate, mixing, quality, simhash_trie, token_count, token_file, toxicity, url_rules
 from seqvault.sources.tables import table
 
 
@@ -21,6 +21,10 @@ def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score_documents(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
 
 
+def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_trie.near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -47,7 +51,7 @@ def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_toxicity, op3_simhash, op5_url_rules, op6_token_counts, op7_mixing, op8_token_files, op9_quality)}
+    return {f.__name__: f for f in (op1_toxicity, op2_decontaminate, op3_simhash, op5_url_rules, op6_token_counts, op7_mixing, op8_token_files, op9_quality)}
 
 
 def oracle_sql() -> dict[str, str]:
