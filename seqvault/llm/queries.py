@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from seqvault.llm import decontaminate, mixing, quality, simhash_trie, token_count, token_file, toxicity, url_rules
+from seqvault.llm import decontaminate, embedding_join, mixing, quality, simhash_trie, token_count, token_file, toxicity, url_rules
 from seqvault.sources.tables import table
 
 
@@ -29,6 +29,10 @@ def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_trie.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op4_embedding_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embedding_join.near_duplicates(table(spark, sf_dir, "embeddings"))
+
+
 def op5_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_rules.judge(table(spark, sf_dir, "pages"), url_rules.rule_table(spark, url_rules.RULES))
 
@@ -51,7 +55,7 @@ def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_toxicity, op2_decontaminate, op3_simhash, op5_url_rules, op6_token_counts, op7_mixing, op8_token_files, op9_quality)}
+    return {f.__name__: f for f in (op1_toxicity, op2_decontaminate, op3_simhash, op4_embedding_join, op5_url_rules, op6_token_counts, op7_mixing, op8_token_files, op9_quality)}
 
 
 def oracle_sql() -> dict[str, str]:
