@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from seqvault.llm import decontaminate, embedding_join, mixing, quality, simhash_trie, token_count, token_file, toxicity, url_rules
+from seqvault.llm import decontaminate, embedding_join, mixing, quality, simhash_trie, suffix_dedup, token_count, token_file, toxicity, url_rules
 from seqvault.sources.tables import table
 
 
@@ -54,8 +54,12 @@ def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.score_documents(docs, quality.fit(docs, table(spark, sf_dir, "labels")))
 
 
+def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.remove_repeats(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_toxicity, op2_decontaminate, op3_simhash, op4_embedding_join, op5_url_rules, op6_token_counts, op7_mixing, op8_token_files, op9_quality)}
+    return {f.__name__: f for f in (op1_toxicity, op2_decontaminate, op3_simhash, op4_embedding_join, op5_url_rules, op6_token_counts, op7_mixing, op8_token_files, op9_quality, op10_suffix_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
