@@ -16,6 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from seqvault.llm.keys import ROW, with_row_key
 from seqvault.operators.barrier import barrier
 from seqvault.operators.prefix import PART, place_by_range, running_sum
 
@@ -87,7 +88,7 @@ def solve_tilts(counts: DataFrame, sources: DataFrame, cap: float, rounds: int =
 
 def mix(docs: DataFrame, weights: list[float] = (5.0, 2.0, 1.0), share: float = 1.5, cap: float = 2.0, offsets: int = 32) -> DataFrame:
     """doc_id, size, source_size, target, taken, copies, rate of every row of ``docs``."""
-    key = [c for c in ("_row",) if c in docs.columns]
+    key = [c for c in (ROW,) if c in docs.columns]
     sized = barrier(docs.select("doc_id", *key, source_key(F.col("source")).alias("skey"), word_size(F.col("text")).alias("size")), "sizes")
     counts = barrier(sized.groupBy("skey", "size").agg(F.count(F.lit(1)).alias("n")), "counts")
     sources = counts.groupBy("skey").agg(F.sum(F.col("size") * F.col("n")).alias("source_size"), F.sum(F.when(F.col("size") > 0, F.col("n"))).alias("n"))
@@ -114,14 +115,15 @@ def mix(docs: DataFrame, weights: list[float] = (5.0, 2.0, 1.0), share: float =
     return chosen.select("doc_id", *key, "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"), "copies", "rate")
 
 
-def _few(sources: DataFrame, most: int = 100_000) -> bool:
-    """Whether the table of sources is small enough to be sent to every task."""
-    return sources.limit(most + 1).count() <= most
+def _few(rows: DataFrame, most: int = 100_000) -> bool:
+    """Whether a table of short rows is small enough to be sent to every task."""
+    return rows.limit(most + 1).count() <= most
 
 
 def mixed_documents(docs: DataFrame, **options) -> DataFrame:
-    """The rows of ``docs``, each as often as the mix takes it."""
+    """The rows of ``docs``, each as often as the mix takes it, with the same columns."""
     columns = docs.columns
-    numbered = barrier(docs.withColumn("_row", F.monotonically_increasing_id()), "numbered")
-    taken = mix(numbered, **options).filter("copies > 0").select("_row", "copies")
-    return numbered.join(taken, "_row").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select(*columns)
+    keyed = with_row_key(docs)
+    taken = barrier(mix(keyed, **options).filter("copies > 0").select(ROW, F.col("copies").cast("int").alias("_copies")), "taken")
+    joined = keyed.join(F.broadcast(taken) if _few(taken, 200_000) else taken, ROW)
+    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*columns)
