@@ -45,8 +45,10 @@ GRAM = 32
 PIECE = 1 << 19
 #: A place is part << SHIFT | byte offset in the part.
 SHIFT = 40
-#: Contexts sorted at once in a task.
-CHUNK = 60_000
+#: Bytes of texts worked on at once.
+SLICE = 4 << 20
+#: Contexts cut or sorted at once in a task.
+CHUNK = 16_000
 LOW = np.uint64((1 << 20) - 1)
 
 
@@ -117,6 +119,17 @@ def _texts(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return data, offsets[:-1] - offsets[0], offsets[1:] - offsets[0]
 
 
+def sliced(batches: Iterator[pa.RecordBatch], text: int) -> Iterator[pa.RecordBatch]:
+    """The rows of ``batches`` in pieces with about SLICE bytes of column ``text``; a longer text is one piece."""
+    for batch in batches:
+        column = batch.column(text)
+        sizes = np.diff(np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + len(column) + 1]) if len(column) else np.zeros(0)
+        piece = (np.cumsum(sizes, dtype=np.int64) - sizes) // SLICE
+        cuts = np.concatenate([[0], np.flatnonzero(np.diff(piece)) + 1, [len(column)]]).tolist()
+        for low, high in zip(cuts, cuts[1:], strict=False):
+            yield batch.slice(low, high - low)
+
+
 class PartMarks:
     """The marks of a part, read from a table that was written by part; one part is held at a time."""
 
@@ -147,7 +160,7 @@ def numbered_texts(docs: DataFrame) -> DataFrame:
 
     def number(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at = TaskContext.get().partitionId() << SHIFT
-        for batch in batches:
+        for batch in sliced(batches, 1):
             data, first, _ = _texts(batch.column(1))
             # empty texts take one byte of numbering, so that places are unique
             sizes = np.diff(np.append(first, len(data)))
@@ -170,7 +183,7 @@ def repeated_runs(texts: DataFrame, depth: int, hot: int) -> DataFrame:
     """place and hot flag of the window runs whose q-gram hash occurs more than once."""
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in sliced(batches, 0):
             data, first, last = _texts(batch.column(0))
             h, start, _, _ = window_runs(data, first, last, depth)
             base = batch.column(1).to_numpy() - first
@@ -187,7 +200,7 @@ def contexts(texts: DataFrame, marks: str, depth: int, hot: bool) -> DataFrame:
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         wanted = PartMarks(marks, ["place", "hot"])
-        for batch in batches:
+        for batch in sliced(batches, 0):
             data, first, last = _texts(batch.column(0))
             h, start, count, rel = window_runs(data, first, last, depth)
             places = batch.column(1).to_numpy()
@@ -366,7 +379,7 @@ def apply_marks(texts: DataFrame, marks: str, depth: int, keep_text: bool) -> Da
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         wanted = PartMarks(marks, ["place", "n"])
-        for batch in batches:
+        for batch in sliced(batches, 1):
             data, first, last = _texts(batch.column(1))
             rows: list[tuple] = []
             for i, place in enumerate(batch.column(2).to_pylist()):
