@@ -12,7 +12,9 @@ manifest and an empty digest. Other columns are not read.
 
 from __future__ import annotations
 
+import string
 import zlib
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -22,6 +24,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from seqvault.llm.token_count import byte_letters
 from seqvault.operators.barrier import barrier, scratch_path
 from seqvault.operators.shared_fs import AtomicFile, resolve
 
@@ -140,22 +143,79 @@ class TokenFiles:
         return self.manifest.select("shard", "base").repartition(shards).mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
-_TOKENIZERS: dict = {}
+class MemoEncoder:
+    """The tokenizers library's ids of whole texts, with the ids of words it has met remembered.
 
+    The byte-level pre-token pattern never joins what stands on both sides of a single blank between two other
+    characters, and gives the blank to what follows. So such a text is its first word and then words with a blank before,
+    each encoded alone. A word of letters with punctuation marks after it is two pre-tokens, which go to the library's
+    merge model; any other word goes through the whole library. Texts with other white space beside a blank are encoded
+    whole. The memo has two generations of ``room`` words.
+    """
 
-def tokenizer(path: str):
-    """One tokenizer per worker process; long texts are never cut."""
-    if path not in _TOKENIZERS:
+    def __init__(self, path: str, width: np.dtype, room: int):
         from tokenizers import Tokenizer
 
-        _TOKENIZERS[path] = loaded = Tokenizer.from_file(path)
-        loaded.no_truncation()
-        loaded.no_padding()
-    return _TOKENIZERS[path]
-
-
-def write_token_files(docs: DataFrame, vocabulary: str, end_id: int = 2, length: int = 2048, vocab_size: int = 50_257, folder: str | None = None) -> TokenFiles:
-    """Encode every text, append ``end_id``, and write the ids in ascending doc_id order."""
+        self.library = Tokenizer.from_file(path)
+        self.library.no_truncation()
+        self.library.no_padding()
+        self.merge = self.library.model.tokenize
+        self.width, self.room, self.code = width, room, "H" if width.itemsize == 2 else "I"
+        self.young: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+        letters = byte_letters()
+        self.as_letters = lambda text: "".join([letters[b] for b in text.encode()])
+        self.blank = letters[ord(" ")]
+
+    def whole(self, text: str) -> bytes:
+        return np.array(self.library.encode(text, add_special_tokens=False).ids, self.width).tobytes()
+
+    def piece(self, letters: str) -> bytes:
+        return array(self.code, [t.id for t in self.merge(letters)]).tobytes()
+
+    def word(self, word: str) -> bytes:
+        """Ids of a new word as they are after a blank."""
+        stem = word.rstrip(string.punctuation)
+        if not stem.isalpha():
+            return self.whole(f" {word}")
+        ids = self.young.get(stem) or self.old.get(stem)
+        if ids is None:
+            ids = self.piece(self.blank + (stem if stem.isascii() else self.as_letters(stem)))
+        return ids if len(stem) == len(word) else ids + self.piece(word[len(stem) :])
+
+    def encode(self, text: str | None) -> bytes:
+        """Ids of a whole text as little-endian bytes of the encoder's width."""
+        first, *words = (text or "").split(" ")
+        if first and first[-1].isspace():
+            return self.whole(text)
+        if len(self.young) > self.room:
+            self.old, self.young = self.young, {}
+        young, old = self.young, self.old
+        for word in set(words).difference(young):
+            if (ids := old.get(word)) is None:
+                if not word or word[0].isspace() or word[-1].isspace():
+                    return self.whole(text)
+                ids = self.word(word)
+            young[word] = ids
+        return (self.whole(first) if first else b"") + b"".join(map(young.__getitem__, words))
+
+
+_ENCODERS: dict = {}
+
+
+def encoder(path: str, width: np.dtype, room: int) -> MemoEncoder:
+    """One encoder and memo per worker process."""
+    key = (path, str(width), room)
+    if key not in _ENCODERS:
+        _ENCODERS[key] = MemoEncoder(path, width, room)
+    return _ENCODERS[key]
+
+
+def write_token_files(docs: DataFrame, vocabulary: str, end_id: int = 2, length: int = 2048, vocab_size: int = 50_257, memo: int = 500_000, folder: str | None = None) -> TokenFiles:
+    """Encode every text, append ``end_id``, and write the ids in ascending doc_id order.
+
+    ``memo``: words that a worker remembers in each of two generations, at about 200 bytes a word.
+    """
     spark: SparkSession = docs.sparkSession
     target = folder or scratch_path(spark, "tokens")
     width = np.dtype("<u2" if max(vocab_size, end_id + 1) <= 1 << 16 else "<u4")
@@ -167,20 +227,18 @@ def write_token_files(docs: DataFrame, vocabulary: str, end_id: int = 2, length:
             first = next(batches, None)
         if first is None:
             return
-        encode = tokenizer(vocabulary).encode_batch_fast
-        tail = np.array([end_id], width)
+        encode = encoder(vocabulary, width, memo).encode
+        tail = np.array([end_id], width).tobytes()
         docs_seen = 0
         with AtomicFile(f"{target}/seq-{shard:06d}.arrow") as data, AtomicFile(f"{target}/doc-{shard:06d}.arrow") as index:
             sequences, lines = SequenceWriter(data, length, width), pa.ipc.new_file(index, DOC_SCHEMA)
             batch = first
             while batch is not None:
                 texts, starts, counts = batch.column(1), [], []
-                for low in range(0, batch.num_rows, 64):
-                    for encoded in encode([t or "" for t in texts.slice(low, 64).to_pylist()], add_special_tokens=False):
-                        starts.append(sequences.total)
-                        sequences.add(np.array(encoded.ids, width))
-                        sequences.add(tail)
-                        counts.append(sequences.total - starts[-1])
+                for text in texts:
+                    starts.append(sequences.total)
+                    sequences.add(np.frombuffer(encode(text.as_py()) + tail, width))
+                    counts.append(sequences.total - starts[-1])
                 docs_seen += batch.num_rows
                 lines.write_batch(pa.record_batch([batch.column(0), pa.array(starts, pa.int64()), pa.array(counts, pa.int64())], schema=DOC_SCHEMA))
                 batch = next(batches, None)
