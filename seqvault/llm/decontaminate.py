@@ -122,12 +122,14 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, words: int = 5, similari
         pieces = cut if pieces is None else pieces.unionByName(cut)
     pieces = barrier(pieces.distinct(), "pieces")
 
-    contents = pieces.select("n", "content").distinct().withColumn("fp", simhash(F.col("content")))
+    # small in bytes and heavy in work: dealt out by number, and each fingerprint is made once
+    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    contents = barrier(pieces.select("n", "content").distinct().repartition(parts).withColumn("fp", simhash(F.col("content"))), "contents")
     left = contents.select("n", "content", "fp", F.explode(blocks(F.col("fp"), radius)).alias("x")).select("n", "content", "fp", "x.*")
     right = entries.select("n", "item_id", "shingles", F.col("fp").alias("fp2"), F.explode(blocks(F.col("fp"), radius)).alias("x")).select("n", "item_id", "shingles", "fp2", "x.*")
     near = left.join(right, ["n", "block", "value"]).filter(F.bit_count(F.col("fp").bitwiseXOR(F.col("fp2"))) <= radius)
     verified = (
-        near.select("n", "content", "item_id", "shingles").distinct()
+        near.select("n", "content", "item_id", "shingles").distinct().repartition(parts)
         .withColumn("similarity", weighted_similarity(F.col("content"), F.col("shingles")))
         .filter(F.col("similarity") >= similarity)
         .select("n", "content", "item_id", "similarity")
