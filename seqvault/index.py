@@ -145,7 +145,7 @@ _OPEN: dict = {}
 
 def open_shard(path: str, shard: int, meta: dict, key: bytes) -> ShardFM:
     """One opened shard per worker process, path and key; the last few stay open."""
-    name = (path, shard, meta["salt"], meta["bs"], hash(key))
+    name = (path, shard, meta["salt"], meta["bs"], meta["pad_wildcards"], hash(key))
     if name not in _OPEN:
         if len(_OPEN) >= 4:
             _OPEN.pop(next(iter(_OPEN)))
