@@ -24,6 +24,7 @@ from seqvault.operators import hits as H
 from seqvault.operators.barrier import barrier, scratch_path
 from seqvault.sources import fasta, views
 from seqvault.sources.tables import table
+from seqvault.streaming import delta
 from seqvault.workloads import DEMO_KEY, MEDIAN_LENGTHS, SEED, collection
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -198,6 +199,43 @@ def _windowed_hits(spark: SparkSession, sf_dir: str) -> DataFrame:
     return hits.join(numbered, ["item_no", "at"]).groupBy(F.date_trunc("day", "ts").alias("day")).agg(F.count(F.lit(1)).alias("n"))
 
 
+def _event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events as a stream of four files in time order, one a batch."""
+    letter = F.coalesce(*[F.when(F.col("event_type") == k, F.lit(v)) for k, v in views.EVENT_LETTERS.items()], F.lit("X"))
+    rows = table(spark, sf_dir, "events").select("user_id", F.col("ts").cast("timestamp").alias("ts"), "event_id", "event_type", letter.alias("x"))
+    path = scratch_path(spark, "events")
+    cuts = rows.selectExpr("percentile_approx(ts, array(0.25, 0.5, 0.75), 1000) AS c").first()[0]
+    bounds = [None, *cuts, None]
+    for low, high in zip(bounds, bounds[1:], strict=False):
+        part = rows.filter(F.lit(True) if low is None else F.col("ts") >= F.lit(low)).filter(F.lit(True) if high is None else F.col("ts") < F.lit(high))
+        part.coalesce(1).write.mode("append").parquet(path)
+    return spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(path)
+
+
+def _drained(stream: DataFrame, mode: str) -> DataFrame:
+    """What a finite stream gives in the end, written batch by batch to the shared folder."""
+    spark = stream.sparkSession
+    out, kept = scratch_path(spark, "stream"), scratch_path(spark, "stream-state")
+    last: dict = {}
+
+    def take(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/{number:06d}")
+        last["n"] = number
+
+    stream.writeStream.outputMode(mode).foreachBatch(take).option("checkpointLocation", kept).trigger(availableNow=True).start().awaitTermination()
+    paths = [f"{out}/{last['n']:06d}"] if mode == "complete" else [f"{out}/{i:06d}" for i in range(last["n"] + 1)]
+    return spark.read.parquet(*paths)
+
+
+def _stream_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    counts = delta.windowed_counts(_event_stream(spark, sf_dir), "1 hour", None, "1 day")
+    return _drained(counts, "complete").select(F.col("window.start").cast("timestamp_ntz").alias("hour"), "event_type", "n")
+
+
+def _stream_watch(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _drained(delta.watch(_event_stream(spark, sf_dir), PATHS), "append").select(F.col("user_id").alias("item_no"), "pattern", F.col("at").alias("offset"))
+
+
 def _strategy_equal(spark: SparkSession, sf_dir: str) -> DataFrame:
     """strategy, differs: rows in which each strategy's transform differs from brute force; all 0."""
     truth = barrier(_names_bwt("bruteforce")(spark, sf_dir), "truth")
@@ -293,6 +331,8 @@ def _registered() -> dict[str, tuple[Query, str | None]]:
     q["click_paths"] = (lambda s, d: _path_index(s, d).locate(_path_patterns(s)), PATH_SQL)
     q["click_paths_k7"] = (lambda s, d: _path_index(s, d, k=7).locate(_path_patterns(s)), PATH_SQL)
     q["windowed_hits"] = (_windowed_hits, f"WITH {views.EVENT_SQL}, pats(pattern_id, pattern) AS (VALUES (1, 'VCP')), {scan_sql('paths', 'pats')}, numbered AS (SELECT user_id AS item_no, ts, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1 AS spot FROM events) SELECT date_trunc('day', n.ts)::TIMESTAMP AS day, count(*) AS n FROM hits h JOIN numbered n ON n.item_no = h.item_no AND n.spot = h.\"offset\" + 2 GROUP BY 1")
+    q["stream_windows"] = (_stream_windows, "SELECT date_trunc('hour', ts)::TIMESTAMP AS hour, event_type, count(*) AS n FROM events GROUP BY ALL")
+    q["stream_watch"] = (_stream_watch, PATH_SQL.replace('SELECT pattern_id, item_no, "offset" FROM hits', 'SELECT item_no, pattern, "offset" FROM hits JOIN pats USING (pattern_id)'))
     q["fasta_roundtrip"] = (_fasta_roundtrip, f"WITH {views.NUC_SQL} SELECT 'doc' || item_no AS seq_id, seq FROM nuc")
     for name in ("consensus_a", "consensus_b", "consensus_c", "random100", "random500"):
         q[f"w_{name}"] = _workload(name)
