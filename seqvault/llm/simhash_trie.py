@@ -33,10 +33,10 @@ from seqvault.operators.barrier import barrier
 LOWER = bytes.maketrans(string.ascii_uppercase.encode(), string.ascii_lowercase.encode())
 #: Rows of ids that may be sent to every task; beyond that the join is shuffled.
 SMALL = 200_000
-#: Entries per top node aimed at; with more entries the join starts deeper.
-PER_NODE = 8_192
-#: Pairs of top nodes walked at once in a task.
-ROOTS = 16
+#: Entries per top node aimed at, for each fingerprint of a document; with more entries the join starts deeper.
+PER_NODE = 1 << 14
+#: Pairs of nodes walked at once in a task; more are put aside and walked later.
+PAIRS = 40_000
 
 
 def shingle_hashes(text: str | None, words: int) -> np.ndarray:
@@ -103,10 +103,10 @@ def trie_join(keys: np.ndarray, roots: np.ndarray, depth: int, radius: int) -> t
     else:
         ends = lambda paths: np.full(len(paths), len(keys))
     a, b = roots[:, 0].astype(np.uint64), roots[:, 1].astype(np.uint64)
-    pairs = np.stack([edge(a), ends(a), edge(b), ends(b), np.bitwise_count(a ^ b).astype(np.int64)])
+    aside = [(depth, np.stack([edge(a), ends(a), edge(b), ends(b), np.bitwise_count(a ^ b).astype(np.int64)]).astype(np.int32))]
     out: list[tuple[np.ndarray, np.ndarray]] = []
-    level = depth
-    while pairs.shape[1]:
+    while aside:
+        level, pairs = aside.pop()
         pairs = pairs[:, (pairs[0] < pairs[1]) & (pairs[2] < pairs[3]) & (pairs[4] <= radius)]
         single = (pairs[1] - pairs[0] == 1) & (pairs[3] - pairs[2] == 1)
         if single.any():
@@ -114,27 +114,27 @@ def trie_join(keys: np.ndarray, roots: np.ndarray, depth: int, radius: int) -> t
             near = (i != j) & (np.bitwise_count(keys[i] ^ keys[j]) <= radius)
             out.append((i[near], j[near]))
             pairs = pairs[:, ~single]
-        if level == 64 or not pairs.shape[1]:
-            break
+        n = pairs.shape[1]
+        if level == 64 or not n:
+            continue
+        if n > PAIRS:
+            aside += [(level, pairs[:, low : low + PAIRS]) for low in range(0, n, PAIRS)]
+            continue
         bit = np.uint64(1 << (63 - level))
         firsts = np.concatenate([pairs[0], pairs[2]])
         lasts = np.concatenate([pairs[1], pairs[3]])
-        # the first key of the node with the bit cleared below gives the split value
-        prefix = keys[firsts] & ~np.uint64((1 << (64 - level)) - 1) if level else np.zeros(len(firsts), np.uint64)
-        cuts = np.clip(np.searchsorted(keys, prefix | bit), firsts, lasts)
-        n = pairs.shape[1]
+        # the path of a node with the next bit set gives the value that splits it
+        path = keys[firsts] & ~np.uint64((1 << (64 - level)) - 1) if level else np.zeros(len(firsts), np.uint64)
+        cuts = np.clip(np.searchsorted(keys, path | bit), firsts, lasts).astype(np.int32)
         al, am, ah, bl, bm, bh, err = pairs[0], cuts[:n], pairs[1], pairs[2], cuts[n:], pairs[3], pairs[4]
-        same = al == bl
-        pairs = np.concatenate(
-            [
-                np.stack([al, am, bl, bm, err]),
-                np.stack([am, ah, bm, bh, err]),
-                np.stack([al, am, bm, bh, err + 1]),
-                np.stack([am, ah, bl, bm, err + 1])[:, ~same],
-            ],
-            axis=1,
-        )
-        level += 1
+        twice = al == bl
+        children = [
+            np.stack([al, am, bl, bm, err]),
+            np.stack([am, ah, bm, bh, err]),
+            np.stack([al, am, bm, bh, err + 1]),
+            np.stack([am, ah, bl, bm, err + 1])[:, ~twice],
+        ]
+        aside.append((level + 1, np.concatenate(children, axis=1)))
     empty = np.zeros(0, np.int64)
     return (np.concatenate([o[0] for o in out]), np.concatenate([o[1] for o in out])) if out else (empty, empty)
 
@@ -147,12 +147,12 @@ def neighbour_masks(depth: int, radius: int) -> list[int]:
     return sorted(masks)
 
 
-def fingerprint_links(entries: DataFrame, radius: int, n: int) -> DataFrame:
+def fingerprint_links(entries: DataFrame, radius: int, n: int, seeds: int = 1) -> DataFrame:
     """Edges ``a``, ``b`` between nodes that span all links within ``radius`` bits.
 
     ``entries``: seed, fp, node; ``n``: how many have one seed. A node links with those of its own seed only.
     """
-    depth = max(0, min(24, (max(1, n // PER_NODE) - 1).bit_length()))
+    depth = min(24, max(0, n // (PER_NODE * seeds)).bit_length())
     path = F.shiftrightunsigned("fp", 64 - depth) if depth else F.lit(0).cast("long")
     other = F.explode(F.array(*[F.lit(m).cast("long") for m in neighbour_masks(depth, radius)]))
     spread = entries.select("seed", "fp", "node", path.alias("p"), other.alias("mask"))
@@ -173,11 +173,9 @@ def fingerprint_links(entries: DataFrame, radius: int, n: int) -> DataFrame:
             np.minimum.at(first, spot, node)
             more = node != first[spot]
             pairs = [(node[more], first[spot[more]])]
-            for low in range(0, len(roots), ROOTS):
-                i, j = trie_join(keys, roots[low : low + ROOTS], depth, radius)
-                label = local_components(i, j, len(keys))
-                linked = np.flatnonzero(label != np.arange(len(keys)))
-                pairs.append((first[linked], first[label[linked]]))
+            label = local_components(*trie_join(keys, roots, depth, radius), len(keys))
+            linked = np.flatnonzero(label != np.arange(len(keys)))
+            pairs.append((first[linked], first[label[linked]]))
             yield pa.record_batch([pa.array(np.concatenate(x)) for x in zip(*pairs, strict=True)], names=["a", "b"])
 
     return sent.repartition("seed", "p", "q").mapInArrow(join, "a long, b long")
@@ -189,12 +187,12 @@ def near_duplicates(docs: DataFrame, words: int = 3, radius: int = 2) -> DataFra
     return components_of(marked, radius).select("doc_id", F.lower(F.lpad(F.hex(F.get("fps", F.lit(0))), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def components_of(marked: DataFrame, radius: int) -> DataFrame:
+def components_of(marked: DataFrame, radius: int, seeds: int = 1) -> DataFrame:
     """``marked`` (doc_id, fps) with component_id. Rows with equal fingerprints are one node."""
     node = F.when(F.size("fps") == 1, F.get("fps", F.lit(0))).otherwise(F.coalesce("least", F.xxhash64("fps")))
     entries = barrier(marked.groupBy("fps").agg(F.min("doc_id").alias("least")).withColumn("node", node), "entries")
     single = entries.select("node", F.posexplode("fps").alias("seed", "fp")).select(F.col("seed").cast("long").alias("seed"), "fp", "node")
-    groups = connected_components(fingerprint_links(single, radius, entries.count())).withColumnRenamed("component", "root")
+    groups = connected_components(fingerprint_links(single, radius, entries.count(), seeds)).withColumnRenamed("component", "root")
     rooted = entries.join(groups, "node", "left").select("fps", "least", F.coalesce("root", "node").alias("root"))
     lowest = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
     named = barrier(rooted.join(lowest, "root").select("fps", "component_id"), "named")
@@ -212,6 +210,6 @@ def one_of_each(docs: DataFrame, words: int = 2, seeds: int = 12, radius: int =
     columns = docs.columns
     keyed = with_row_key(docs)
     marked = barrier(fingerprints(keyed, words, seeds, ROW), "fingerprints")
-    gone = barrier(components_of(marked, radius).filter("doc_id <> component_id").select(F.col("doc_id").alias(ROW)), "copies")
+    gone = barrier(components_of(marked, radius, seeds).filter("doc_id <> component_id").select(F.col("doc_id").alias(ROW)), "copies")
     few = gone.count() <= SMALL
     return keyed.join(F.broadcast(gone) if few else gone, ROW, "left_anti").select(*columns)
