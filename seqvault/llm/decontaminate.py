@@ -140,7 +140,8 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, words: int = 5, similari
 def decontaminated(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
     """The rows of ``docs`` that no item contaminates, with the same columns."""
     bad = barrier(contaminated(docs, benchmark, **options).select("_id", "_hash").distinct(), "leaks")
-    return docs.join(_small(bad), F.col("doc_id").eqNullSafe(F.col("_id")) & (F.xxhash64("text") == F.col("_hash")), "left_anti")
+    packed = docs.select(F.struct(*docs.columns).alias("doc"))
+    return packed.join(_small(bad), F.col("doc.doc_id").eqNullSafe(F.col("_id")) & (F.xxhash64("doc.text") == F.col("_hash")), "left_anti").select("doc.*")
 
 
 def report(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:

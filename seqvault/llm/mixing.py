@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from seqvault.llm.keys import ROW, with_row_key
+from seqvault.llm.keys import ROW, unpacked, with_row_key
 from seqvault.operators.barrier import barrier
 from seqvault.operators.prefix import PART, place_by_range, running_sum
 
@@ -86,9 +86,9 @@ def solve_tilts(counts: DataFrame, sources: DataFrame, cap: float, rounds: int =
     return state.select("skey", "source_size", "target", "mean", "lam")
 
 
-def mix(docs: DataFrame, weights: list[float] = (5.0, 2.0, 1.0), share: float = 1.5, cap: float = 2.0, offsets: int = 32) -> DataFrame:
-    """doc_id, size, source_size, target, taken, copies, rate of every row of ``docs``."""
-    key = [c for c in (ROW,) if c in docs.columns]
+def mix(docs: DataFrame, weights: list[float] = (5.0, 2.0, 1.0), share: float = 1.5, cap: float = 2.0, offsets: int = 32, row: str | None = None) -> DataFrame:
+    """doc_id, size, source_size, target, taken, copies, rate of every row of ``docs``; ``row``: a key to carry along."""
+    key = [row] if row else []
     sized = barrier(docs.select("doc_id", *key, source_key(F.col("source")).alias("skey"), word_size(F.col("text")).alias("size")), "sizes")
     counts = barrier(sized.groupBy("skey", "size").agg(F.count(F.lit(1)).alias("n")), "counts")
     sources = counts.groupBy("skey").agg(F.sum(F.col("size") * F.col("n")).alias("source_size"), F.sum(F.when(F.col("size") > 0, F.col("n"))).alias("n"))
@@ -122,8 +122,7 @@ def _few(rows: DataFrame, most: int = 100_000) -> bool:
 
 def mixed_documents(docs: DataFrame, **options) -> DataFrame:
     """The rows of ``docs``, each as often as the mix takes it, with the same columns."""
-    columns = docs.columns
     keyed = with_row_key(docs)
-    taken = barrier(mix(keyed, **options).filter("copies > 0").select(ROW, F.col("copies").cast("int").alias("_copies")), "taken")
+    taken = barrier(mix(keyed, row=ROW, **options).filter("copies > 0").select(ROW, F.col("copies").cast("int").alias("_copies")), "taken")
     joined = keyed.join(F.broadcast(taken) if _few(taken, 200_000) else taken, ROW)
-    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*columns)
+    return unpacked(joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))))

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from seqvault.llm.graph import connected_components, local_components
-from seqvault.llm.keys import ROW, with_row_key
+from seqvault.llm.keys import ROW, unpacked, with_row_key
 from seqvault.operators.barrier import barrier
 
 LOWER = bytes.maketrans(string.ascii_uppercase.encode(), string.ascii_lowercase.encode())
@@ -207,9 +207,8 @@ def components_of(marked: DataFrame, radius: int, seeds: int = 1) -> DataFrame:
 
 def one_of_each(docs: DataFrame, words: int = 2, seeds: int = 12, radius: int = 2) -> DataFrame:
     """The rows of ``docs``, one of each group of near duplicates (the smallest id), with the same columns."""
-    columns = docs.columns
     keyed = with_row_key(docs)
     marked = barrier(fingerprints(keyed, words, seeds, ROW), "fingerprints")
     gone = barrier(components_of(marked, radius, seeds).filter("doc_id <> component_id").select(F.col("doc_id").alias(ROW)), "copies")
     few = gone.count() <= SMALL
-    return keyed.join(F.broadcast(gone) if few else gone, ROW, "left_anti").select(*columns)
+    return unpacked(keyed.join(F.broadcast(gone) if few else gone, ROW, "left_anti"))
