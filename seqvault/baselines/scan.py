@@ -2,15 +2,32 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
 def scan_locate(items: DataFrame, patterns: DataFrame) -> DataFrame:
-    """pattern_id, item_no, offset by scanning. The few patterns go to every task; a containment test precedes positions."""
+    """pattern_id, item_no, offset by scanning. The few patterns go to every task; a containment test precedes positions.
+
+    Positions are found in Arrow batches, in one walk over an item: SQL's substring counts characters from the start for
+    every position of a long item.
+    """
     held = items.select("item_no", "seq").join(F.broadcast(patterns.select("pattern_id", "pattern")), F.col("seq").contains(F.col("pattern")) & (F.col("pattern") != ""))
-    places = F.filter(F.sequence(F.lit(0), F.length("seq") - F.length("pattern")), lambda i: F.substring(F.col("seq"), i + 1, F.length("pattern")) == F.col("pattern"))
-    return held.select("pattern_id", "item_no", F.explode(places).alias("o")).select("pattern_id", "item_no", F.col("o").cast("long").alias("offset"))
+
+    def places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out: list[tuple[int, int, int]] = []
+            for number, item, pattern, seq in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                at = seq.find(pattern)
+                while at >= 0:
+                    out.append((number, item, at))
+                    at = seq.find(pattern, at + 1)
+            yield pa.record_batch([pa.array([o[i] for o in out], pa.int64()) for i in range(3)], names=["pattern_id", "item_no", "offset"])
+
+    return held.select(F.col("pattern_id").cast("long"), F.col("item_no").cast("long"), "pattern", "seq").mapInArrow(places, "pattern_id long, item_no long, offset long")
 
 
 def scan_sql(items: str, patterns: str) -> str:

@@ -55,7 +55,7 @@ def _index(spark: SparkSession, sf_dir: str, name: str, items: Callable[[], Data
 
 
 def sealed(spark: SparkSession, sf_dir: str, **changes) -> Index:
-    return _index(spark, sf_dir, "nuc", lambda: nuc(spark, sf_dir).select("item_no", "seq_id", "seq"), replace(IndexParams(bs=1024), **changes))
+    return _index(spark, sf_dir, "nuc", lambda: nuc(spark, sf_dir).select("item_no", "seq_id", "seq"), replace(IndexParams(bs=1024, shard_symbols=1 << 19), **changes))
 
 
 # SQL pieces
