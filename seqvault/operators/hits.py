@@ -57,3 +57,28 @@ def overlapping(hits: DataFrame, length: int) -> DataFrame:
     """Hits whose span begins inside the span of an earlier hit of the same item."""
     ordered = Window.partitionBy("item_no").orderBy("offset", "pattern_id").rowsBetween(Window.unboundedPreceding, -1)
     return hits.withColumn("reach", F.max(F.col("offset") + length).over(ordered)).filter(F.col("offset") < F.col("reach")).select("pattern_id", "item_no", "offset")
+
+
+def pivot_lengths(hits: DataFrame, items: DataFrame, lengths: list[int]) -> DataFrame:
+    """source, one column of hits for each pattern length; lengths are given, so no pass looks for them."""
+    joined = hits.join(items.select("item_no", "source"), "item_no").withColumn("len", F.floor(F.col("pattern_id") / 1_000_000).cast("int"))
+    table = joined.groupBy("source").pivot("len", lengths).agg(F.count(F.lit(1)))
+    return table.select("source", *[F.coalesce(F.col(str(n)), F.lit(0)).cast("long").alias(f"hits_{n}") for n in lengths])
+
+
+def unpivot_lengths(table: DataFrame, lengths: list[int]) -> DataFrame:
+    """source, len, n of a pivoted table, without zeros."""
+    return table.unpivot(["source"], [f"hits_{n}" for n in lengths], "len", "n").filter("n > 0")
+
+
+def position_summary(hits: DataFrame) -> DataFrame:
+    """Median and quartiles of the offsets of each pattern, and its items in order as one string."""
+    q = lambda p: F.percentile("offset", F.lit(p))
+    return hits.groupBy("pattern_id").agg(F.round(q(0.25), 3).alias("q1"), F.round(q(0.5), 3).alias("median"), F.round(q(0.75), 3).alias("q3"), F.array_join(F.transform(F.sort_array(F.collect_set("item_no")), lambda x: x.cast("string")), ",").alias("items"))
+
+
+def grouped_hits(hits: DataFrame, items: DataFrame) -> DataFrame:
+    """Hits by (lang), by (source) and in all, by SQL grouping sets."""
+    spark = hits.sparkSession
+    joined = hits.join(items.select("item_no", "lang", "source"), "item_no")
+    return spark.sql("SELECT lang, source, count(*) AS n FROM {rows} GROUP BY GROUPING SETS ((lang), (source), ())", rows=joined)

@@ -12,8 +12,8 @@ from dataclasses import replace
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from seqvault import bwt, measures, planner, symbols, workloads
-from seqvault.alphabet import Alphabet, collect_alphabet, scramble_key
+from seqvault import bwt, inexact, measures, planner, symbols, workloads
+from seqvault.alphabet import Alphabet, collect_alphabet, scramble_key, scramble_observed
 from seqvault.baselines import compressors
 from seqvault.baselines.csa import csa_locate
 from seqvault.baselines.plain_fm import PlainFM
@@ -117,6 +117,21 @@ bwt AS (SELECT CAST(0 AS BIGINT) AS shard, row_number() OVER (ORDER BY rotation)
 _NAME_BWT = f"WITH {_NAME_TEXT}, {_ROTATE}"
 
 
+#: Characters of nation names and the two reserved digits.
+_NAME_SIGMA = 18
+
+
+def _scrambled_sql() -> str:
+    """Two-character blocks of nation names, renumbered by the keyed order, then rotations."""
+    order = ", ".join(map(str, scramble_key(DEMO_KEY, _NAME_SIGMA**2).tolist()))
+    return f"""WITH letters AS (SELECT letter, row_number() OVER (ORDER BY letter) + 1 AS digit FROM (SELECT DISTINCT unnest(string_split(n_name, '')) AS letter FROM nation)),
+flat AS (SELECT n_nationkey AS item_no, unnest(string_split(n_name, '')) AS letter, unnest(range(length(n_name))) AS spot FROM nation),
+numbered AS (SELECT item_no, list(digit ORDER BY spot) AS ds FROM flat JOIN letters USING (letter) GROUP BY item_no),
+blocks AS (SELECT item_no, [ds[2 * i + 1] * {_NAME_SIGMA} + coalesce(ds[2 * i + 2], 1) FOR i IN range(0, (len(ds) + 1) // 2)] || [{_NAME_SIGMA + 1}] AS bs FROM numbered),
+whole AS (SELECT flatten(list(bs ORDER BY item_no)) || [0] AS ids FROM blocks),
+joined AS (SELECT [([{order}])[x + 1] FOR x IN ids] AS text FROM whole), {_ROTATE} SELECT * FROM bwt"""
+
+
 def _name_alphabet_query(make: Callable[[DataFrame], DataFrame]) -> Query:
     return lambda spark, sf_dir: make(_names_bwt()(spark, sf_dir))
 
@@ -275,7 +290,7 @@ def _registered() -> dict[str, tuple[Query, str | None]]:
     for name in ("bruteforce", "kernel", "runs", "ranges", "distributed", "doubling"):
         q[f"plain_bwt_{name}"] = (_names_bwt(name), f"{_NAME_BWT} SELECT * FROM bwt")
     q["bwt_strategies_differ"] = (_strategy_equal, None)
-    q["scrambled_bwt_small"] = (_names_bwt("kernel", 2, True), None)
+    q["scrambled_bwt_small"] = (_names_bwt("kernel", 2, True), _scrambled_sql())
     q["c_table"] = (_name_alphabet_query(lambda b: symbols.c_table(b)), f"{_NAME_BWT} SELECT shard, sym, CAST(coalesce(sum(count(*)) OVER (ORDER BY sym ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS c_before FROM bwt GROUP BY shard, sym")
     q["occ_blocks"] = (_name_alphabet_query(lambda b: symbols.occ_blocks(b, 8)), f"{_NAME_BWT}, c AS (SELECT shard, row // 8 AS block_no, sym, count(*) AS n FROM bwt GROUP BY ALL) SELECT shard, block_no, sym, n, CAST(coalesce(sum(n) OVER (PARTITION BY sym, block_no // 16 ORDER BY block_no ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS before FROM c")
     q["occ_superblocks"] = (_name_alphabet_query(lambda b: symbols.occ_superblocks(b, 4)), f"{_NAME_BWT}, c AS (SELECT shard, row // 64 AS super_no, sym, count(*) AS n FROM bwt GROUP BY ALL) SELECT shard, super_no, sym, CAST(coalesce(sum(n) OVER (PARTITION BY sym ORDER BY super_no ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS before FROM c")
@@ -327,6 +342,21 @@ def _registered() -> dict[str, tuple[Query, str | None]]:
     q["revcomp_union"] = (lambda s, d: sealed(s, d).locate(H.both_strands(pats(s, d, SHORT))).distinct(), SHORT_SQL.replace(", hits AS", ", strands AS (SELECT pattern_id, pattern FROM pats UNION SELECT pattern_id, reverse(translate(pattern, 'ACGT', 'TGCA')) FROM pats), hits AS").replace("JOIN pats p", "JOIN strands p").replace("SELECT pattern_id, item_no, \"offset\" FROM hits", "SELECT DISTINCT pattern_id, item_no, \"offset\" FROM hits"))
     q["hits_cube"] = (lambda s, d: H.hits_cube(found(s, d), nuc(s, d)), f"{base} SELECT lang, source, pattern_id // 1000000 AS len, count(*) AS n, CAST(grouping(lang, source, pattern_id // 1000000) AS BIGINT) AS level FROM hits JOIN nuc USING (item_no) GROUP BY CUBE (lang, source, pattern_id // 1000000)")
     q["anti_items"] = (lambda s, d: H.anti_items(nuc(s, d), found(s, d)), f"{base} SELECT item_no FROM nuc WHERE item_no NOT IN (SELECT item_no FROM hits)")
+    lens = [15, 20, 50, 100, 200, 500]
+    counted = ", ".join(f"CAST(count(*) FILTER (WHERE pattern_id // 1000000 = {n}) AS BIGINT) AS hits_{n}" for n in lens)
+    q["hits_pivot"] = (lambda s, d: H.pivot_lengths(found(s, d), nuc(s, d), lens), f"{base} SELECT source, {counted} FROM hits JOIN nuc USING (item_no) GROUP BY source")
+    q["hits_unpivot"] = (lambda s, d: H.unpivot_lengths(H.pivot_lengths(found(s, d), nuc(s, d), lens), lens), f"{base} SELECT source, 'hits_' || (pattern_id // 1000000) AS len, count(*) AS n FROM hits JOIN nuc USING (item_no) GROUP BY ALL")
+    q["hits_summary"] = (lambda s, d: H.position_summary(found(s, d)), f"{base} SELECT pattern_id, round(quantile_cont(\"offset\", 0.25), 3) AS q1, round(quantile_cont(\"offset\", 0.5), 3) AS median, round(quantile_cont(\"offset\", 0.75), 3) AS q3, array_to_string(list_sort(list_distinct(list(item_no))), ',') AS items FROM hits GROUP BY pattern_id")
+    q["hits_grouping_sets"] = (lambda s, d: H.grouped_hits(found(s, d), nuc(s, d)), f"{base} SELECT lang, source, count(*) AS n FROM hits JOIN nuc USING (item_no) GROUP BY GROUPING SETS ((lang), (source), ())")
+    q["semi_items"] = (lambda s, d: nuc(s, d).select("item_no", "lang").join(found(s, d), "item_no", "left_semi"), f"{base} SELECT item_no, lang FROM nuc WHERE item_no IN (SELECT item_no FROM hits)")
+    q["engine_minus_scan"] = (lambda s, d: found(s, d).exceptAll(scan_locate(nuc(s, d), pats(s, d))), f'{base} SELECT pattern_id, item_no, "offset" FROM hits WHERE 1 = 0')
+    q["engine_and_plain"] = (lambda s, d: found(s, d).intersect(plain(s, d).locate(pats(s, d))), f'{base} SELECT DISTINCT pattern_id, item_no, "offset" FROM hits')
+    q["event_props"] = (lambda s, d: table(s, d, "events").select(F.explode(F.json_object_keys("props")).alias("name")).groupBy("name").agg(F.count(F.lit(1)).alias("n")), "SELECT name, count(*) AS n FROM (SELECT unnest(json_keys(props)) AS name FROM events) GROUP BY name")
+    q["iupac_alphabet"] = (lambda s, d: views.iupac_view(s, d).select(F.explode(F.array_distinct(F.split("seq", ""))).alias("letter")).filter("letter <> ''").distinct(), None)
+    q["scrambled_observed"] = (lambda s, d: scramble_observed(_name_symbols(s, d, 2, False)[0], DEMO_KEY), None)
+    q["scatter"] = (lambda s, d: measures.scatter(_name_symbols(s, d, 1, False)[0], _names_bwt()(s, d), 8), None)
+    q["inexact_locate"] = (lambda s, d: inexact.locate_inexact(sealed(s, d), pats(s, d, [50, 100]), 2), None)
+    q["codes_locate"] = (lambda s, d: inexact.locate_codes(sealed(s, d), s.createDataFrame([(1, "ACGTRYACGTTA"), (2, "GATTACANNACG")], "pattern_id long, pattern string")), f"WITH {views.NUC_SQL}, cut(pattern_id, rule, size) AS (VALUES (1, 'ACGT[AG][CT]ACGTTA', 12), (2, 'GATTACA[ACGTN][ACGTN]ACG', 12)) SELECT CAST(pattern_id AS BIGINT) AS pattern_id, item_no, CAST(o AS BIGINT) AS \"offset\" FROM (SELECT pattern_id, item_no, unnest([o FOR o IN range(0, length(seq) - size + 1) IF regexp_full_match(substr(seq, CAST(o AS INT) + 1, size), rule)]) AS o FROM nuc JOIN cut ON regexp_matches(seq, rule))")
     q["benchmark_overlap"] = (_benchmark_overlap, f'WITH raw AS (SELECT doc_id AS item_no, text AS seq FROM documents WHERE text IS NOT NULL), pats AS (SELECT item_id AS pattern_id, substr(text, 1, 30) AS pattern FROM benchmark WHERE length(text) >= 30), {scan_sql("raw", "pats")} SELECT pattern_id, item_no, "offset" FROM hits')
     q["click_paths"] = (lambda s, d: _path_index(s, d).locate(_path_patterns(s)), PATH_SQL)
     q["click_paths_k7"] = (lambda s, d: _path_index(s, d, k=7).locate(_path_patterns(s)), PATH_SQL)
