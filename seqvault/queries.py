@@ -366,6 +366,14 @@ def _registered() -> dict[str, tuple[Query, str | None]]:
     q["fasta_roundtrip"] = (_fasta_roundtrip, f"WITH {views.NUC_SQL} SELECT 'doc' || item_no AS seq_id, seq FROM nuc")
     for name in ("consensus_a", "consensus_b", "consensus_c", "random100", "random500"):
         q[f"w_{name}"] = _workload(name)
+    kept_items = lambda s, d, name: _kept(s, ("collection", d, name), lambda: collection(s, d, name))
+    for name in ("consensus_b", "random100"):
+        q[f"w_plain_{name}"] = (lambda s, d, name=name: _kept(s, ("plain", d, name), lambda: PlainFM.build(kept_items(s, d, name))).locate(views.sample_patterns(kept_items(s, d, name), [20, 50, 100], 3)), _workload(name)[1])
+    q["w_sweep_k"] = (lambda s, d: workloads.tidy(s, workloads.build_times(kept_items(s, d, "consensus_c"))), None)
+    q["w_cipher"] = (lambda s, d: workloads.tidy(s, workloads.cipher_cost(kept_items(s, d, "consensus_c"), views.sample_patterns(kept_items(s, d, "consensus_c"), [20, 50, 100], 3))), None)
+    q["w_loaded_blocks"] = (lambda s, d: measures.loaded_share(_index(s, d, "random500", lambda: kept_items(s, d, "random500"), IndexParams(k=4, bs=4096)), views.sample_patterns(kept_items(s, d, "random500"), [20, 100], 3)), None)
+    table_sp = "WITH d AS (SELECT unnest(range(4)) AS d), w AS (SELECT CAST(d AS INT) AS d, CAST(ceil((d + 9) / 4.0) AS INT) AS m, repeat('?', d) || 'ACGAACTGA' AS x FROM d) SELECT CAST(1 AS BIGINT) AS pattern_id, d, m, array_to_string(regexp_extract_all(rpad(x, m * 4, '?'), '.{4}'), ' ') AS parts FROM w"
+    q["w_worked_example"] = (lambda s, d: planner.super_patterns(s.createDataFrame([(1, "ACGAACTGA")], "pattern_id long, pattern string"), 4).withColumn("parts", F.array_join("parts", " ")), table_sp)
     q["compression_ratio"] = (_ratio_rows, None)
     q["search_times"] = (_search_rows, None)
     q["loaded_blocks"] = (lambda s, d: measures.loaded_share(sealed(s, d), pats(s, d)), None)
