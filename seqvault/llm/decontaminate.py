@@ -23,8 +23,6 @@ the text. Empty tables: no document is contaminated. Clashing column names do no
 
 from __future__ import annotations
 
-import math
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
