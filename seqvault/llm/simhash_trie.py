@@ -7,8 +7,9 @@ differ in at most ``radius`` bits, so each task holds whole subtries and joins t
 A task returns a spanning forest of its links, never all pairs of a group; components are then joined across tasks.
 
 A corpus may be linked by several fingerprints: the hashes are mixed anew for each, and documents within the radius in any
-of them are linked. One fingerprint of 64 bits at radius 2 finds copies with a handful of changed words in long texts;
-twelve over two-word shingles find most pairs that share 0.8 of their five-word shingles (figures in the README).
+of them are linked. In :func:`one_of_each` such links over distinct two-word shingles are candidates only: the sets of
+five-word shingles of each group of candidates are compared exactly, and only links of similarity 0.8 and over form
+components (figures in the README).
 
 Null or empty text: fingerprint zero, linked like any other. Rows with equal ids are fingerprinted each and share the
 component of any of them. Null ids take part and are never the smallest. Empty table: empty result. Other columns are
@@ -76,6 +77,26 @@ def fingerprints_of(hashes: np.ndarray, seeds: int) -> np.ndarray:
     return np.packbits(ones * 2 > n, axis=1).view(">u8")[:, 0].astype(np.uint64)
 
 
+def set_digest(hashes: np.ndarray) -> int:
+    """Equal for equal sets of sorted distinct hashes."""
+    return xxhash.xxh64_intdigest(hashes.tobytes(), 42)
+
+
+def set_fingerprints(docs: DataFrame, words: int, seeds: int, exact_words: int) -> DataFrame:
+    """row, same (digest of the set of shingles of ``exact_words``), fps (over distinct shingles of ``words``) of every row."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = [t.as_py() for t in batch.column(1)]
+            found = [fingerprints_of(np.unique(shingle_hashes(t, words)), seeds) for t in texts]
+            same = np.array([set_digest(np.unique(shingle_hashes(t, exact_words))) for t in texts], np.uint64).view(np.int64)
+            flat = pa.array(np.concatenate(found).view(np.int64) if found else np.zeros(0, np.int64))
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(len(found) + 1, dtype=np.int32) * seeds), flat)
+            yield pa.record_batch([batch.column(0), pa.array(same), lists], names=["row", "same", "fps"])
+
+    return docs.select(F.col(ROW).cast("long").alias("row"), "text").mapInArrow(run, "row long, same long, fps array<long>")
+
+
 def fingerprints(docs: DataFrame, words: int = 3, seeds: int = 1, id_col: str = "doc_id") -> DataFrame:
     """doc_id and fps (the fingerprints as signed BIGINTs) of every row; one narrow pass."""
 
@@ -205,10 +226,98 @@ def components_of(marked: DataFrame, radius: int, seeds: int = 1) -> DataFrame:
     return result.join(merged, "component_id", "left").withColumn("component_id", F.coalesce("component", "component_id")).drop("component")
 
 
-def one_of_each(docs: DataFrame, words: int = 2, seeds: int = 12, radius: int = 2) -> DataFrame:
-    """The rows of ``docs``, one of each group of near duplicates (the smallest id), with the same columns."""
+def similar_components(sets: list[np.ndarray]) -> np.ndarray:
+    """The smallest position of each set's component, for links of Jaccard similarity 0.8 and over; exact.
+
+    ``sets``: sorted distinct hashes. Linked sets share one of their rarest hashes, so many that 0.8 cannot be reached
+    without them; only sets below such a hash are compared. The search goes on from each set that was found, and a set in
+    a component is compared no more, so a group of copies is not compared pair by pair.
+    """
+    n = len(sets)
+    label = np.full(n, -1)
+    sizes = np.array([len(x) for x in sets], np.int64)
+    ends = np.cumsum(sizes)
+    _, token, often = np.unique(np.concatenate([np.zeros(0, np.uint64), *sets]), return_inverse=True, return_counts=True)
+    rank = np.empty(len(often), np.int64)
+    rank[np.argsort(often, kind="stable")] = np.arange(len(often))
+    rows = [np.sort(rank[token[e - k : e]]) for e, k in zip(ends, sizes, strict=True)]
+    first = [r[: len(r) - -(-4 * len(r) // 5) + 1] for r in rows]  # all of an empty set
+    owner = np.repeat(np.arange(n), [len(f) for f in first])
+    below = np.concatenate([np.zeros(0, np.int64), *first])
+    turn = np.argsort(below, kind="stable")
+    below, owner = below[turn], owner[turn]
+    mark = np.zeros(len(often), bool)
+    left = held = n
+    for start in range(n):
+        if label[start] >= 0:
+            continue
+        label[start] = start
+        left -= 1
+        queue = [start]
+        while queue and left:
+            x = queue.pop()
+            if left * 2 < held:
+                stay = label[owner] < 0
+                below, owner, held = below[stay], owner[stay], left
+            low, high = np.searchsorted(below, first[x], "left"), np.searchsorted(below, first[x], "right")
+            near = [owner[a:b] for a, b in zip(low, high, strict=True) if b > a]
+            if not near:
+                continue
+            near = np.unique(np.concatenate(near))
+            near = near[label[near] < 0]
+            near = near[5 * np.minimum(sizes[near], sizes[x]) >= 4 * np.maximum(sizes[near], sizes[x])]
+            mark[rows[x]] = True
+            for y in near.tolist():
+                if 9 * int(np.count_nonzero(mark[rows[y]])) >= 4 * int(sizes[x] + sizes[y]):
+                    label[y] = start
+                    left -= 1
+                    queue.append(y)
+            mark[rows[x]] = False
+    return label
+
+
+def verified_components(members: DataFrame, words: int) -> DataFrame:
+    """node, low (smallest row of its component) for ``members``: root, node, row, text, compared within each root."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def solve(nodes: list[int], rows: list[int], sets: list[np.ndarray]) -> pa.RecordBatch:
+            label, row = similar_components(sets), np.array(rows, np.int64)
+            low = np.full(len(row), np.iinfo(np.int64).max)
+            np.minimum.at(low, label, row)
+            return pa.record_batch([pa.array(nodes, pa.int64()), pa.array(low[label])], names=["node", "low"])
+
+        root, nodes, rows, sets = None, [], [], []
+        for batch in batches:
+            for r, node, row, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if r != root and nodes:
+                    yield solve(nodes, rows, sets)
+                    nodes, rows, sets = [], [], []
+                root = r
+                nodes.append(node)
+                rows.append(row)
+                sets.append(np.unique(shingle_hashes(text, words)))
+        if nodes:
+            yield solve(nodes, rows, sets)
+
+    return members.select("root", "node", "row", "text").repartition("root").sortWithinPartitions("root").mapInArrow(run, "node long, low long")
+
+
+def one_of_each(docs: DataFrame, words: int = 2, seeds: int = 12, radius: int = 3, exact_words: int = 5) -> DataFrame:
+    """The rows of ``docs``, one of each group of near duplicates (the smallest id), with the same columns.
+
+    Documents are linked if they share 0.8 of their distinct shingles of ``exact_words`` words and are in one group of
+    candidates by fingerprint. Equal sets of shingles are one entry.
+    """
     keyed = with_row_key(docs)
-    marked = barrier(fingerprints(keyed, words, seeds, ROW), "fingerprints")
-    gone = barrier(components_of(marked, radius, seeds).filter("doc_id <> component_id").select(F.col("doc_id").alias(ROW)), "copies")
+    marked = barrier(set_fingerprints(keyed, words, seeds, exact_words), "fingerprints")
+    entries = barrier(marked.groupBy("same").agg(F.min("row").alias("row"), F.first("fps").alias("fps")).withColumnRenamed("same", "node"), "entries")
+    single = entries.select("node", F.posexplode("fps").alias("seed", "fp")).select(F.col("seed").cast("long").alias("seed"), "fp", "node")
+    groups = connected_components(fingerprint_links(single, radius, entries.count(), seeds)).withColumnRenamed("component", "root")
+    chosen = barrier(entries.join(groups, "node").select("root", "node", "row"), "candidates")
+    chosen = F.broadcast(chosen) if chosen.count() <= SMALL else chosen
+    members = keyed.select(F.col(ROW).cast("long").alias("row"), "text").join(chosen, "row")
+    low = barrier(verified_components(members, exact_words), "verified")
+    kept = entries.join(low, "node", "left").select(F.col("node").alias("same"), F.coalesce("low", "row").alias("low"))
+    gone = barrier(marked.join(kept, "same").filter("row <> low").select(F.col("row").alias(ROW)), "copies")
     few = gone.count() <= SMALL
     return unpacked(keyed.join(F.broadcast(gone) if few else gone, ROW, "left_anti"))
