@@ -78,36 +78,41 @@ def sliding_min(x: np.ndarray, width: int) -> np.ndarray:
 def window_runs(data: np.ndarray, first: np.ndarray, last: np.ndarray, depth: int) -> tuple[np.ndarray, ...]:
     """Runs of windows with the same q-gram: hash, start of the first window, number of windows, start minus gram place.
 
-    ``data`` holds texts that lie at ``first`` to ``last``; windows never cross texts.
+    ``data`` holds texts that lie at ``first`` to ``last``; windows never cross texts. The runs of a text depend on that
+    text alone, not on its neighbours or the pieces worked on: passes that get other batches find the same runs.
     """
     n = len(data) - depth + 1
     out: list[tuple[np.ndarray, ...]] = []
+    room = np.maximum(last - first - depth + 1, 0)
     if n > 0:
-        room = np.maximum(last - first - depth + 1, 0)
         step = np.zeros(len(data) + 1, np.int8)
         has = room > 0
         np.add.at(step, first[has], 1)
         np.add.at(step, (first + room)[has], -1)
         valid = np.cumsum(step[:-1], dtype=np.int8)[:n] > 0
+        before = -1  # gram place of the window before the piece, -1 if that is none
         for low in range(0, n, PIECE):
             high = min(low + PIECE, n)
             ok = valid[low:high]
             if not ok.any():
+                before = -1
                 continue
             h = gram_hashes(data[low : high + depth - 1])
             keys = (h & ~LOW) | np.arange(len(h), dtype=np.uint64)
             place = (sliding_min(keys, depth - GRAM + 1) & LOW).astype(np.int64)
             new = ok.copy()
             new[1:] &= (place[1:] != place[:-1]) | ~ok[:-1]
+            new[0] &= place[0] + low != before
+            before = int(place[-1]) + low if ok[-1] else -1
             heads = np.flatnonzero(new)
-            # a run ends before the next head or the next start that is no window
-            bound = np.flatnonzero(new | ~ok)
-            nxt = np.append(bound, len(ok))[np.searchsorted(bound, heads, "right")]
-            out.append((h[place[heads]], heads + low, nxt - heads, heads - place[heads]))
+            out.append((h[place[heads]], heads + low, heads - place[heads]))
     if not out:
         z = np.zeros(0, np.int64)
         return z.astype(np.uint64), z, z, z
-    return tuple(np.concatenate(c) for c in zip(*out, strict=True))
+    h, start, rel = (np.concatenate(c) for c in zip(*out, strict=True))
+    # a run ends before the next head or after the last window of its text
+    ends = (first + room)[np.searchsorted(first, start, "right") - 1]
+    return h, start, np.minimum(np.append(start[1:], n), ends) - start, rel
 
 
 def _texts(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
