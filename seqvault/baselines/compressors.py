@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import bz2
+import hashlib
+import secrets
 import zlib
 from collections.abc import Callable, Iterator
 
@@ -88,12 +90,25 @@ def bwt_generic_open(packed: DataFrame, letters: list[str]) -> DataFrame:
 
 
 def compress_then_encrypt(items: DataFrame, key: bytes) -> DataFrame:
-    """item_no, packed: each item deflated, then sealed under its number as nonce. The key stays in closures."""
-    return _packed(items, lambda n, data: seal_xor(zlib.compress(data, 9), KeyStream(key[32:], n % (1 << 64))))
+    """item_no, packed: each item deflated, then sealed under its number as nonce. The key stays in closures.
+
+    What is sealed begins with a salt of its own, and the sealing key is derived from it: versions of an item share no
+    keystream.
+    """
+
+    def pack(n: int, data: bytes) -> bytes:
+        salt = secrets.token_bytes(16)
+        return salt + seal_xor(zlib.compress(data, 9), KeyStream(_salted(key, salt), n % (1 << 64)))
+
+    return _packed(items, pack)
+
+
+def _salted(key: bytes, salt: bytes) -> bytes:
+    return hashlib.blake2b(salt, key=key[32:], digest_size=32).digest()
 
 
 def decrypt_then_open(packed: DataFrame, key: bytes) -> DataFrame:
-    return _opened(packed, lambda n, data: zlib.decompress(seal_xor(data, KeyStream(key[32:], n % (1 << 64)))))
+    return _opened(packed, lambda n, data: zlib.decompress(seal_xor(data[16:], KeyStream(_salted(key, data[:16]), n % (1 << 64)))))
 
 
 def cte_locate(packed: DataFrame, key: bytes, patterns: DataFrame) -> DataFrame:

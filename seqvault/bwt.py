@@ -2,18 +2,20 @@
 
 from __future__ import annotations
 
+import itertools
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from seqvault import suffix
-from seqvault.operators.barrier import barrier
+from seqvault.operators.prefix import PART, place_by_range
 
-KERNELS = ("kernel", "runs", "ranges")
+#: Strategies that hold a shard in a task, and those that spread one over the cluster.
+KERNELS, SPREAD = ("kernel", "runs", "ranges"), ("distributed", "doubling")
 
 
 def alphabet_ranges(size: int, nr: int) -> np.ndarray:
@@ -85,46 +87,44 @@ def collection_bwt(symbols: DataFrame, strategy: str = "kernel", size: int | Non
     return symbols.select("shard", "pos", "sym").groupBy("shard").applyInPandas(run, "shard int, row long, pos long, sym long")
 
 
-def range_sorted(symbols: DataFrame, width: int = 6, workers: int | None = None) -> DataFrame:
-    """Sort by ranges over the cluster: splitters from an exact histogram, one range partition per worker, ties by doubling.
+def prefixes(symbols: DataFrame, width: int) -> DataFrame:
+    """shard, pos, sym, prefix: the ``width`` symbols from each position on, packed so that bytes sort as symbols do.
 
-    Rotations carry their first ``width`` symbols as an array and are placed by their range, which the histogram of
-    first symbols fixes, so placement does not depend on sampling. Inside a partition the sort is Spark's, which
-    spills. Rotations equal in all ``width`` symbols are resolved by the doubling rounds.
+    Positions are range-partitioned; the symbols that a partition's last positions need from the next ones, ``width`` a
+    partition, are all that goes through the driver. Beyond the end of a shard stand zeros, which the end mark, smallest
+    and unique, never ties with.
     """
-    from pyspark.sql import Window
-
-    spark = symbols.sparkSession
-    parts = workers or int(spark.conf.get("spark.sql.shuffle.partitions"))
-    hist = symbols.groupBy("shard", "sym").agg(F.count(F.lit(1)).alias("n")).orderBy("shard", "sym").toPandas()
-    place = pd.DataFrame({"shard": hist["shard"], "sym": hist["sym"], "worker": balance(hist["n"].tolist(), parts)})
-    ranges = F.broadcast(spark.createDataFrame(place, "shard int, sym long, worker int"))  # one row per used symbol and shard
-    by_pos = Window.partitionBy("shard").orderBy("pos")
-    wrapped = symbols.select("shard", "pos", F.col("sym").cast("long").alias("sym"))
-    prefix = F.array(*[F.lead("sym", i).over(by_pos) for i in range(width)])
-    keyed = wrapped.withColumn("prefix", F.filter(prefix, lambda x: x.isNotNull()))
-    sorted_ = barrier(keyed.join(ranges, ["shard", "sym"]).repartitionById(parts, "worker").sortWithinPartitions("shard", "prefix").select("shard", "pos", "sym", "prefix", "worker"), "ranges")
-    inside = Window.partitionBy("shard", "worker").orderBy("prefix")
-    totals = sorted_.groupBy("shard", "worker").agg(F.count(F.lit(1)).alias("n"))
-    before = totals.withColumn("base", F.coalesce(F.sum("n").over(Window.partitionBy("shard").orderBy("worker").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).drop("n")
-    ranked = sorted_.withColumn("at", F.rank().over(inside) - 1).withColumn("same", F.count(F.lit(1)).over(Window.partitionBy("shard", "worker", "prefix")))
-    state = ranked.join(before, ["shard", "worker"]).select("shard", "pos", (F.col("at") + F.col("base")).alias("rank"), "same")
-    return _resolve(symbols, barrier(state, "ranks"), width)
-
-
-def _resolve(symbols: DataFrame, state: DataFrame, h: int) -> DataFrame:
-    from pyspark.sql import Window
-
-    sizes = symbols.groupBy("shard").agg(F.count(F.lit(1)).alias("n"))
-    while not state.filter("same > 1").isEmpty():
-        later = state.select("shard", F.col("pos").alias("to"), F.col("rank").alias("later"))
-        keyed = state.filter("same > 1").join(sizes, "shard").withColumn("to", F.pmod(F.col("pos") + h, F.col("n"))).join(later, ["shard", "to"])
-        step = F.rank().over(Window.partitionBy("shard", "rank").orderBy("later")) - 1
-        moved = keyed.select("shard", "pos", (F.col("rank") + step).alias("rank"), F.count(F.lit(1)).over(Window.partitionBy("shard", "rank", "later")).alias("same"))
-        state = barrier(state.filter("same = 1").unionByName(moved), "ranks")
-        h *= 2
-    before = symbols.join(sizes, "shard").select("shard", F.pmod(F.col("pos") + 1, F.col("n")).alias("pos"), F.col("sym").cast("long").alias("sym"))
-    return state.select("shard", F.col("rank").cast("long").alias("row"), "pos").join(before, ["shard", "pos"]).select("shard", "row", "pos", "sym")
+    order = ["shard", "pos"]
+    placed = place_by_range(symbols.select("shard", "pos", F.col("sym").cast("long").alias("sym")), order, "symbols")
+    head = Window.partitionBy(PART).orderBy(*order)
+    heads: dict[int, list[tuple[int, int]]] = {}
+    for r in placed.withColumn("_at", F.row_number().over(head)).filter(F.col("_at") <= width).orderBy("shard", "pos").collect():
+        heads.setdefault(r[PART], []).append((r["shard"], r["sym"]))
+    parts = sorted(heads)
+    following: dict[int, list[tuple[int, int]]] = {}
+    for i, part in enumerate(parts):
+        following[part] = list(itertools.islice((x for p in parts[i + 1 : i + 1 + width] for x in heads[p]), width))
+
+    def run(table: pa.Table) -> pa.Table:
+        table = table.sort_by([("shard", "ascending"), ("pos", "ascending")])
+        shard, sym = table["shard"].to_numpy().astype(np.int64), table["sym"].to_numpy()
+        tail = following[table[PART][0].as_py()] + [(-1, 0)] * width
+        shards, syms = np.append(shard, [t[0] for t in tail]), np.append(sym, [t[1] for t in tail])
+        reach = np.arange(len(shard))[:, None] + np.arange(width)
+        rows = np.where(shards[reach] == shard[:, None], syms[reach], 0).astype(">u4")
+        packed = pa.FixedSizeBinaryArray.from_buffers(pa.binary(4 * width), len(rows), [None, pa.py_buffer(np.ascontiguousarray(rows))]).cast(pa.binary())
+        return pa.table({"shard": table["shard"], "pos": table["pos"], "sym": table["sym"], "prefix": packed})
+
+    return placed.groupBy(PART).applyInArrow(run, "shard int, pos long, sym long, prefix binary")
+
+
+def range_sorted(symbols: DataFrame, width: int = 8) -> DataFrame:
+    """Sort by ranges over the cluster: rotations carry their first ``width`` symbols and are range-partitioned on them.
+
+    Ranges are balanced by the position as a last key, so a prefix that very many rotations share is spread over
+    partitions; inside one the sort is Spark's, which spills. Ties are resolved by doubling rounds.
+    """
+    return suffix.resolved(symbols, suffix.ranked(prefixes(symbols, width).select("shard", "prefix", "pos"), ["shard", "prefix"]), width)
 
 
 def lf_of(l: np.ndarray) -> np.ndarray:  # noqa: E741
@@ -181,7 +181,5 @@ def bwt_per_item(items: DataFrame) -> DataFrame:
 
 def bwt_runs(bwt: DataFrame) -> DataFrame:
     """shard, runs: maximal runs of equal symbols of the transform, by comparing neighbours within each shard."""
-    from pyspark.sql import Window
-
     before = F.lag("sym").over(Window.partitionBy("shard").orderBy("row"))
     return bwt.withColumn("new", (before.isNull() | (before != F.col("sym"))).cast("long")).groupBy("shard").agg(F.sum("new").alias("runs"))

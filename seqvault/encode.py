@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from seqvault.alphabet import Alphabet
+from seqvault.operators.barrier import barrier
 from seqvault.operators.prefix import PART, place_by_range, running_sum
 
 #: Shown for the pad digit in DataFrame form; a private-use character that data may not hold.
@@ -59,3 +63,26 @@ def join_collection(seqs: list[str], alphabet: Alphabet, order: np.ndarray | Non
     parts.append(np.zeros(1, np.int64))
     text = np.concatenate(parts)
     return (order[text] if order is not None else text), np.array(starts, np.int64), np.array(counts, np.int64)
+
+
+def joined_rows(planned: DataFrame, alphabet: Alphabet, order) -> tuple[DataFrame, DataFrame]:
+    """The joined strings of shards that no task can hold: (shard, pos, sym), and the items with start and n_sym.
+
+    ``planned``: items with a shard number; ``order``: broadcast new numbers of ids. Starts come from a two-pass running
+    sum; an item's symbols are made by the task that reads it. The end mark follows the last item of a shard.
+    """
+    sized = planned.withColumn("_n", n_symbols(F.length("seq"), alphabet.k))
+    keys = ["shard", "item_no"]
+    summed = running_sum(place_by_range(sized, keys, "starts"), ["shard"], ["item_no"], "_n", "_sum").drop(PART)
+    starts = barrier(summed.withColumns({"start_sym": F.col("_sum") - F.col("_n"), "n_sym": F.col("_n") - 1}).drop("_n", "_sum"), "placed")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for shard, start, seq in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                ids = np.append(alphabet.blocks(seq), alphabet.separator)
+                syms = ids if order.value is None else order.value[ids]
+                yield pa.record_batch([pa.array(np.full(len(ids), shard, np.int32)), pa.array(start + np.arange(len(ids))), pa.array(syms)], names=["shard", "pos", "sym"])
+
+    rows = starts.select("shard", "start_sym", "seq").mapInArrow(run, "shard int, pos long, sym long")
+    ends = starts.groupBy("shard").agg((F.max(F.col("start_sym") + F.col("n_sym")) + 1).alias("pos")).withColumn("sym", F.lit(0).cast("long"))
+    return rows.unionByName(ends), starts

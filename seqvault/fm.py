@@ -1,24 +1,32 @@
-"""Search inside one shard of a sealed index: counts by block, blocks opened only where a query needs them."""
+"""Search inside one shard of a sealed index: counts by block, blocks opened only where a query needs them.
+
+Patterns are searched together: all displaced block patterns take their backward steps side by side as arrays, and a block
+that several of them need in a step is looked at once for all.
+"""
 
 from __future__ import annotations
 
 import itertools
 import zlib
 from collections import OrderedDict
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import pyarrow.dataset as ds
 
 from seqvault import planner
-from seqvault.alphabet import Alphabet, scramble_key
+from seqvault.alphabet import Alphabet
 from seqvault.blocks import Coding, SealedBlock, decode_block
 from seqvault.cipher import block_key
 from seqvault.operators.shared_fs import resolve
 
-#: Opened blocks that a task remembers.
-OPEN_BLOCKS = 4_096
+#: Bytes of opened blocks, and of sealed payloads, that an open shard remembers.
+OPEN_BYTES, SEALED_BYTES = 96 << 20, 32 << 20
+#: Patterns planned together, and rows expanded together.
+LOT, ROWS = 256, 1 << 20
 
 
 class WrongKey(ValueError):
@@ -34,19 +42,32 @@ class Work:
     loaded: set[int] = field(default_factory=set)
 
 
+@dataclass(frozen=True)
+class Planned:
+    """A displaced block pattern as places among a shard's used symbols: the fixed blocks, and the symbols that fit a masked
+    first and last block (None where it is fixed; a pattern of one block has ``first`` only)."""
+
+    pattern: int
+    d: int
+    m: int
+    fixed: np.ndarray
+    first: np.ndarray | None
+    last: np.ndarray | None
+
+
 class ShardFM:
     """The index of one shard. Counts and marks are in memory; payloads are read by row group and opened by block."""
 
-    def __init__(self, path: str, shard: int, meta: dict, key: bytes):
+    def __init__(self, path: str, shard: int, meta: dict, key: bytes, commit: str, order: np.ndarray | None):
         self.meta, self.shard = meta, shard
         self.alphabet = Alphabet(tuple(meta["letters"]), meta["k"])
         self.k, self.bs, self.step = meta["k"], meta["bs"], meta["mark_step"]
         self.coding = Coding(meta["encrypt"], meta["cipher_mode"], meta["rounds"])
-        self.key = block_key(key, bytes.fromhex(meta["salt"]), shard, meta["nonce_mode"])
-        self.order = scramble_key(key, self.alphabet.size) if meta["scramble"] else None
+        self.key = block_key(key, bytes.fromhex(meta["commits"][commit]), shard, meta["nonce_mode"])
+        self.order = order
         self.pad = meta["pad_wildcards"]
-        self.folder = lambda kind: f"{path}/tables/kind={kind}/shard={shard}"
-        c = self._read("c_table", ["no", "a"])
+        self.folder = lambda kind: f"{path}/tables/commit={commit}/kind={kind}/shard={shard}"
+        c = self._read("c_table", ["no", "a"]).sort_by("no")
         self.syms, self.c_before = c["no"].to_numpy(), c["a"].to_numpy()
         self.digits = planner.used_symbols(self.alphabet, self.order, self.syms)
         items = self._read("items", ["no", "b", "c", "a"])
@@ -56,26 +77,27 @@ class ShardFM:
         by_row = np.argsort(marks["no"].to_numpy())
         self.mark_rows, self.mark_pos = marks["no"].to_numpy()[by_row], marks["a"].to_numpy()[by_row]
         self.row_of_mark = marks["no"].to_numpy()[np.argsort(marks["a"].to_numpy())]
-        head = self._read("blocks", ["no", "a", "b", "c", "ints", "longs", "text"])
-        at = np.argsort(head["no"].to_numpy(), kind="stable")
-        head = head.take(pa.array(at))
-        self.block_n = head["a"].to_numpy()
+        head = self._read("blocks", ["no", "a", "b", "c", "ints", "longs", "text"]).sort_by("no").combine_chunks()
+        self.block_n, self.comp_len, self.bits = (head[x].to_numpy() for x in ("a", "b", "c"))
+        self.checks = head["text"]
         self.n = int(self.block_n.sum())
-        self.head = head
         self.n_blocks = len(self.block_n)
-        flat = lambda c: pa.concat_arrays([x.flatten() for x in head[c].chunks]).to_numpy() if head.num_rows else np.zeros(0, np.int64)
-        alpha, counts = flat("ints").astype(np.int64), flat("longs").astype(np.int64)
-        owner = np.repeat(np.arange(self.n_blocks), [len(x) for x in head["ints"].to_pylist()])
-        spot = np.searchsorted(self.syms, alpha)
+        sizes = pc.list_value_length(head["ints"]).to_numpy()
+        self.ends = np.cumsum(sizes)
+        self.alpha = pc.list_flatten(head["ints"]).to_numpy().astype(np.int64)
+        self.counts = pc.list_flatten(head["longs"]).to_numpy()
+        owner = np.repeat(np.arange(self.n_blocks), sizes)
+        spot = np.searchsorted(self.syms, self.alpha)
         turn = np.lexsort((owner, spot))
         self.pair = (spot * self.n_blocks + owner)[turn]
-        self.pair_count = counts[turn]
+        self.pair_count = self.counts[turn]
         total = np.cumsum(self.pair_count) - self.pair_count
         first = np.searchsorted(self.pair, np.arange(len(self.syms)) * self.n_blocks)
         self.pair_before = total - np.repeat(total[first], np.diff(np.append(first, len(total)))) if len(total) else total
-        self.groups: list[tuple[object, int, np.ndarray]] | None = None
-        self.payloads: dict[int, bytes] = {}
-        self.open: OrderedDict[int, tuple[np.ndarray, np.ndarray]] = OrderedDict()
+        self.groups: list[tuple[object, int, int]] | None = None
+        self.payloads: OrderedDict[int, dict[int, bytes]] = OrderedDict()
+        self.payload_bytes = 0
+        self.open: OrderedDict[int, tuple[np.ndarray, np.ndarray, np.ndarray]] = OrderedDict()
         self.work = Work()
 
     def _read(self, kind: str, columns: list[str]) -> pa.Table:
@@ -85,65 +107,108 @@ class ShardFM:
     # blocks
 
     def _payload(self, b: int) -> bytes:
-        """A block's sealed bytes: the row group that holds it is read and kept."""
-        if b not in self.payloads:
-            if self.groups is None:
-                store, root = resolve(self.folder("blocks"))
-                self.groups = []
-                for fragment in ds.dataset(root, filesystem=store, format="parquet").get_fragments():
-                    for piece in fragment.split_by_row_group():
-                        low = piece.row_groups[0].statistics["no"]
-                        self.groups.append((piece, low["min"], low["max"]))
-            for piece, low, high in self.groups:
-                if low <= b <= high:
-                    table = piece.to_table(columns=["no", "payload"])
-                    self.payloads.update(zip(table["no"].to_pylist(), table["payload"].to_pylist(), strict=True))
-        return self.payloads[b]
-
-    def block(self, b: int) -> tuple[np.ndarray, np.ndarray]:
-        """Symbols of a block and, for every position, how many equal ones stand before it in the block."""
+        """A block's sealed bytes: the row group that holds it is read; the last read ones are kept, up to SEALED_BYTES."""
+        if self.groups is None:
+            store, root = resolve(self.folder("blocks"))
+            self.groups = []
+            for fragment in ds.dataset(root, filesystem=store, format="parquet").get_fragments():
+                for piece in fragment.split_by_row_group():
+                    span = piece.row_groups[0].statistics["no"]
+                    self.groups.append((piece, span["min"], span["max"]))
+        for g, (piece, low, high) in enumerate(self.groups):
+            if not low <= b <= high:
+                continue
+            if g not in self.payloads:
+                table = piece.to_table(columns=["no", "payload"])
+                self.payloads[g] = dict(zip(table["no"].to_pylist(), table["payload"].to_pylist(), strict=True))
+                self.payload_bytes += sum(map(len, self.payloads[g].values()))
+                while self.payload_bytes > SEALED_BYTES and len(self.payloads) > 1:
+                    _, gone = self.payloads.popitem(last=False)
+                    self.payload_bytes -= sum(map(len, gone.values()))
+            self.payloads.move_to_end(g)
+            if b in self.payloads[g]:
+                return self.payloads[g][b]
+        raise KeyError(f"shard {self.shard} has no block {b}")
+
+    def _opened(self, b: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Of a block: the place of each symbol among the used ones, how many equal ones stand before it in the block, and
+        place * block size + position of all in ascending order."""
         self.work.loaded.add(b)
         if b in self.open:
             self.open.move_to_end(b)
             return self.open[b]
-        row = {c: self.head[c][b].as_py() for c in ("a", "b", "c", "ints", "longs", "text")}
-        alpha = np.array(row["ints"], np.int64)
-        sealed = SealedBlock(row["a"], row["b"], row["c"], alpha, np.array(row["longs"]), self._payload(b))
+        low = self.ends[b - 1] if b else 0
+        alpha, counts = self.alpha[low : self.ends[b]], self.counts[low : self.ends[b]]
+        sealed = SealedBlock(int(self.block_n[b]), int(self.comp_len[b]), int(self.bits[b]), alpha, counts, self._payload(b))
         syms = decode_block(sealed, b, self.key, self.coding)
-        if row["text"] and f"{zlib.crc32(syms.astype('<i8').tobytes()):08x}" != row["text"]:
+        check = self.checks[b].as_py()
+        if check and f"{zlib.crc32(syms.astype('<i8').tobytes()):08x}" != check:
             raise WrongKey(f"block {b} of shard {self.shard} does not open with this key")
-        turn = np.argsort(syms, kind="stable")
-        ordered = syms[turn]
+        spots = np.minimum(np.searchsorted(self.syms, syms), len(self.syms) - 1)
+        keys = np.sort(spots * self.bs + np.arange(len(spots)))
+        ordered = keys // self.bs
         heads = np.flatnonzero(np.append(True, ordered[1:] != ordered[:-1]))
         rank = np.empty(len(syms), np.int64)
-        rank[turn] = np.arange(len(syms)) - np.repeat(heads, np.diff(np.append(heads, len(syms))))
-        self.open[b] = (syms, rank)
-        if len(self.open) > OPEN_BLOCKS:
+        rank[keys % self.bs] = np.arange(len(syms)) - np.repeat(heads, np.diff(np.append(heads, len(syms))))
+        self.open[b] = (spots, rank, keys)
+        if len(self.open) > max(16, OPEN_BYTES // (24 * self.bs)):
             self.open.popitem(last=False)
         return self.open[b]
 
+    def block(self, b: int) -> tuple[np.ndarray, np.ndarray]:
+        """Symbols of a block and, for every position, how many equal ones stand before it in the block."""
+        spots, rank, _ = self._opened(b)
+        return self.syms[spots], rank
+
     # counting and stepping
 
-    def occ(self, spot: int, row: int) -> int:
-        """How often the ``spot``-th used symbol stands in the rows before ``row``."""
-        if row <= 0:
-            return 0
-        b = min(row // self.bs, self.n_blocks - 1)
-        at = int(np.searchsorted(self.pair, spot * self.n_blocks + b, "right")) - 1
-        if at < 0 or self.pair[at] // self.n_blocks != spot:
-            return 0
-        if self.pair[at] % self.n_blocks != b:
-            return int(self.pair_before[at] + self.pair_count[at])
-        syms, _ = self.block(b)
-        return int(self.pair_before[at] + np.count_nonzero(syms[: row - b * self.bs] == self.syms[spot]))
+    def occ_many(self, spots: np.ndarray, rows: np.ndarray) -> np.ndarray:
+        """How often the ``spots``-th used symbols stand in the rows before ``rows``."""
+        b = np.clip(rows // self.bs, 0, self.n_blocks - 1)
+        at = np.maximum(np.searchsorted(self.pair, spots * self.n_blocks + b, "right") - 1, 0)
+        found = (self.pair[at] // self.n_blocks == spots) & (self.pair[at] <= spots * self.n_blocks + b) & (rows > 0)
+        inside = found & (self.pair[at] % self.n_blocks == b)
+        out = np.where(found, self.pair_before[at] + np.where(inside, 0, self.pair_count[at]), 0)
+        # a row at the start of a block needs nothing of it
+        mine = np.flatnonzero(inside & (rows > b * self.bs))
+        mine = mine[np.argsort(b[mine], kind="stable")]
+        if not len(mine):
+            return out
+        cuts = np.flatnonzero(np.diff(b[mine], prepend=-1))
+        for low, high in zip(cuts, np.append(cuts[1:], len(mine)), strict=True):
+            m = mine[low:high]
+            number = int(b[m[0]])
+            keys = self._opened(number)[2]
+            base = spots[m] * self.bs
+            # a whole last block may be as long as the block size: its end is the start of the next symbol
+            out[m] += np.searchsorted(keys, base + (rows[m] - number * self.bs)) - np.searchsorted(keys, base)
+        return out
 
     def symbol_range(self, spot: int) -> tuple[int, int]:
         end = self.c_before[spot + 1] if spot + 1 < len(self.syms) else self.n
         return int(self.c_before[spot]), int(end)
 
-    def step_back(self, spot: int, low: int, high: int) -> tuple[int, int]:
-        c = int(self.c_before[spot])
-        return c + self.occ(spot, low), c + self.occ(spot, high)
+    def symbol_ranges(self, spots: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        ends = np.append(self.c_before[1:], self.n)
+        return self.c_before[spots].astype(np.int64), ends[spots].astype(np.int64)
+
+    def backward_many(self, low: np.ndarray, high: np.ndarray, chains: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        """Ranges of rows after each chain of symbols is put before what [low, high) stands for; empty ones are (0, 0)."""
+        low, high = low.copy(), high.copy()
+        sizes = np.array([len(c) for c in chains], np.int64)
+        flat = np.concatenate([np.zeros(0, np.int64), *chains])
+        offset = np.cumsum(sizes) - sizes
+        active, step = np.flatnonzero((low < high) & (sizes > 0)), 0
+        while len(active):
+            s = flat[offset[active] + step]
+            got = self.occ_many(np.concatenate([s, s]), np.concatenate([low[active], high[active]]))
+            base = self.c_before[s]
+            low[active], high[active] = base + got[: len(s)], base + got[len(s) :]
+            step += 1
+            active = active[(low[active] < high[active]) & (sizes[active] > step)]
+        empty = low >= high
+        low[empty] = high[empty] = 0
+        return low, high
 
     def symbols_and_lf(self, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Symbol before each row's suffix (as its place among the used ones) and the row of the suffix one longer."""
@@ -151,9 +216,9 @@ class ShardFM:
         number = rows // self.bs
         for b in np.unique(number):
             mine = np.flatnonzero(number == b)
-            syms, rank = self.block(int(b))
+            held, rank, _ = self._opened(int(b))
             local = rows[mine] - b * self.bs
-            spot = np.searchsorted(self.syms, syms[local])
+            spot = held[local]
             at = np.minimum(np.searchsorted(self.pair, spot * self.n_blocks + b), len(self.pair) - 1)
             spots[mine] = spot
             lf[mine] = self.c_before[spot] + self.pair_before[at] + rank[local]
@@ -190,113 +255,193 @@ class ShardFM:
 
     # patterns
 
-    def spot_of(self, digits: np.ndarray) -> int:
-        """Place among the used symbols of a fixed block, or -1."""
-        found = np.flatnonzero((self.digits == digits).all(1))
-        return int(found[0]) if len(found) else -1
+    def spots_of(self, digits: np.ndarray) -> np.ndarray:
+        """Places among the used symbols of fixed blocks (rows of digits), -1 for those that the shard lacks."""
+        ids = self.alphabet.of_digits(digits)
+        syms = self.order[ids] if self.order is not None else ids
+        spot = np.minimum(np.searchsorted(self.syms, syms), len(self.syms) - 1)
+        return np.where(self.syms[spot] == syms, spot, -1)
 
     def fitting(self, mask: np.ndarray) -> np.ndarray:
         return np.flatnonzero(planner.mask_matches(self.digits, mask, self.pad))
 
-    def backward(self, parts: np.ndarray, low: int | None = None, high: int | None = None) -> tuple[int, int]:
-        """Range of rows of fixed blocks, given the range of what follows them (all rows if None)."""
-        for digits in parts[::-1]:
-            spot = self.spot_of(digits)
-            if spot < 0:
-                return 0, 0
-            low, high = self.symbol_range(spot) if low is None else self.step_back(spot, low, high)
-            if low >= high:
-                return 0, 0
-        return low, high
+    def planned(self, patterns: list[str]) -> list[Planned]:
+        """The displaced block patterns of each pattern that this shard's symbols allow."""
+        out: list[Planned] = []
+        masks: dict[bytes, np.ndarray] = {}
+
+        def fits(mask: np.ndarray) -> np.ndarray:
+            name = mask.tobytes()
+            if name not in masks:
+                masks[name] = self.fitting(mask)
+            return masks[name]
+
+        for i, pattern in enumerate(patterns):
+            digits = self.alphabet.digits(pattern)
+            if not len(digits) or (digits < 0).any():
+                continue
+            for p in planner.displaced(digits, self.k):
+                if p.m == 1:
+                    one = fits(p.parts[0])
+                    if len(one):
+                        out.append(Planned(i, p.d, 1, np.zeros(0, np.int64), one, None))
+                    continue
+                first = fits(p.parts[0]) if p.first_masked else None
+                last = fits(p.parts[-1]) if p.last_masked else None
+                fixed = self.spots_of(p.parts[int(p.first_masked) : p.m - int(p.last_masked)])
+                if (fixed >= 0).all() and (first is None or len(first)) and (last is None or len(last)):
+                    out.append(Planned(i, p.d, p.m, fixed, first, last))
+        return out
 
-    def rows_of(self, p: planner.SuperPattern, low: int | None, high: int | None, parts: np.ndarray) -> np.ndarray:
-        """Rows of the first block, for ``parts`` (all before what [low, high) stands for): fixed ones, then a masked first."""
-        if not p.first_masked:
-            low, high = self.backward(parts, low, high)
-            return np.arange(low, high)
-        if len(parts) == 1 and low is None:
-            ranges = [np.arange(*self.symbol_range(s)) for s in self.fitting(parts[0])]
-            return np.concatenate(ranges) if ranges else np.zeros(0, np.int64)
-        low, high = self.backward(parts[1:], low, high)
-        rows = np.arange(low, high)
-        if not len(rows):
-            return rows
-        spots, lf = self.symbols_and_lf(rows)
-        return lf[np.isin(spots, self.fitting(parts[0]))]
-
-    def find(self, p: planner.SuperPattern, last: str = "auto") -> np.ndarray:
-        """Text positions (in blocks) of a block pattern. ``last``: how a masked last block is handled."""
-        if p.m == 1 or not p.last_masked:
-            if p.m == 1 and p.last_masked and not p.first_masked:
-                ranges = [np.arange(*self.symbol_range(s)) for s in self.fitting(p.parts[0])]
-                rows = np.concatenate(ranges) if ranges else np.zeros(0, np.int64)
-            else:
-                rows = self.rows_of(p, None, None, p.parts)
-            return self.positions(rows)
-        candidates = self.fitting(p.parts[-1])
-        if last == "auto":
-            fixed = p.parts[1:-1] if p.first_masked else p.parts[:-1]
-            low, high = self.backward(fixed) if len(fixed) else (0, self.n)
-            last = planner.choose_last(high - low, self.step, len(candidates), p.m)
-        if last == "enumerate":
-            found = [self.rows_of(p, *self.symbol_range(s), p.parts[:-1]) for s in candidates]
-            return self.positions(np.concatenate(found)) if found else np.zeros(0, np.int64)
-        rows = self.rows_of(p, None, None, p.parts[:-1])
-        at = self.positions(rows)
-        ahead = at + p.m - 1
-        at, ahead = at[ahead < self.n], ahead[ahead < self.n]
-        self.work.checked += len(at)
-        return at[np.isin(self.symbols_at(ahead), candidates)] if len(at) else at
+    def states(self, plans: list[Planned], last: str) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+        """Ranges of rows that answer ``plans``: number of the plan, low, high, whether the first block is still to be
+        matched against its mask, and whether the last is to be verified.
+
+        A masked last block is verified row by row or enumerated symbol by symbol; ``auto`` decides when it knows how many
+        rows the fixed blocks leave.
+        """
+        short = [(j, p) for j, p in enumerate(plans) if p.m == 1]
+        if short:
+            j = np.concatenate([np.full(len(p.first), j) for j, p in short])
+            yield j, *self.symbol_ranges(np.concatenate([p.first for _, p in short])), np.zeros(len(j), bool), np.zeros(len(j), bool)
+        rest = [(j, p) for j, p in enumerate(plans) if p.m > 1]
+        # fixed blocks alone: answers where nothing follows them, else candidates
+        fixed = [(j, p) for j, p in rest if len(p.fixed) and (p.last is None or last != "enumerate")]
+        enumerated = [(j, p) for j, p in rest if p.last is not None and (last == "enumerate" or not len(p.fixed))]
+        if fixed:
+            low, high = self.symbol_ranges(np.array([p.fixed[-1] for _, p in fixed]))
+            low, high = self.backward_many(low, high, [p.fixed[-2::-1] for _, p in fixed])
+            stay = np.ones(len(fixed), bool)
+            for x, (j, p) in enumerate(fixed):
+                if low[x] >= high[x]:
+                    stay[x] = False
+                elif p.last is not None and last == "auto" and planner.choose_last(int(high[x] - low[x]), self.step, len(p.last), p.m) == "enumerate":
+                    stay[x] = False
+                    enumerated.append((j, p))
+            number = np.array([j for j, _ in fixed])
+            yield number[stay], low[stay], high[stay], np.array([p.first is not None for _, p in fixed])[stay], np.array([p.last is not None for _, p in fixed])[stay]
+        if not enumerated:
+            return
+        open_ = [(j, p) for j, p in enumerated if last == "verify" and not len(p.fixed)]
+        if open_:  # both blocks masked: every row of a fitting first block
+            j = np.concatenate([np.full(len(p.first), j) for j, p in open_])
+            yield j, *self.symbol_ranges(np.concatenate([p.first for _, p in open_])), np.zeros(len(j), bool), np.ones(len(j), bool)
+            enumerated = [(j, p) for j, p in enumerated if len(p.fixed)]
+        if enumerated:
+            number = np.concatenate([np.full(len(p.last), j) for j, p in enumerated])
+            low, high = self.symbol_ranges(np.concatenate([p.last for _, p in enumerated]))
+            low, high = self.backward_many(low, high, [p.fixed[::-1] for _, p in enumerated for _ in range(len(p.last))])
+            stay = low < high
+            masked = np.array([plans[j].first is not None for j in number], bool)
+            yield number[stay], low[stay], high[stay], masked[stay], np.zeros(int(stay.sum()), bool)
+
+    def expanded(self, table: np.ndarray, number: np.ndarray, low: np.ndarray, high: np.ndarray, masked: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Lots of (number of the plan, row of its first block) of ranges; ``table``: which symbols fit each masked first."""
+        lots = np.cumsum(high - low) // ROWS
+        for lot in np.unique(lots):
+            m = np.flatnonzero(lots == lot)
+            for begin in range(0, int((high[m] - low[m]).max(initial=0)), ROWS):  # one range may be larger than a lot
+                a = np.minimum(low[m] + begin, high[m])
+                n = np.minimum(high[m] - a, ROWS)
+                ends = np.cumsum(n)
+                rows = np.arange(ends[-1]) + np.repeat(a - (ends - n), n)
+                owner, check = np.repeat(number[m], n), np.repeat(masked[m], n)
+                if check.any():
+                    spots, lf = self.symbols_and_lf(rows[check])
+                    good = table[owner[check], spots]
+                    owner = np.concatenate([owner[~check], owner[check][good]])
+                    rows = np.concatenate([rows[~check], lf[good]])
+                yield owner, rows
+
+    def _table(self, sets: list[np.ndarray | None]) -> np.ndarray:
+        """Which used symbols are in each set."""
+        table = np.zeros((len(sets), len(self.syms)), bool)
+        for row, wanted in zip(table, sets, strict=True):
+            if wanted is not None:
+                row[wanted] = True
+        return table
+
+    def find_many(self, plans: list[Planned], last: str) -> tuple[np.ndarray, np.ndarray]:
+        """(number of the plan, text position in blocks) of every occurrence."""
+        numbers, places = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        firsts, lasts = self._table([p.first for p in plans]), self._table([p.last for p in plans])
+        m = np.array([p.m for p in plans], np.int64)
+        for number, low, high, masked, verify in self.states(plans, last):
+            for flag in (False, True):
+                mine = verify == flag
+                for owner, rows in self.expanded(firsts, number[mine], low[mine], high[mine], masked[mine]):
+                    at = self.positions(rows)
+                    if flag:
+                        ahead = at + m[owner] - 1
+                        inside = ahead < self.n
+                        owner, at, ahead = owner[inside], at[inside], ahead[inside]
+                        self.work.checked += len(at)
+                        if len(at):
+                            good = lasts[owner, self.symbols_at(ahead)]
+                            owner, at = owner[good], at[good]
+                    numbers.append(owner)
+                    places.append(at)
+        return np.concatenate(numbers), np.concatenate(places)
 
     def find_naive(self, p: planner.SuperPattern) -> np.ndarray:
         """One search for every concrete block pattern among the used symbols."""
         choices = [self.fitting(part) for part in p.parts]
         found = []
-        for combination in itertools.product(*choices):
-            low, high = self.symbol_range(combination[-1])
-            for spot in combination[-2::-1]:
-                low, high = self.step_back(spot, low, high)
-                if low >= high:
-                    break
-            if low < high:
-                found.append(np.arange(low, high))
+        for some in itertools.batched(itertools.product(*choices), 4096):
+            chains = np.array(some, np.int64)
+            low, high = self.symbol_ranges(chains[:, -1])
+            low, high = self.backward_many(low, high, list(chains[:, -2::-1]) if chains.shape[1] > 1 else [np.zeros(0, np.int64)] * len(chains))
+            found += [np.arange(a, b) for a, b in zip(low[low < high], high[low < high], strict=True)]
         return self.positions(np.concatenate(found)) if found else np.zeros(0, np.int64)
 
+    def locate_many(self, patterns: list[str], last: str = "auto") -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        """Lots of (number of the pattern, item_no, offset) of occurrences, 0-based characters. An empty pattern occurs
+        nowhere."""
+        for low in range(0, len(patterns), LOT):
+            some = patterns[low : low + LOT]
+            if last == "naive":
+                plans, numbers, at = [], [], []
+                for i, pattern in enumerate(some):
+                    digits = self.alphabet.digits(pattern)
+                    if len(digits) and (digits >= 0).all():
+                        for p in planner.displaced(digits, self.k):
+                            at.append(self.find_naive(p))
+                            numbers.append(np.full(len(at[-1]), len(plans)))
+                            plans.append(Planned(i, p.d, p.m, np.zeros(0, np.int64), None, None))
+                number, at = (np.concatenate([np.zeros(0, np.int64), *x]) for x in (numbers, at))
+            else:
+                plans = self.planned(some)
+                number, at = self.find_many(plans, last)
+            if not len(number):
+                continue
+            owner = np.searchsorted(self.item_start, at, "right") - 1
+            shift = np.array([p.d for p in plans])[number]
+            yield np.array([p.pattern for p in plans])[number] + low, self.item_no[owner], (at - self.item_start[owner]) * self.k + shift
+
     def locate(self, pattern: str, last: str = "auto") -> tuple[np.ndarray, np.ndarray]:
-        """(item_no, offset) of every occurrence, 0-based characters. An empty pattern occurs nowhere."""
-        digits = self.alphabet.digits(pattern)
+        """(item_no, offset) of every occurrence of one pattern."""
+        found = list(self.locate_many([pattern], last))
         empty = np.zeros(0, np.int64)
-        if not len(digits) or (digits < 0).any():
-            return empty, empty
-        items, offsets = [], []
-        for p in planner.displaced(digits, self.k):
-            at = self.find_naive(p) if last == "naive" else self.find(p, last)
-            owner = np.searchsorted(self.item_start, at, "right") - 1
-            items.append(self.item_no[owner])
-            offsets.append((at - self.item_start[owner]) * self.k + p.d)
-        return np.concatenate(items), np.concatenate(offsets)
+        return tuple(np.concatenate([f[c] for f in found]) if found else empty for c in (1, 2))
+
+    def count_many(self, patterns: list[str]) -> np.ndarray:
+        """Number of occurrences of each pattern; masked last blocks are enumerated, so no row is walked."""
+        out = np.zeros(len(patterns), np.int64)
+        for low in range(0, len(patterns), LOT):
+            plans = self.planned(patterns[low : low + LOT])
+            owner_of = np.array([p.pattern for p in plans], np.int64) + low
+            firsts = self._table([p.first for p in plans])
+            for number, a, b, masked, _ in self.states(plans, "enumerate"):
+                np.add.at(out, owner_of[number[~masked]], (b - a)[~masked])
+                for owner, _ in self.expanded(firsts, number[masked], a[masked], b[masked], masked[masked]):
+                    np.add.at(out, owner_of[owner], 1)
+        return out
 
     def count(self, pattern: str) -> int:
-        """Number of occurrences; ranges are counted without walking where the last block is fixed or enumerated."""
-        digits = self.alphabet.digits(pattern)
-        if not len(digits) or (digits < 0).any():
-            return 0
-        total = 0
-        for p in planner.displaced(digits, self.k):
-            if p.m == 1:
-                total += sum(b - a for a, b in map(self.symbol_range, self.fitting(p.parts[0])))
-            elif not p.last_masked:
-                total += len(self.rows_of(p, None, None, p.parts))
-            else:
-                total += sum(len(self.rows_of(p, *self.symbol_range(s), p.parts[:-1])) for s in self.fitting(p.parts[-1]))
-        return total
+        return int(self.count_many([pattern])[0])
 
     def exists(self, pattern: str) -> bool:
-        """Whether the pattern occurs; stops at the first displacement that has a hit."""
-        digits = self.alphabet.digits(pattern)
-        if not len(digits) or (digits < 0).any():
-            return False
-        return any(len(self.find(p)) for p in planner.displaced(digits, self.k))
+        return bool(self.count_many([pattern])[0])
 
     def extract(self, item_no: int, start: int, length: int) -> str | None:
         """Characters of an item from ``start``, clipped at its ends; None for an unknown item."""

@@ -1,13 +1,21 @@
-"""Sealed indexes: build from a collection, store, open, search, extract, restore, append and compact."""
+"""Sealed indexes: build from a collection, store, open, search, extract, restore, append and compact.
+
+Every build or append writes a folder of its own, under a new name and with a new salt, then a row for each of its shards,
+then the next version of the metadata, which names the folders that count. A driver that is lost before that leaves a
+folder that nobody reads; its shards share no keystream with those of a later attempt, as the salt differs.
+"""
 
 from __future__ import annotations
 
 import json
 import math
 import secrets
+import time
+import uuid
 import zlib
 from collections.abc import Callable, Iterator
 from dataclasses import asdict, dataclass, replace
+from urllib.parse import unquote
 
 import numpy as np
 import pyarrow as pa
@@ -18,9 +26,13 @@ from seqvault import bwt as transform
 from seqvault.alphabet import MOST_IDS, Alphabet, collect_alphabet, scramble_key
 from seqvault.blocks import PER_SUPER, Coding, encode_block
 from seqvault.cipher import block_key
-from seqvault.encode import join_collection, plan_shards
+from seqvault.encode import join_collection, joined_rows, plan_shards
 from seqvault.fm import ShardFM
-from seqvault.planner import used_symbols
+from seqvault.operators.barrier import barrier
+from seqvault.operators.prefix import place_by_range, row_numbers
+from seqvault.operators.shared_fs import resolve
+from seqvault.planner import displaced
+from seqvault.symbols import c_table, mark_rows, occ_superblocks
 
 #: Columns that all index tables share; each table gives them its own names.
 ROW = "kind string, shard int, no long, a long, b long, c long, ints array<int>, longs array<long>, payload binary, text string"
@@ -36,7 +48,7 @@ TABLES = {
 @dataclass(frozen=True)
 class IndexParams:
     """``mark_pct``: share of text positions that are marked, in percent. ``shard_symbols``: about how many symbols a shard
-    holds; one task keeps a shard in memory (about 60 bytes a symbol)."""
+    holds; one task keeps a shard in memory (about 60 bytes a symbol), but with strategy ``distributed`` or ``doubling``."""
 
     k: int = 4
     bs: int = 4096
@@ -95,6 +107,36 @@ def shard_tables(shard: int, numbers: list[int], names: list[str], seqs: list[st
     ]
 
 
+def spread_tables(planned: DataFrame, alphabet: Alphabet, params: IndexParams, key: bytes, salt: bytes, order) -> DataFrame:
+    """All tables of shards that no task can hold: the transform is sorted over the cluster, blocks are cut from its rows,
+    and the other tables are DataFrames. A superblock lists the symbols that occur in it."""
+    rows, items = joined_rows(planned, alphabet, order)
+    rows = barrier(rows, "symbols")
+    l = barrier(transform.collection_bwt(rows, params.strategy), "transform")  # noqa: E741
+
+    def cut(table: pa.Table) -> pa.Table:
+        shard, no = table["shard"][0].as_py(), table["no"][0].as_py()
+        syms = table.sort_by("row")["sym"].to_numpy()
+        b = encode_block(syms, no, block_key(key, salt, shard, params.nonce_mode), Coding(params.encrypt, params.cipher_mode, params.rounds))
+        check = f"{zlib.crc32(syms.astype('<i8').tobytes()):08x}" if params.checksum else None
+        return _rows("blocks", shard, 1, no=[no], a=[b.n], b=[b.comp_len], c=[b.bits], ints=[b.alpha], longs=[b.counts], payload=[b.payload], text=[check])
+
+    numbered = l.select("shard", F.floor(F.col("row") / params.bs).cast("long").alias("no"), "row", "sym")
+    blocks = numbered.groupBy("shard", "no").applyInArrow(cut, ROW)
+
+    def as_rows(kind: str, df: DataFrame, **columns: str) -> DataFrame:
+        fields = [c.split(" ") for c in ROW.split(", ")]
+        given = {"kind": F.lit(kind), "shard": F.col("shard")} | {c: F.col(x) for c, x in columns.items()}
+        return df.select(*[given.get(c, F.lit(None)).cast(t).alias(c) for c, t in fields])
+
+    supers = occ_superblocks(l, params.bs).groupBy("shard", "super_no").agg(F.sort_array(F.collect_list(F.struct("sym", "before"))).alias("s"))
+    supers = supers.select("shard", "super_no", F.transform("s", lambda x: x["sym"]).alias("syms"), F.transform("s", lambda x: x["before"]).alias("counts"))
+    out = blocks.unionByName(as_rows("items", items.withColumn("length", F.length("seq")), no="item_no", a="length", b="start_sym", c="n_sym", text="seq_id"))
+    out = out.unionByName(as_rows("c_table", c_table(l), no="sym", a="c_before"))
+    out = out.unionByName(as_rows("superblocks", supers, no="super_no", ints="syms", longs="counts"))
+    return out.unionByName(as_rows("marks", mark_rows(l, params.mark_step), no="row", a="pos"))
+
+
 def _checked(items: DataFrame) -> DataFrame:
     columns = [F.col("item_no").cast("long").alias("item_no"), (F.col("seq_id") if "seq_id" in items.columns else F.col("item_no").cast("string")).alias("seq_id"), F.col("seq").cast("string").alias("seq")]
     slim = items.select(*columns)
@@ -106,12 +148,16 @@ def _checked(items: DataFrame) -> DataFrame:
     return slim
 
 
-def build_index(items: DataFrame, params: IndexParams, key: bytes, path: str, salt: bytes | None = None, first_shard: int = 0, letters: list[str] | None = None) -> Index:
+def build_index(items: DataFrame, params: IndexParams, key: bytes, path: str, salt: bytes | None = None, letters: list[str] | None = None) -> Index:
     """Build a sealed index of (item_no, seq[, seq_id]) at ``path``.
 
-    Two small results reach the driver: the used characters and the shard numbers. Shards are built by independent tasks.
-    The list of shards and parameters is written last, and an index without it does not open.
+    One small result reaches the driver: the used characters. Shards are built by independent tasks. The metadata is
+    written last, and an index without it does not open.
     """
+    return _built(items, params, key, path, salt, letters, None)
+
+
+def _built(items: DataFrame, params: IndexParams, key: bytes, path: str, salt: bytes | None, letters: list[str] | None, grown: Index | None) -> Index:
     spark = items.sparkSession
     slim = _checked(items)
     alphabet = Alphabet(tuple(letters if letters is not None else collect_alphabet(slim)), params.k)
@@ -119,37 +165,52 @@ def build_index(items: DataFrame, params: IndexParams, key: bytes, path: str, sa
         raise ValueError(f"{alphabet.sigma} characters and k={params.k} make {alphabet.size} blocks; the limit is {MOST_IDS}")
     salt = salt if salt is not None else secrets.token_bytes(16)
     order = spark.sparkContext.broadcast(scramble_key(key, alphabet.size) if params.scramble else None)
-    planned = plan_shards(slim, params.k, params.shard_symbols).withColumn("shard", F.col("shard") + first_shard)
-    if params.nonce_mode == "paper" and planned.agg(F.max("shard")).first()[0] not in (None, 0):
+    planned = plan_shards(slim, params.k, params.shard_symbols)
+    if params.nonce_mode == "paper" and (grown or planned.agg(F.max("shard")).first()[0] not in (None, 0)):
         raise ValueError("nonce mode paper allows a single shard: another would reuse its keystream")
+    commit = new_commit()
 
     def kernel(table: pa.Table) -> pa.Table:
         table = table.sort_by("item_no")
         return pa.concat_tables(shard_tables(table["shard"][0].as_py(), table["item_no"].to_pylist(), table["seq_id"].to_pylist(), table["seq"].to_pylist(), alphabet, params, key, salt, order.value))
 
-    built = planned.groupBy("shard").applyInArrow(kernel, ROW)
-    built.write.mode("append").option("parquet.block.size", 1 << 20).partitionBy("kind", "shard").parquet(f"{path}/tables")
-    return _commit(spark, path, key, asdict(params) | {"letters": list(alphabet.letters), "salt": salt.hex(), "mark_step": params.mark_step})
+    built = spread_tables(planned, alphabet, params, key, salt, order) if params.strategy in transform.SPREAD else planned.groupBy("shard").applyInArrow(kernel, ROW)
+    _write(built, path, commit)
+    meta = grown.meta if grown else asdict(params) | {"letters": list(alphabet.letters), "mark_step": params.mark_step}
+    return _commit(spark, path, key, meta, commit, salt)
+
 
+def new_commit() -> str:
+    """Name of a folder of tables; the letter keeps it a string as a partition value."""
+    return f"c{uuid.uuid4().hex[:16]}"
 
-def _commit(spark: SparkSession, path: str, key: bytes, meta: dict) -> Index:
-    tables = spark.read.schema(ROW).parquet(f"{path}/tables")
-    shards = sorted(r[0] for r in tables.filter("kind = 'items'").select("shard").distinct().collect())
-    meta = meta | {"shards": shards}
-    spark.createDataFrame([(json.dumps(meta),)], "meta string").coalesce(1).write.mode("overwrite").json(f"{path}/meta")
+
+def _write(rows: DataFrame, path: str, commit: str) -> None:
+    rows.write.mode("append").option("parquet.block.size", 1 << 20).partitionBy("kind", "shard").parquet(f"{path}/tables/commit={commit}")
+
+
+def _commit(spark: SparkSession, path: str, key: bytes, meta: dict, commit: str, salt: bytes) -> Index:
+    """Name the folder's shards, then write the next version of the metadata; a version is one row of one file."""
+    tables = spark.read.schema(ROW).parquet(f"{path}/tables/commit={commit}")
+    shards = tables.filter("kind = 'items'").select("shard").distinct().select("shard", F.lit(commit).alias("commit"))
+    shards.write.mode("append").parquet(f"{path}/shards")
+    meta = meta | {"commits": meta.get("commits", {}) | {commit: salt.hex()}, "version": meta.get("version", 0) + 1}
+    spark.createDataFrame([(meta["version"], json.dumps(meta))], "version long, meta string").coalesce(1).write.mode("append").json(f"{path}/meta")
     return Index(spark, path, key, meta)
 
 
 _OPEN: dict = {}
+#: Shards that stay open in a worker.
+OPEN_SHARDS = 2
 
 
-def open_shard(path: str, shard: int, meta: dict, key: bytes) -> ShardFM:
+def open_shard(path: str, shard: int, commit: str, meta: dict, key: bytes, order: np.ndarray | None) -> ShardFM:
     """One opened shard per worker process, path and key; the last few stay open."""
-    name = (path, shard, meta["salt"], meta["bs"], meta["pad_wildcards"], hash(key))
+    name = (path, shard, commit, meta["bs"], meta["pad_wildcards"], hash(key))
     if name not in _OPEN:
-        if len(_OPEN) >= 4:
+        if len(_OPEN) >= OPEN_SHARDS:
             _OPEN.pop(next(iter(_OPEN)))
-        _OPEN[name] = ShardFM(path, shard, meta, key)
+        _OPEN[name] = ShardFM(path, shard, meta, key, commit, order)
     return _OPEN[name]
 
 
@@ -158,10 +219,28 @@ class Index:
 
     def __init__(self, spark: SparkSession, path: str, key: bytes, meta: dict):
         self.spark, self.path, self.key, self.meta = spark, path, key, meta
+        self._order = None
 
     @staticmethod
     def open(spark: SparkSession, path: str, key: bytes) -> Index:
-        return Index(spark, path, key, json.loads(spark.read.json(f"{path}/meta", "meta string").first()[0]))
+        """The last version that was committed."""
+        last = spark.read.json(f"{path}/meta", "version long, meta string").orderBy(F.desc("version")).first()
+        return Index(spark, path, key, json.loads(last["meta"]))
+
+    @property
+    def alphabet(self) -> Alphabet:
+        return Alphabet(tuple(self.meta["letters"]), self.meta["k"])
+
+    @property
+    def order(self):
+        """The keyed order of all ids, made once and sent to each executor once (at most 2^24 numbers)."""
+        if self._order is None:
+            self._order = self.spark.sparkContext.broadcast(scramble_key(self.key, self.alphabet.size) if self.meta["scramble"] else None)
+        return self._order
+
+    def shards(self) -> DataFrame:
+        """shard, commit of every committed shard."""
+        return self.spark.read.schema("shard int, commit string").parquet(f"{self.path}/shards").filter(F.col("commit").isin(list(self.meta["commits"]))).distinct()
 
     @property
     def params(self) -> IndexParams:
@@ -171,144 +250,213 @@ class Index:
         """The same stored index read under other search options (such as pad_wildcards)."""
         return Index(self.spark, self.path, self.key, self.meta | changes)
 
+    def rows(self) -> DataFrame:
+        """All committed rows of all tables."""
+        return self.spark.read.schema(f"commit string, {ROW}").parquet(f"{self.path}/tables").filter(F.col("commit").isin(list(self.meta["commits"])))
+
     def table(self, name: str) -> DataFrame:
-        """items, c_table, superblocks, blocks or marks; files are pruned by kind, and by shard where filtered."""
-        rows = self.spark.read.schema(ROW).parquet(f"{self.path}/tables").filter(F.col("kind") == name)
-        return rows.select("shard", *[F.col(c).alias(n) for c, n in TABLES[name].items()])
-
-    def _over_shards(self, requests: DataFrame, shards: DataFrame | None, run: Callable[[ShardFM, list[dict]], Iterator[tuple]], schema: pa.Schema, chunks: int) -> DataFrame:
-        """Run requests on shards, one task per (shard, chunk of requests)."""
-        path, meta, key = self.path, self.meta, self.key
-        if shards is None:
-            sent = requests.withColumn("shard", F.explode(F.array(*[F.lit(s) for s in meta["shards"]]).cast("array<int>"))) if meta["shards"] else requests.withColumn("shard", F.lit(0)).limit(0)
-        else:
-            sent = shards
-        sent = sent.withColumn("_chunk", F.pmod(F.xxhash64(*requests.columns), F.lit(chunks)))
+        """items, c_table, superblocks, blocks or marks; files are pruned by commit and kind, and by shard where filtered."""
+        return self.rows().filter(F.col("kind") == name).select("commit", "shard", *[F.col(c).alias(n) for c, n in TABLES[name].items()])
 
-        def search(table: pa.Table) -> pa.Table:
-            fm = open_shard(path, table["shard"][0].as_py(), meta, key)
-            rows = list(run(fm, table.drop_columns(["shard", "_chunk"]).to_pylist()))
-            return pa.table([pa.array([r[i] for r in rows], f.type) for i, f in enumerate(schema)], schema=schema)
+    def _over_shards(self, sent: DataFrame, run: Callable[[ShardFM, pa.Table], Iterator[dict]], schema: pa.Schema, most: int = 20_000) -> DataFrame:
+        """Run requests (with shard and commit) on shards, one task per shard and ``most`` requests.
 
-        return sent.groupBy("shard", "_chunk").applyInArrow(search, ", ".join(f"{f.name} {'string' if f.type == pa.string() else 'long'}" for f in schema))
+        A shard is opened once for all requests of its task. ``run`` yields the columns of the result in lots.
+        """
+        path, meta, key, order = self.path, self.meta, self.key, self.order
 
-    def locate(self, patterns: DataFrame, last: str = "auto", pruned: bool = False, chunks: int = 8) -> DataFrame:
+        def search(table: pa.Table) -> pa.Table:
+            fm = open_shard(path, table["shard"][0].as_py(), table["commit"][0].as_py(), meta, key, order.value)
+            lots = [pa.table({f.name: pa.array(lot[f.name], f.type) for f in schema}) for lot in run(fm, table)]
+            return pa.concat_tables([*lots, schema.empty_table()])
+
+        keys = [c for c in sent.columns if c not in ("shard", "commit")]
+        chunks = max(1, -(-sent.select(keys[0]).distinct().count() // most))
+        sent = sent.withColumn("_chunk", F.pmod(F.xxhash64(*keys), F.lit(chunks)))
+        parts = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+        names = ", ".join(f"{f.name} {'string' if f.type == pa.string() else 'long'}" for f in schema)
+        # few bytes, but work for many tasks: a number of partitions that is named is not lowered by their size
+        return sent.repartition(parts, "shard", "commit", "_chunk").groupBy("shard", "commit", "_chunk").applyInArrow(search, names)
+
+    def _wanted(self, patterns: DataFrame, pruned: bool) -> DataFrame:
+        """pattern_id, pattern, shard, commit of the searches to make."""
+        slim = patterns.select("pattern_id", "pattern")
+        return self.prune_shards(slim) if pruned else slim.crossJoin(F.broadcast(self.shards()))  # every shard is asked
+
+    def locate(self, patterns: DataFrame, last: str = "auto", pruned: bool = True) -> DataFrame:
         """pattern_id, item_no, offset of every occurrence. ``last``: auto, verify, enumerate or naive."""
 
-        def run(fm: ShardFM, rows: list[dict]) -> Iterator[tuple]:
-            for r in rows:
-                for item, offset in zip(*fm.locate(r["pattern"], last), strict=True):
-                    yield r["pattern_id"], int(item), int(offset)
+        def run(fm: ShardFM, table: pa.Table) -> Iterator[dict]:
+            numbers = table["pattern_id"].to_numpy()
+            for number, item, offset in fm.locate_many(table["pattern"].to_pylist(), last):
+                yield {"pattern_id": numbers[number], "item_no": item, "offset": offset}
 
-        schema = pa.schema([("pattern_id", pa.int64()), ("item_no", pa.int64()), ("offset", pa.int64())])
-        slim = patterns.select("pattern_id", "pattern")
-        return self._over_shards(slim, self.prune_shards(slim) if pruned else None, run, schema, chunks)
+        return self._over_shards(self._wanted(patterns, pruned), run, pa.schema([(c, pa.int64()) for c in ("pattern_id", "item_no", "offset")]))
 
-    def count(self, patterns: DataFrame, chunks: int = 8) -> DataFrame:
+    def _counts(self, patterns: DataFrame, pruned: bool) -> DataFrame:
+        run = lambda fm, table: [{"pattern_id": table["pattern_id"].to_numpy(), "n": fm.count_many(table["pattern"].to_pylist())}]
+        return self._over_shards(self._wanted(patterns, pruned), run, pa.schema([("pattern_id", pa.int64()), ("n", pa.int64())]))
+
+    def count(self, patterns: DataFrame, pruned: bool = True) -> DataFrame:
         """pattern_id, n for every pattern, 0 included."""
-        schema = pa.schema([("pattern_id", pa.int64()), ("n", pa.int64())])
-        found = self._over_shards(patterns.select("pattern_id", "pattern"), None, lambda fm, rows: ((r["pattern_id"], fm.count(r["pattern"])) for r in rows), schema, chunks)
-        totals = found.groupBy("pattern_id").agg(F.sum("n").alias("n"))
+        totals = self._counts(patterns, pruned).groupBy("pattern_id").agg(F.sum("n").alias("n"))
         return patterns.select("pattern_id").join(totals, "pattern_id", "left").select("pattern_id", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
 
-    def exists(self, patterns: DataFrame, chunks: int = 8) -> DataFrame:
+    def exists(self, patterns: DataFrame, pruned: bool = True) -> DataFrame:
         """The patterns that occur."""
-        schema = pa.schema([("pattern_id", pa.int64())])
-        found = self._over_shards(patterns.select("pattern_id", "pattern"), None, lambda fm, rows: ((r["pattern_id"],) for r in rows if fm.exists(r["pattern"])), schema, chunks)
-        return patterns.join(found, "pattern_id", "left_semi")
+        return patterns.join(self._counts(patterns, pruned).filter("n > 0"), "pattern_id", "left_semi")
 
     def extract(self, requests: DataFrame) -> DataFrame:
-        """req_id, text for requests (req_id, item_no, start, len). Each goes to the shard of its item only."""
-        schema = pa.schema([("req_id", pa.int64()), ("text", pa.string())])
-        sent = requests.select("req_id", "item_no", "start", "len").join(self.table("items").select("shard", "item_no"), "item_no").select("req_id", "item_no", "start", "len", "shard")
-        run = lambda fm, rows: ((r["req_id"], fm.extract(r["item_no"], r["start"], r["len"])) for r in rows)
-        return self._over_shards(requests.select("req_id", "item_no", "start", "len"), sent, run, schema, 8)
+        """req_id, text for requests (req_id, item_no, start, len); null for an item that is null or not there.
+
+        Each goes to the shard of its item only.
+        """
+        slim = requests.select("req_id", "item_no", "start", "len")
+        sent = slim.join(self.table("items").select("commit", "shard", "item_no"), "item_no")
+
+        def run(fm: ShardFM, table: pa.Table) -> Iterator[dict]:
+            asked = zip(*(table[c].to_pylist() for c in ("item_no", "start", "len")), strict=True)
+            yield {"req_id": table["req_id"], "text": [fm.extract(*a) for a in asked]}
+
+        found = self._over_shards(sent, run, pa.schema([("req_id", pa.int64()), ("text", pa.string())]))
+        return slim.select("req_id").join(found, "req_id", "left")
 
     def work(self, patterns: DataFrame, last: str = "auto") -> DataFrame:
         """pattern_id, shard, blocks_loaded, blocks, lf_steps, checked: what each pattern's locate touches by itself."""
 
-        def run(fm: ShardFM, rows: list[dict]) -> Iterator[tuple]:
-            for r in rows:
+        def run(fm: ShardFM, table: pa.Table) -> Iterator[dict]:
+            for number, pattern in zip(table["pattern_id"].to_pylist(), table["pattern"].to_pylist(), strict=True):
                 fm.work = type(fm.work)()
-                fm.locate(r["pattern"], last)
-                yield r["pattern_id"], fm.shard, len(fm.work.loaded), fm.n_blocks, fm.work.lf_steps, fm.work.checked
+                fm.locate(pattern, last)
+                yield {"pattern_id": [number], "shard": [fm.shard], "blocks_loaded": [len(fm.work.loaded)], "blocks": [fm.n_blocks], "lf_steps": [fm.work.lf_steps], "checked": [fm.work.checked]}
 
         schema = pa.schema([(c, pa.int64()) for c in ("pattern_id", "shard", "blocks_loaded", "blocks", "lf_steps", "checked")])
-        return self._over_shards(patterns.select("pattern_id", "pattern"), None, run, schema, 8)
+        return self._over_shards(self._wanted(patterns, False), run, schema, 500)
+
+    def search_times(self, patterns: DataFrame, last: str = "auto") -> DataFrame:
+        """pattern_id, shard, open_us, micros, hits: each pattern's locate by itself on a shard that is open, after one
+        warming search, and how long the shard took to open; measured in the tasks that hold the shards."""
+        path, meta, key, order = self.path, self.meta, self.key, self.order
+
+        def run(fm: ShardFM, table: pa.Table) -> Iterator[dict]:
+            began = time.perf_counter()
+            fresh = ShardFM(path, fm.shard, meta, key, table["commit"][0].as_py(), order.value)
+            opened = time.perf_counter() - began
+            for number, pattern in zip(table["pattern_id"].to_pylist(), table["pattern"].to_pylist(), strict=True):
+                fresh.locate(pattern, last)
+                began = time.perf_counter()
+                hits = len(fresh.locate(pattern, last)[0])
+                yield {"pattern_id": [number], "shard": [fm.shard], "open_us": [int(opened * 1e6)], "micros": [int((time.perf_counter() - began) * 1e6)], "hits": [hits]}
+
+        schema = pa.schema([(c, pa.int64()) for c in ("pattern_id", "shard", "open_us", "micros", "hits")])
+        return self._over_shards(self._wanted(patterns, False), run, schema)
 
     def prune_shards(self, patterns: DataFrame) -> DataFrame:
-        """(pattern_id, pattern, shard) of shards whose used symbols fit some displacement of the pattern entirely.
+        """pattern_id, pattern, shard, commit of the shards that can hold a pattern.
 
-        Only the small symbol tables are read.
+        An occurrence at a displacement holds all its fixed blocks, so only shards with the one of them that the fewest
+        shards use are asked. Only the small symbol tables are read. Displacements without a fixed block ask all shards.
         """
-        alphabet = Alphabet(tuple(self.meta["letters"]), self.meta["k"])
-        order = scramble_key(self.key, alphabet.size) if self.meta["scramble"] else None
-        pad = self.meta["pad_wildcards"]
-        used = self.table("c_table").groupBy("shard").agg(F.collect_list("sym").alias("syms"))
-
-        def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            from seqvault.planner import displaced, mask_matches
+        alphabet, order, k = self.alphabet, self.order, self.meta["k"]
 
+        def fixed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                keep = []
-                for pattern, syms in zip(batch.column(1).to_pylist(), batch.column(3).to_pylist(), strict=True):
-                    digits, there = alphabet.digits(pattern), used_symbols(alphabet, order, np.array(sorted(syms)))
-                    keep.append(bool(len(digits)) and bool((digits >= 0).all()) and any(all(mask_matches(there, part, pad).any() for part in p.parts) for p in displaced(digits, alphabet.k)))
-                yield batch.select(["pattern_id", "pattern", "shard"]).filter(pa.array(keep, pa.bool_()))
-
-        fanned = patterns.withColumn("shard", F.explode(F.array(*[F.lit(s) for s in self.meta["shards"]]).cast("array<int>")))
-        return fanned.join(used, "shard").select("pattern_id", "pattern", "shard", "syms").mapInArrow(check, "pattern_id long, pattern string, shard int")
+                rows: list[tuple] = []
+                for number, pattern in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                    digits = alphabet.digits(pattern or "")
+                    if not len(digits) or (digits < 0).any():
+                        continue
+                    for p in displaced(digits, k):
+                        ids = alphabet.of_digits(p.parts[(p.parts >= 0).all(1)])
+                        syms = np.unique(ids if order.value is None else order.value[ids]).tolist()
+                        rows += [(number, pattern, p.d, s) for s in syms or [None]]
+                columns = list(zip(*rows, strict=True)) or [[]] * 4
+                yield pa.record_batch([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.string(), pa.int32(), pa.int64()), strict=True)], names=["pattern_id", "pattern", "d", "sym"])
+
+        wanted = patterns.select("pattern_id", "pattern").mapInArrow(fixed, "pattern_id long, pattern string, d int, sym long")
+        holders = self.table("c_table").select("sym", "shard", "commit")
+        usage = holders.groupBy("sym").agg(F.count(F.lit(1)).alias("n"))
+        scored = wanted.join(usage, "sym", "left").withColumn("n", F.when(F.col("sym").isNotNull(), F.coalesce("n", F.lit(0))))
+        rarest = barrier(scored.groupBy("pattern_id", "pattern", "d").agg(F.min_by("sym", "n").alias("sym"), F.min("n").alias("n")), "rarest")
+        near = rarest.filter("n > 0").join(holders, "sym").select("pattern_id", "pattern", "shard", "commit")
+        free = rarest.filter("n is null").select("pattern_id", "pattern").distinct().crossJoin(F.broadcast(self.shards()))
+        return near.unionByName(free).distinct()
+
+    def _each_shard(self, run: Callable[[ShardFM], Iterator[pa.Table]], schema: str) -> DataFrame:
+        """The rows that ``run`` makes of every shard, a shard per task."""
+        path, meta, key, order = self.path, self.meta, self.key, self.order
+
+        def one(table: pa.Table) -> pa.Table:
+            return run(open_shard(path, table["shard"][0].as_py(), table["commit"][0].as_py(), meta, key, order.value))
+
+        parts = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+        return self.shards().repartition(parts, "shard", "commit").groupBy("shard", "commit").applyInArrow(one, schema)
 
     def restore(self) -> DataFrame:
         """item_no, seq of the whole collection: opens every block and inverts the transform, a shard per task."""
-        path, meta, key = self.path, self.meta, self.key
 
-        def run(table: pa.Table) -> pa.Table:
-            numbers, seqs = [], []
-            for shard in table["shard"].to_pylist():
-                fm = open_shard(path, shard, meta, key)
-                text = np.searchsorted(fm.syms, transform.invert(fm.transform()))
-                for no, start, n in zip(fm.item_no.tolist(), fm.item_start.tolist(), fm.item_blocks.tolist(), strict=True):
-                    numbers.append(no)
-                    seqs.append(fm.alphabet.text(fm.digits[text[start : start + n]].reshape(-1)))
-            return pa.table({"item_no": pa.array(numbers, pa.int64()), "seq": pa.array(seqs, pa.string())})
-
-        shards = self.spark.createDataFrame([(s,) for s in self.meta["shards"]], "shard int")
-        return shards.groupBy("shard").applyInArrow(run, "item_no long, seq string")
+        def run(fm: ShardFM) -> pa.Table:
+            text = np.searchsorted(fm.syms, transform.invert(fm.transform()))
+            spans = zip(fm.item_start.tolist(), fm.item_blocks.tolist(), strict=True)
+            seqs = [fm.alphabet.text(fm.digits[text[start : start + n]].reshape(-1)) for start, n in spans]
+            return pa.table({"item_no": pa.array(fm.item_no, pa.int64()), "seq": pa.array(seqs, pa.string())})
+
+        return self._each_shard(run, "item_no long, seq string")
 
     def recut(self, path: str, bs: int) -> Index:
-        """The same index with another block size: blocks are cut anew from the opened transform, nothing is sorted."""
+        """The same index with another block size: blocks are cut anew from the opened transform, nothing is sorted.
+
+        Shards of several commits are numbered anew in one.
+        """
         src, meta, key, params = self.path, self.meta, self.key, replace(self.params, bs=bs)
-        salt = secrets.token_bytes(16)
+        salt, commit, order = secrets.token_bytes(16), new_commit(), self.order
+        numbered = barrier(row_numbers(place_by_range(self.shards(), ["commit", "shard"], "recut"), ["commit", "shard"], "new").select("commit", "shard", F.col("new").cast("int").alias("new")), "renumbered")
 
         def run(table: pa.Table) -> pa.Table:
-            shard = table["shard"][0].as_py()
-            return pa.concat_tables(block_tables(open_shard(src, shard, meta, key).transform(), shard, params, block_key(key, salt, shard, params.nonce_mode)))
+            shard, new = table["shard"][0].as_py(), table["new"][0].as_py()
+            fm = open_shard(src, shard, table["commit"][0].as_py(), meta, key, order.value)
+            return pa.concat_tables(block_tables(fm.transform(), new, params, block_key(key, salt, new, params.nonce_mode)))
 
-        shards = self.spark.createDataFrame([(s,) for s in meta["shards"]], "shard int")
-        cut = shards.groupBy("shard").applyInArrow(run, ROW)
-        kept = self.spark.read.schema(ROW).parquet(f"{src}/tables").filter("kind in ('items', 'c_table', 'marks')").select(*[c.split()[0] for c in ROW.split(", ")])
-        cut.unionByName(kept).write.option("parquet.block.size", 1 << 20).partitionBy("kind", "shard").parquet(f"{path}/tables")
-        return _commit(self.spark, path, key, meta | {"bs": bs, "salt": salt.hex()})
+        cut = numbered.groupBy("commit", "shard").applyInArrow(run, ROW)
+        columns = [c.split()[0] for c in ROW.split(", ")]
+        kept = self.rows().filter("kind in ('items', 'c_table', 'marks')").join(F.broadcast(numbered), ["commit", "shard"]).withColumn("shard", F.col("new"))
+        _write(cut.unionByName(kept.select(*columns)), path, commit)
+        return _commit(self.spark, path, key, meta | {"bs": bs, "commits": {}, "version": 0}, commit, salt)
 
     def append(self, items: DataFrame) -> Index:
-        """Add items in new shards: shard numbers are never used again, so no keystream is. New characters need a rebuild."""
+        """Add items in new shards, under a salt of their own, so that no keystream is used twice. New characters need a
+        rebuild."""
         known = set(self.meta["letters"])
         if new := [c for c in collect_alphabet(items.select(F.col("seq").cast("string"))) if c not in known]:
             raise ValueError(f"characters {new} are not in this index; rebuild it")
         clash = items.select(F.col("item_no").cast("long")).join(self.table("items").select("item_no"), "item_no", "left_semi")
         if not clash.isEmpty():
             raise ValueError("an item number is in the index already")
-        return build_index(items, self.params, self.key, self.path, bytes.fromhex(self.meta["salt"]), max(self.meta["shards"], default=-1) + 1, self.meta["letters"])
+        return _built(items, self.params, self.key, self.path, None, self.meta["letters"], self)
 
     def compact(self, path: str) -> Index:
         """One new index at ``path`` from all shards, with a new salt."""
         names = self.table("items").select("item_no", "seq_id")
         return build_index(self.restore().join(names, "item_no"), self.params, self.key, path)
 
+    def stored_bytes(self) -> int:
+        """Bytes of the index as it lies on disk: Parquet files with their compression, all tables."""
+        files = self.rows().select(F.input_file_name().alias("f")).distinct()
+
+        def sizes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                found = []
+                for uri in batch.column(0).to_pylist():
+                    store, name = resolve(unquote(uri))
+                    found.append(store.get_file_info(name).size)
+                yield pa.record_batch([pa.array(found, pa.int64())], names=["size"])
+
+        return files.mapInArrow(sizes, "size long").agg(F.sum("size")).first()[0] or 0
+
     def payload_bytes(self) -> DataFrame:
-        """kind, bytes: what the parts of the index take, packed: sealed payloads, local alphabets, counts, marks, tables."""
-        rows = self.spark.read.schema(ROW).parquet(f"{self.path}/tables")
+        """kind, bytes: what the parts of the index would take, packed to the bit: sealed payloads, local alphabets, counts,
+        marks, tables. A model: the tables on disk (:meth:`stored_bytes`) hold whole numbers, compressed by Parquet."""
+        rows = self.rows()
         ids = max(1, math.ceil(math.log2(max(2, (len(self.meta["letters"]) + 2) ** self.meta["k"]))))
         size = (
             F.when(F.col("kind") == "blocks", F.length("payload") + F.ceil(F.size("ints") * (ids + F.ceil(F.log2(F.col("a") + 1))) / 8) + 12)

@@ -76,9 +76,8 @@ def _blocks_sql(k: int, items: str = "nuc") -> str:
 
 def _located(**changes) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        last = changes.get("last", "auto")
         params = {k: v for k, v in changes.items() if k not in ("last", "pruned")}
-        return sealed(spark, sf_dir, **params).locate(pats(spark, sf_dir), last, changes.get("pruned", False))
+        return sealed(spark, sf_dir, **params).locate(pats(spark, sf_dir), changes.get("last", "auto"), changes.get("pruned", True))
 
     return run
 
@@ -132,6 +131,22 @@ whole AS (SELECT flatten(list(bs ORDER BY item_no)) || [0] AS ids FROM blocks),
 joined AS (SELECT [([{order}])[x + 1] FOR x IN ids] AS text FROM whole), {_ROTATE} SELECT * FROM bwt"""
 
 
+#: Maximal runs of 12 and more in the nucleotide collection, joined with a separator after each item and an end mark.
+LONG_RUNS_SQL = f"""WITH {views.NUC_SQL}, flat AS (SELECT item_no, unnest(string_split(seq || '|', '')) AS letter, unnest(range(length(seq) + 1)) AS spot FROM nuc),
+pos AS (SELECT row_number() OVER (ORDER BY item_no, spot) - 1 AS pos, CASE letter WHEN '|' THEN 1 WHEN 'A' THEN 2 WHEN 'C' THEN 3 WHEN 'G' THEN 4 WHEN 'N' THEN 5 ELSE 6 END AS sym FROM flat),
+whole AS (SELECT * FROM pos UNION ALL SELECT max(pos) + 1, 0 FROM pos),
+marked AS (SELECT *, lead(sym) OVER (ORDER BY pos) AS later, CASE WHEN lag(sym) OVER (ORDER BY pos) = sym THEN 0 ELSE 1 END AS new FROM whole),
+islands AS (SELECT *, sum(new) OVER (ORDER BY pos) AS island FROM marked)
+SELECT 0 AS shard, min(pos) AS start, CAST(any_value(sym) AS BIGINT) AS sym, count(*) AS run_len, CAST(max_by(later, pos) AS BIGINT) AS next_sym FROM islands GROUP BY island HAVING count(*) >= 12"""
+#: Windows that share a third of a pattern exactly, in place, compared letter by letter.
+INEXACT_SQL = f"""WITH {views.NUC_SQL}, {views.patterns_sql("nuc", [50, 100], N_PATTERNS)},
+seeds AS (SELECT pattern_id, pattern, length(pattern) * s // 3 AS spot, substr(pattern, CAST(length(pattern) * s // 3 AS INT) + 1, CAST(length(pattern) * (s + 1) // 3 - length(pattern) * s // 3 AS INT)) AS seed FROM pats, (SELECT unnest([0, 1, 2]) AS s)),
+found AS (SELECT pattern_id, pattern, spot, item_no, seq, seed FROM seeds JOIN nuc ON contains(seq, seed)),
+starts AS (SELECT DISTINCT pattern_id, pattern, item_no, seq, o - spot AS start FROM (SELECT *, unnest([o FOR o IN range(0, length(seq) - length(seed) + 1) IF substr(seq, CAST(o AS INT) + 1, length(seed)) = seed]) AS o FROM found) WHERE o >= spot AND o - spot + length(pattern) <= length(seq)),
+compared AS (SELECT pattern_id, item_no, start AS "offset", hamming(substr(seq, CAST(start AS INT) + 1, length(pattern)), pattern) AS mismatches FROM starts)
+SELECT * FROM compared WHERE mismatches <= 2"""
+
+
 def _name_alphabet_query(make: Callable[[DataFrame], DataFrame]) -> Query:
     return lambda spark, sf_dir: make(_names_bwt()(spark, sf_dir))
 
@@ -159,23 +174,33 @@ def _path_index(spark: SparkSession, sf_dir: str, **changes) -> Index:
 
 # variants
 
-def _workload(name: str, lengths: tuple[int, ...] = (20, 50, 100)) -> tuple[Query, str]:
-    source, n, seed, most = workloads.STAND_INS[name]
+def _collection(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return _kept(spark, ("collection", sf_dir, name), lambda: collection(spark, sf_dir, name))
 
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        items = _kept(spark, ("collection", sf_dir, name), lambda: collection(spark, sf_dir, name))
-        index = _index(spark, sf_dir, name, lambda: items, IndexParams(k=4, bs=4096))
-        return index.locate(views.sample_patterns(items, list(lengths), 3))
 
-    sql = f'WITH {views.NUC_SQL}, {views.variant_sql(source, n, seed, most)}, {views.patterns_sql("variants", list(lengths), 3)}, {scan_sql("variants", "pats")} SELECT pattern_id, item_no, "offset" FROM hits'
-    return run, sql
+def _windows(spark: SparkSession, sf_dir: str, name: str, n: int = workloads.PATTERNS, lengths: tuple[int, ...] = MEDIAN_LENGTHS) -> DataFrame:
+    return _kept(spark, ("windows", sf_dir, name, n, lengths), lambda: barrier(views.sample_windows(_collection(spark, sf_dir, name), list(lengths), n), "windows"))
+
+
+def _workload_index(spark: SparkSession, sf_dir: str, name: str, **changes) -> Index:
+    return _index(spark, sf_dir, name, lambda: _collection(spark, sf_dir, name), replace(IndexParams(k=4, bs=4096, shard_symbols=1 << 19), **changes))
+
+
+def _workload(name: str) -> Query:
+    """All patterns of the protocol located in a collection; SQL would take too long over whole references."""
+    return lambda spark, sf_dir: _workload_index(spark, sf_dir, name).locate(_windows(spark, sf_dir, name))
+
+
+def _plain_workload(name: str) -> Query:
+    plain = lambda s, d: _kept(s, ("plain", d, name), lambda: PlainFM.build(_collection(s, d, name)))
+    return lambda spark, sf_dir: plain(spark, sf_dir).locate(_windows(spark, sf_dir, name))
 
 
 def variants(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return views.variant_collection(views.reference(spark, sf_dir, "src0", 5_000), 10, SEED)
+    return views.variant_collection(views.reference(spark, sf_dir, "src0"), 10, SEED)
 
 
-_VARIANTS = f"WITH {views.NUC_SQL}, {views.variant_sql('src0', 10, SEED, 5_000)}"
+_VARIANTS = f"WITH {views.NUC_SQL}, {views.variant_sql('src0', 10, SEED)}"
 
 
 def found(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -194,14 +219,23 @@ def _absent(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sealed(spark, sf_dir).count(changed).filter("n = 0").select("pattern_id")
 
 
+#: Letters of the pieces of a benchmark item that are looked for.
+PIECE = 30
+
+
 def _benchmark_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
-    items = views.raw_view(spark, sf_dir, "benchmark")
-    return items.filter(F.length("seq") >= 30).select(F.col("item_no").alias("pattern_id"), F.substring("seq", 1, 30).alias("pattern"))
+    """Every window of PIECE letters of every item, or the item itself if it is shorter."""
+    items = views.raw_view(spark, sf_dir, "benchmark").filter("seq <> ''")
+    starts = F.sequence(F.lit(0), F.greatest(F.length("seq") - PIECE, F.lit(0)))
+    pieces = items.select("item_no", F.explode_outer(F.transform(starts, lambda i: F.struct(i.alias("i"), F.substring(F.col("seq"), i + 1, F.lit(PIECE)).alias("pattern")))).alias("w"))
+    return pieces.select((F.col("item_no") * 1_000_000 + F.col("w.i")).alias("pattern_id"), F.col("w.pattern").alias("pattern"))
 
 
 def _benchmark_overlap(spark: SparkSession, sf_dir: str) -> DataFrame:
-    index = _index(spark, sf_dir, "raw", lambda: views.raw_view(spark, sf_dir), IndexParams(k=2, bs=4096))
-    return index.locate(_benchmark_windows(spark, sf_dir))
+    """item_id, doc, n: how many windows of a benchmark item a document holds."""
+    index = _index(spark, sf_dir, "raw", lambda: views.raw_view(spark, sf_dir), IndexParams(k=2, bs=4096, shard_symbols=1 << 19))
+    hits = index.locate(_benchmark_windows(spark, sf_dir))
+    return hits.groupBy(F.floor(F.col("pattern_id") / 1_000_000).cast("long").alias("item_id"), F.col("item_no").alias("doc_id")).agg(F.count_distinct("pattern_id").alias("n"))
 
 
 def _windowed_hits(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -263,12 +297,11 @@ def _strategy_equal(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _ratio_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
-    items = _kept(spark, ("collection", sf_dir, "consensus_b"), lambda: collection(spark, sf_dir, "consensus_b"))
-    return workloads.tidy(spark, workloads.ratios(items, (4, 7), (4096, 32768)))
+    return workloads.tidy(spark, workloads.ratios(_collection(spark, sf_dir, "consensus_b"), params=IndexParams(shard_symbols=1 << 19)))
 
 
-def _search_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return workloads.tidy(spark, workloads.search(sealed(spark, sf_dir), pats(spark, sf_dir)))
+def _search_rows(name: str, lengths: tuple[int, ...]) -> Query:
+    return lambda spark, sf_dir: workloads.tidy(spark, workloads.search(_workload_index(spark, sf_dir, name), _windows(spark, sf_dir, name, lengths=lengths)))
 
 
 def _homophony(k: int) -> tuple[Query, str]:
@@ -289,7 +322,7 @@ def _registered() -> dict[str, tuple[Query, str | None]]:
     q["super_pattern_counts"] = (lambda s, d: planner.super_pattern_counts(pats(s, d), 4, 7), f"WITH {views.NUC_SQL}, {_PATS} SELECT pattern_id, CAST({' + '.join(free(d) for d in range(4))} AS BIGINT) AS naive, CAST(4 * pow(5.0, 4 - length(pattern) % 4) AS BIGINT) AS formula, CAST(4 AS BIGINT) AS optimised FROM pats")
     for name in ("bruteforce", "kernel", "runs", "ranges", "distributed", "doubling"):
         q[f"plain_bwt_{name}"] = (_names_bwt(name), f"{_NAME_BWT} SELECT * FROM bwt")
-    q["bwt_strategies_differ"] = (_strategy_equal, None)
+    q["bwt_strategies_differ"] = (_strategy_equal, "SELECT unnest(['kernel', 'runs', 'ranges', 'distributed', 'doubling']) AS strategy, CAST(0 AS BIGINT) AS differs")
     q["scrambled_bwt_small"] = (_names_bwt("kernel", 2, True), _scrambled_sql())
     q["c_table"] = (_name_alphabet_query(lambda b: symbols.c_table(b)), f"{_NAME_BWT} SELECT shard, sym, CAST(coalesce(sum(count(*)) OVER (ORDER BY sym ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS c_before FROM bwt GROUP BY shard, sym")
     q["occ_blocks"] = (_name_alphabet_query(lambda b: symbols.occ_blocks(b, 8)), f"{_NAME_BWT}, c AS (SELECT shard, row // 8 AS block_no, sym, count(*) AS n FROM bwt GROUP BY ALL) SELECT shard, block_no, sym, n, CAST(coalesce(sum(n) OVER (PARTITION BY sym, block_no // 16 ORDER BY block_no ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS before FROM c")
@@ -297,13 +330,13 @@ def _registered() -> dict[str, tuple[Query, str | None]]:
     q["bwt_runs"] = (_name_alphabet_query(bwt.bwt_runs), f"{_NAME_BWT} SELECT shard, CAST(sum(CASE WHEN p IS NULL OR p <> sym THEN 1 ELSE 0 END) AS BIGINT) AS runs FROM (SELECT shard, sym, lag(sym) OVER (ORDER BY row) AS p FROM bwt) GROUP BY shard")
     q["mark_rows"] = (_name_alphabet_query(lambda b: symbols.mark_rows(b, 5)), f"{_NAME_BWT} SELECT shard, row, pos FROM bwt WHERE pos % 5 = 0")
     q["range_histogram"] = (lambda s, d: bwt.range_histogram(_name_symbols(s, d, 1, False)[0], 30, 4), f"{_NAME_BWT} SELECT CAST(least(sym // 8, 3) AS INT) AS bucket, count(*) AS n FROM bwt GROUP BY 1")
-    q["long_runs"] = (lambda s, d: symbols.long_runs(_kept(s, ("nucsym", d), lambda: barrier(symbols.joined_symbols(nuc(s, d), Alphabet(tuple("ACGNT"), 1)), "symbols")), 12), None)
+    q["long_runs"] = (lambda s, d: symbols.long_runs(_kept(s, ("nucsym", d), lambda: barrier(symbols.joined_symbols(nuc(s, d), Alphabet(tuple("ACGNT"), 1)), "symbols")), 12), LONG_RUNS_SQL)
     q["invert_bwt"] = (lambda s, d: bwt.invert_bwt(_names_bwt()(s, d)).select(F.col("shard").cast("long").alias("shard"), "pos", "sym"), f"WITH {_NAME_TEXT} SELECT CAST(0 AS BIGINT) AS shard, CAST(unnest(range(len(text))) AS BIGINT) AS pos, CAST(unnest(text) AS BIGINT) AS sym FROM joined")
-    q["bwt_per_item"] = (lambda s, d: bwt.bwt_per_item(names(s, d)), None)
+    q["bwt_per_item"] = (lambda s, d: bwt.bwt_per_item(names(s, d)), "WITH turned AS (SELECT n_nationkey AS item_no, n_name AS t, unnest(range(0, length(n_name) + 1)) AS i FROM nation), ranked AS (SELECT item_no, CASE WHEN i = 0 THEN '' ELSE substr(t, CAST(i AS INT), 1) END AS letter, row_number() OVER (PARTITION BY item_no ORDER BY substr(t, CAST(i AS INT) + 1)) - 1 AS row FROM turned) SELECT CAST(item_no AS BIGINT) AS item_no, string_agg(letter, '' ORDER BY row) AS bwt, max(row) FILTER (WHERE letter = '') AS \"end\" FROM ranked GROUP BY item_no")
     q["sealed_count"] = (lambda s, d: sealed(s, d).count(pats(s, d)), COUNT_SQL)
     for k in (1, 2, 3, 5, 6, 7):
         q[f"sealed_locate_k{k}"] = (_located(k=k), LOCATE_SQL)
-    for name, changes in {"bs": {"bs": 8192}, "marks": {"mark_pct": 1.5}, "noscramble": {"scramble": False}, "noencrypt": {"encrypt": False}, "xor": {"cipher_mode": "xor"}, "rounds12": {"rounds": 12}, "checksum": {"checksum": True}, "runs": {"strategy": "runs"}, "ranges": {"strategy": "ranges"}, "shards": {"shard_symbols": 100_000}, "pruned": {"shard_symbols": 100_000, "pruned": True}, "verify": {"last": "verify"}, "enumerate": {"last": "enumerate"}}.items():
+    for name, changes in {"bs": {"bs": 8192}, "marks": {"mark_pct": 1.5}, "noscramble": {"scramble": False}, "noencrypt": {"encrypt": False}, "xor": {"cipher_mode": "xor"}, "rounds12": {"rounds": 12}, "checksum": {"checksum": True}, "runs": {"strategy": "runs"}, "ranges": {"strategy": "ranges"}, "distributed": {"strategy": "distributed", "shard_symbols": 1 << 40}, "shards": {"shard_symbols": 100_000}, "unpruned": {"shard_symbols": 100_000, "pruned": False}, "verify": {"last": "verify"}, "enumerate": {"last": "enumerate"}}.items():
         q[f"sealed_locate_{name}"] = (_located(**changes), LOCATE_SQL)
     q["sealed_locate_short"] = (lambda s, d: sealed(s, d).locate(pats(s, d, SHORT)), SHORT_SQL)
     q["naive_locate"] = (lambda s, d: sealed(s, d, k=3).locate(pats(s, d), "naive"), LOCATE_SQL)
@@ -326,7 +359,7 @@ def _registered() -> dict[str, tuple[Query, str | None]]:
     q["cte_roundtrip"] = (lambda s, d: compressors.decrypt_then_open(compressors.compress_then_encrypt(nuc(s, d), DEMO_KEY), DEMO_KEY), RESTORE_SQL)
     q["bzip_roundtrip"] = (lambda s, d: compressors.bunzip_items(compressors.bzip_items(nuc(s, d))), RESTORE_SQL)
     q["bwt_generic_roundtrip"] = (lambda s, d: compressors.bwt_generic_open(*compressors.bwt_generic(nuc(s, d))), RESTORE_SQL)
-    q["referential_size"] = (lambda s, d: compressors.referential_size(variants(s, d), views.reference(s, d, "src0", 5_000)), None)
+    q["referential_size"] = (lambda s, d: compressors.referential_size(variants(s, d), views.reference(s, d, "src0")), None)
     for k in (4, 5, 6, 7, 8):
         q[f"homophony_k{k}"] = _homophony(k)
     q["variant_collection"] = (variants, f"{_VARIANTS} SELECT item_no, seq FROM variants")
@@ -352,30 +385,33 @@ def _registered() -> dict[str, tuple[Query, str | None]]:
     q["engine_minus_scan"] = (lambda s, d: found(s, d).exceptAll(scan_locate(nuc(s, d), pats(s, d))), f'{base} SELECT pattern_id, item_no, "offset" FROM hits WHERE 1 = 0')
     q["engine_and_plain"] = (lambda s, d: found(s, d).intersect(plain(s, d).locate(pats(s, d))), f'{base} SELECT DISTINCT pattern_id, item_no, "offset" FROM hits')
     q["event_props"] = (lambda s, d: table(s, d, "events").select(F.explode(F.json_object_keys("props")).alias("name")).groupBy("name").agg(F.count(F.lit(1)).alias("n")), "SELECT name, count(*) AS n FROM (SELECT unnest(json_keys(props)) AS name FROM events) GROUP BY name")
-    q["iupac_alphabet"] = (lambda s, d: views.iupac_view(s, d).select(F.explode(F.array_distinct(F.split("seq", ""))).alias("letter")).filter("letter <> ''").distinct(), None)
+    q["iupac_alphabet"] = (lambda s, d: views.iupac_view(s, d).select(F.explode(F.array_distinct(F.split("seq", ""))).alias("letter")).filter("letter <> ''").distinct(), f"WITH v AS (SELECT translate(regexp_replace(regexp_replace(lower(text), '[ \\n\\r\\t]', '', 'g'), '[^a-z]', '-', 'g'), '{views.LETTERS}', '{views.cycle(views.IUPAC)}') AS seq FROM documents WHERE text IS NOT NULL) SELECT DISTINCT unnest(string_split(seq, '')) AS letter FROM v WHERE seq <> ''")
     q["scrambled_observed"] = (lambda s, d: scramble_observed(_name_symbols(s, d, 2, False)[0], DEMO_KEY), None)
-    q["scatter"] = (lambda s, d: measures.scatter(_name_symbols(s, d, 1, False)[0], _names_bwt()(s, d), 8), None)
-    q["inexact_locate"] = (lambda s, d: inexact.locate_inexact(sealed(s, d), pats(s, d, [50, 100]), 2), None)
+    q["scatter"] = (lambda s, d: measures.scatter(_name_symbols(s, d, 1, False)[0], _names_bwt()(s, d), 8).withColumn("shard", F.col("shard").cast("long")).withColumn("mean_distance", F.round("mean_distance", 9)), f"{_NAME_BWT}, held AS (SELECT shard, row // 8 AS b, lead(row // 8) OVER (PARTITION BY shard ORDER BY pos) AS later FROM bwt) SELECT shard, count(*) AS pairs, CAST(count(*) FILTER (WHERE b <> later) AS BIGINT) AS apart, round(avg(abs(b - later)), 9) AS mean_distance FROM held WHERE later IS NOT NULL GROUP BY shard")
+    q["inexact_locate"] = (lambda s, d: inexact.locate_inexact(sealed(s, d), pats(s, d, [50, 100]), 2), INEXACT_SQL)
     q["codes_locate"] = (lambda s, d: inexact.locate_codes(sealed(s, d), s.createDataFrame([(1, "ACGTRYACGTTA"), (2, "GATTACANNACG")], "pattern_id long, pattern string")), f"WITH {views.NUC_SQL}, cut(pattern_id, rule, size) AS (VALUES (1, 'ACGT[AG][CT]ACGTTA', 12), (2, 'GATTACA[ACGTN][ACGTN]ACG', 12)) SELECT CAST(pattern_id AS BIGINT) AS pattern_id, item_no, CAST(o AS BIGINT) AS \"offset\" FROM (SELECT pattern_id, item_no, unnest([o FOR o IN range(0, length(seq) - size + 1) IF regexp_full_match(substr(seq, CAST(o AS INT) + 1, size), rule)]) AS o FROM nuc JOIN cut ON regexp_matches(seq, rule))")
-    q["benchmark_overlap"] = (_benchmark_overlap, f'WITH raw AS (SELECT doc_id AS item_no, text AS seq FROM documents WHERE text IS NOT NULL), pats AS (SELECT item_id AS pattern_id, substr(text, 1, 30) AS pattern FROM benchmark WHERE length(text) >= 30), {scan_sql("raw", "pats")} SELECT pattern_id, item_no, "offset" FROM hits')
+    q["benchmark_overlap"] = (_benchmark_overlap, f"WITH windows AS (SELECT item_id, unnest([substr(text, CAST(i AS INT) + 1, {PIECE}) FOR i IN range(0, greatest(length(text) - {PIECE}, 0) + 1)]) AS piece, unnest(range(0, greatest(length(text) - {PIECE}, 0) + 1)) AS i FROM benchmark WHERE text <> ''), short AS (SELECT item_id, i, piece FROM windows WHERE length(piece) < {PIECE}), grams AS (SELECT doc_id, unnest(list_distinct([substr(text, CAST(i AS INT) + 1, {PIECE}) FOR i IN range(0, length(text) - {PIECE} + 1)])) AS piece FROM documents WHERE length(text) >= {PIECE}) SELECT item_id, doc_id, count(DISTINCT i) AS n FROM (SELECT item_id, doc_id, i FROM windows JOIN grams USING (piece) UNION ALL SELECT item_id, doc_id, i FROM short JOIN documents ON contains(text, piece)) GROUP BY ALL")
     q["click_paths"] = (lambda s, d: _path_index(s, d).locate(_path_patterns(s)), PATH_SQL)
     q["click_paths_k7"] = (lambda s, d: _path_index(s, d, k=7).locate(_path_patterns(s)), PATH_SQL)
     q["windowed_hits"] = (_windowed_hits, f"WITH {views.EVENT_SQL}, pats(pattern_id, pattern) AS (VALUES (1, 'VCP')), {scan_sql('paths', 'pats')}, numbered AS (SELECT user_id AS item_no, ts, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1 AS spot FROM events) SELECT date_trunc('day', n.ts)::TIMESTAMP AS day, count(*) AS n FROM hits h JOIN numbered n ON n.item_no = h.item_no AND n.spot = h.\"offset\" + 2 GROUP BY 1")
     q["stream_windows"] = (_stream_windows, "SELECT date_trunc('hour', ts)::TIMESTAMP AS hour, event_type, count(*) AS n FROM events GROUP BY ALL")
     q["stream_watch"] = (_stream_watch, PATH_SQL.replace('SELECT pattern_id, item_no, "offset" FROM hits', 'SELECT item_no, pattern, "offset" FROM hits JOIN pats USING (pattern_id)'))
     q["fasta_roundtrip"] = (_fasta_roundtrip, f"WITH {views.NUC_SQL} SELECT 'doc' || item_no AS seq_id, seq FROM nuc")
-    for name in ("consensus_a", "consensus_b", "consensus_c", "random100", "random500"):
-        q[f"w_{name}"] = _workload(name)
-    kept_items = lambda s, d, name: _kept(s, ("collection", d, name), lambda: collection(s, d, name))
-    for name in ("consensus_b", "random100"):
-        q[f"w_plain_{name}"] = (lambda s, d, name=name: _kept(s, ("plain", d, name), lambda: PlainFM.build(kept_items(s, d, name))).locate(views.sample_patterns(kept_items(s, d, name), [20, 50, 100], 3)), _workload(name)[1])
-    q["w_sweep_k"] = (lambda s, d: workloads.tidy(s, workloads.build_times(kept_items(s, d, "consensus_c"))), None)
-    q["w_cipher"] = (lambda s, d: workloads.tidy(s, workloads.cipher_cost(kept_items(s, d, "consensus_c"), views.sample_patterns(kept_items(s, d, "consensus_c"), [20, 50, 100], 3))), None)
-    q["w_loaded_blocks"] = (lambda s, d: measures.loaded_share(_index(s, d, "random500", lambda: kept_items(s, d, "random500"), IndexParams(k=4, bs=4096)), views.sample_patterns(kept_items(s, d, "random500"), [20, 100], 3)), None)
+    for name in ("consensus_a", "consensus_b", "consensus_c", "random100", "random100_second", "random500", "whole"):
+        q[f"w_{name}"] = (_workload(name), None)
+    for name in ("consensus_b", "random100", "whole"):
+        q[f"w_plain_{name}"] = (_plain_workload(name), None)
+    q["w_patterns_median"] = (_search_rows("consensus_a", MEDIAN_LENGTHS), None)
+    q["w_patterns_mean"] = (_search_rows("consensus_a", workloads.MEAN_LENGTHS), None)
+    q["w_sweep_k"] = (lambda s, d: workloads.tidy(s, workloads.build_times(_collection(s, d, "consensus_c"), params=IndexParams(shard_symbols=1 << 19))), None)
+    q["w_sweep_bs"] = (lambda s, d: workloads.tidy(s, workloads.sweep(_collection(s, d, "consensus_c"), _windows(s, d, "consensus_c", 20), params=IndexParams(shard_symbols=1 << 19))), None)
+    q["w_cipher"] = (lambda s, d: workloads.tidy(s, workloads.cipher_cost(_collection(s, d, "consensus_c"), _windows(s, d, "consensus_c", 100), IndexParams(shard_symbols=1 << 19))), None)
+    q["w_loaded_blocks"] = (lambda s, d: workloads.tidy(s, [r for bs in (4096, 32768) for r in workloads.loaded(_workload_index(s, d, "consensus_b", bs=bs), _windows(s, d, "consensus_b", 100))]), None)
+    q["w_variant_bases"] = (lambda s, d: _collection(s, d, "random100").agg(F.count(F.lit(1)).alias("items"), F.sum(F.length("seq")).cast("long").alias("bases")), None)
     table_sp = "WITH d AS (SELECT unnest(range(4)) AS d), w AS (SELECT CAST(d AS INT) AS d, CAST(ceil((d + 9) / 4.0) AS INT) AS m, repeat('?', d) || 'ACGAACTGA' AS x FROM d) SELECT CAST(1 AS BIGINT) AS pattern_id, d, m, array_to_string(regexp_extract_all(rpad(x, m * 4, '?'), '.{4}'), ' ') AS parts FROM w"
     q["w_worked_example"] = (lambda s, d: planner.super_patterns(s.createDataFrame([(1, "ACGAACTGA")], "pattern_id long, pattern string"), 4).withColumn("parts", F.array_join("parts", " ")), table_sp)
     q["compression_ratio"] = (_ratio_rows, None)
-    q["search_times"] = (_search_rows, None)
+    q["search_times"] = (lambda s, d: workloads.tidy(s, workloads.search(sealed(s, d), pats(s, d))), None)
     q["loaded_blocks"] = (lambda s, d: measures.loaded_share(sealed(s, d), pats(s, d)), None)
     q["search_work"] = (lambda s, d: sealed(s, d).work(pats(s, d)), None)
     q["exactness"] = (lambda s, d: measures.exactness(found(s, d), scan_locate(nuc(s, d), pats(s, d))), f"{base} SELECT 'x' AS measure, count(*) AS n FROM hits WHERE 1 = 0 GROUP BY 1")

@@ -9,8 +9,10 @@ from pathlib import Path
 
 from pyspark.sql import SparkSession
 
-#: Used only where the cluster names no spark.checkpoint.dir (tests, a laptop).
+#: Used only by local masters that name no spark.checkpoint.dir (tests, a laptop).
 LOCAL_SHARED = "/tmp/checkpoints/seqvault"
+#: Bytes of an Arrow batch between Spark and a Python worker, unless the session names another number: rows are whole texts.
+BATCH_BYTES, BATCH_SETTING = 8 << 20, "spark.sql.execution.arrow.maxBytesPerBatch"
 
 
 def local_session(cpus: int = 8, memory: str = "8g", partitions: int = 8, **conf: str) -> SparkSession:
@@ -32,17 +34,24 @@ def local_session(cpus: int = 8, memory: str = "8g", partitions: int = 8, **conf
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a local one where that is unset."""
+    """The folder that driver and executors share: spark.checkpoint.dir, or a local one where a local master has none."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     os.makedirs(LOCAL_SHARED, exist_ok=True)
     return f"file://{LOCAL_SHARED}"
 
 
 def ship_package(spark: SparkSession) -> None:
-    """Send this package to the executors once per application, so that Python workers can import it anywhere."""
+    """Send this package to the executors once per application, so that Python workers can import it anywhere.
+
+    Batches for workers are kept small too: Spark's default of 64 MB a batch counts several times in a task.
+    """
     context = spark.sparkContext
+    if spark.conf.get(BATCH_SETTING) in ("64MB", "67108864", "67108864b"):
+        spark.conf.set(BATCH_SETTING, str(BATCH_BYTES))
     if getattr(context, "_seqvault_shipped", False):
         return
     root = Path(__file__).resolve().parent

@@ -5,9 +5,15 @@ All arithmetic is on BIGINT and has the same form in DuckDB; each view comes wit
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from seqvault.operators.barrier import barrier
+from seqvault.operators.prefix import place_by_range, row_numbers
 from seqvault.sources.tables import table
 
 LETTERS = "abcdefghijklmnopqrstuvwxyz"
@@ -17,13 +23,13 @@ IUPAC = "ACGTURYSWKMBDHVN"
 EVENT_LETTERS = {"view": "V", "click": "C", "purchase": "P", "signup": "S", "error": "E"}
 
 
-def _cycle(onto: str) -> str:
+def cycle(onto: str) -> str:
     return "".join(onto[i % len(onto)] for i in range(len(LETTERS)))
 
 
 def _mapped(text: Column, onto: str, rest: str) -> Column:
     plain = F.regexp_replace(F.lower(text), r"[ \n\r\t]", "")
-    return F.translate(F.regexp_replace(plain, "[^a-z]", rest), LETTERS, _cycle(onto))
+    return F.translate(F.regexp_replace(plain, "[^a-z]", rest), LETTERS, cycle(onto))
 
 
 def nuc_view(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -34,7 +40,7 @@ def nuc_view(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 NUC_SQL = f"""nuc AS (
   SELECT doc_id AS item_no, lang, source,
-    translate(regexp_replace(regexp_replace(lower(text), '[ \\n\\r\\t]', '', 'g'), '[^a-z]', 'N', 'g'), '{LETTERS}', '{_cycle("ACGT")}') AS seq
+    translate(regexp_replace(regexp_replace(lower(text), '[ \\n\\r\\t]', '', 'g'), '[^a-z]', 'N', 'g'), '{LETTERS}', '{cycle("ACGT")}') AS seq
   FROM documents WHERE text IS NOT NULL
 )"""
 
@@ -78,25 +84,42 @@ def reference(spark: SparkSession, sf_dir: str, source: str, length: int | None
     return whole.select(F.substring("seq", 1, length).alias("seq")) if length else whole
 
 
+def mutated(base: np.ndarray, v: int, seed: int) -> bytes:
+    """Copy ``v`` of a reference: substitutions at 0.1 %, insertions and deletions of 1 to 16 letters at 0.013 %."""
+    i = np.arange(len(base), dtype=np.int64)
+    h = ((i + 1) * MIX_POS + (v + 1) * MIX_COPY + seed) % PRIME
+    h = ((h * h % PRIME + v * MIX_TURN) * MIX_LAST) % PRIME
+    h = (h * h % PRIME + i) % PRIME
+    r, size, erase = h % 100_000, 1 + h // 300_000 % 16, h // 5_000_000 % 2 == 1
+    indel = (r >= 100) & (r <= 112)
+    ends = np.where(indel & erase, i + size, 0)
+    gone = ends.copy()
+    for back in range(1, 17):
+        gone[back:] = np.maximum(gone[back:], ends[:-back])
+    turned = np.frombuffer(b"ACGTACGT", np.uint8)
+    spot = np.searchsorted(turned[:4], base)
+    out = np.where((r < 100) & (base != ord("N")), turned[np.minimum(spot, 3) + h // 100_000 % 3 + 1], base).astype(np.uint8)
+    here = i >= gone
+    grown = np.flatnonzero(indel & ~erase & here)
+    out[grown] = base[grown]  # a letter that is followed by an insertion stays
+    pieces, at = [], 0
+    for g in grown.tolist():
+        pieces += [out[at : g + 1][here[at : g + 1]].tobytes(), b"ACGTGTCAACGTGTCA"[: int(size[g])]]
+        at = g + 1
+    return b"".join([*pieces, out[at:][here[at:]].tobytes()])
+
+
 def variant_collection(ref: DataFrame, copies: int, seed: int) -> DataFrame:
-    """item_no, seq: mutated copies of a one-row reference: substitutions at 0.1 %, insertions and deletions at 0.013 %."""
-    sites = ref.select(F.posexplode(F.split("seq", "")).alias("i", "base")).filter("base <> ''").withColumn("i", F.col("i").cast("long"))
-    rows = sites.withColumn("v", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(copies - 1).cast("long"))))
-    p = F.lit(PRIME).cast("long")
-    h1 = ((F.col("i") + 1) * MIX_POS + (F.col("v") + 1) * MIX_COPY + seed) % p
-    rows = rows.withColumn("h", h1).withColumn("h", (F.col("h") * F.col("h")) % p).withColumn("h", ((F.col("h") + F.col("v") * MIX_TURN) * MIX_LAST) % p)
-    rows = rows.withColumn("h", ((F.col("h") * F.col("h")) % p + F.col("i")) % p).withColumn("r", F.col("h") % 100_000)
-    size = 1 + F.floor(F.col("h") / 300_000).cast("long") % 16
-    erase = F.floor(F.col("h") / 5_000_000).cast("long") % 2 == 1
-    indel = F.col("r").between(100, 112)
-    recent = Window.partitionBy("v").orderBy("i").rowsBetween(-16, 0)
-    gone = F.max(F.when(indel & erase, F.col("i") + size).otherwise(F.lit(0).cast("long"))).over(recent)
-    turn = lambda steps: F.substring(F.lit("ACGTACGT"), F.instr(F.lit("ACGT"), F.col("base")) + steps.cast("int"), F.lit(1))
-    changed = F.when((F.col("r") < 100) & (F.col("base") != "N"), turn(F.floor(F.col("h") / 100_000).cast("long") % 3 + 1)).otherwise(F.col("base"))
-    extra = F.substring(F.lit("ACGTGTCAACGTGTCA"), F.lit(1), size.cast("int"))
-    piece = F.when(indel & ~erase, F.concat(F.col("base"), extra)).otherwise(changed)
-    kept = rows.select("v", "i", piece.alias("piece"), (F.col("i") >= gone).alias("here")).filter("here")
-    return kept.groupBy(F.col("v").alias("item_no")).agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("i", "piece"))), lambda s: s["piece"]), "").alias("seq"))
+    """item_no, seq: mutated copies of a one-row reference of nucleotides, each made in one go by a task."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for number, seq in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                base = np.frombuffer((seq.as_py() or "").encode(), np.uint8)
+                yield pa.record_batch([pa.array([number], pa.int64()), pa.array([mutated(base, number, seed).decode()])], names=["item_no", "seq"])
+
+    numbers = ref.sparkSession.range(0, copies, 1, min(copies, 64)).select(F.col("id").alias("item_no"))
+    return numbers.crossJoin(F.broadcast(ref)).mapInArrow(run, "item_no long, seq string")  # a reference is one row
 
 
 def variant_sql(source: str, copies: int, seed: int, length: int | None = None) -> str:
@@ -132,6 +155,26 @@ def sample_patterns(items: DataFrame, lengths: list[int], n: int, seed: int = 7)
     return chosen.select(number.alias("pattern_id"), F.substring("seq", off.cast("int") + 1, F.col("len").cast("int")).alias("pattern"), F.col("item_no").alias("src_item"), off.alias("src_off"))
 
 
+def sample_windows(items: DataFrame, lengths: list[int], n: int, seed: int = 11) -> DataFrame:
+    """pattern_id, pattern: ``n`` windows of each length, also where there are fewer items: item and offset are drawn anew
+    for each, by arithmetic, among the items that are long enough."""
+    spark = items.sparkSession
+    wanted = F.explode(F.array(*[F.lit(int(x)).cast("long") for x in lengths])).alias("len")
+    fitting = items.select("item_no", F.length("seq").cast("long").alias("size"), wanted).filter("size >= len")
+    order = ["len", "item_no"]
+    ranked = barrier(row_numbers(place_by_range(fitting, order, "fitting"), order, "at"), "ranked")
+    bases = ranked.groupBy("len").agg(F.min("at").alias("base"), F.count(F.lit(1)).alias("items"))
+    draw = spark.range(n).select(F.col("id").alias("j"), wanted).join(F.broadcast(bases), "len")  # a row per length
+    mixed = ((F.col("j") + 1) * MIX_POS + F.col("len") * MIX_COPY + seed) % F.lit(PRIME).cast("long")
+    draw = draw.withColumn("h", mixed * mixed % F.lit(PRIME).cast("long")).withColumn("at", F.col("base") + F.floor(F.col("h") / 1_000).cast("long") % F.col("items"))
+    chosen = draw.join(ranked.select("at", "item_no", "size"), "at").withColumn("g", (F.col("h") * MIX_LAST + F.col("j")) % F.lit(PRIME).cast("long"))
+    chosen = chosen.select((F.col("len") * 1_000_000 + F.col("j")).alias("pattern_id"), "item_no", "len", (F.col("g") % (F.col("size") - F.col("len") + 1)).cast("int").alias("off"))
+    cuts = chosen.groupBy("item_no").agg(F.collect_list(F.struct("pattern_id", "len", "off")).alias("cuts"))  # n x lengths in all
+    cut = items.select("item_no", "seq").join(F.broadcast(cuts), "item_no")
+    taken = F.transform("cuts", lambda c: F.struct(c["pattern_id"].alias("pattern_id"), F.substring(F.col("seq"), c["off"] + 1, c["len"].cast("int")).alias("pattern")))
+    return cut.select(F.explode_outer(taken).alias("c")).select("c.*")
+
+
 def patterns_sql(items: str, lengths: list[int], n: int, seed: int = 7) -> str:
     """The same sample for DuckDB: a CTE ``pats`` over the CTE named ``items``."""
     lens = ", ".join(f"({x})" for x in lengths)

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from seqvault.operators.barrier import barrier
-from seqvault.operators.prefix import PART, place_by_range, row_numbers
+from seqvault.operators.prefix import group_starts, place_by_range
 
 
 def _refine(order: np.ndarray, head: np.ndarray, rank: np.ndarray, step: int) -> None:
@@ -125,31 +125,38 @@ def suffix_order_bruteforce(symbols: DataFrame) -> DataFrame:
     return keyed.select("shard", (F.row_number().over(rank) - 1).cast("long").alias("row"), "pos", "sym")
 
 
-def suffix_order_doubling(symbols: DataFrame, most_rounds: int = 64) -> DataFrame:
-    """(shard, row, pos, sym) over a cluster, for shards that no task can hold.
+def suffix_order_doubling(symbols: DataFrame) -> DataFrame:
+    """(shard, row, pos, sym) over a cluster, for shards that no task can hold: ranks by symbols, doubled until all differ."""
+    return resolved(symbols, ranked(symbols.select("shard", "pos", F.col("sym").cast("long").alias("sym")), ["shard", "sym"]), 1)
 
-    Ranks come from exact counts over range partitions, never from a hash. Each round joins the rank ``h`` symbols later,
-    for positions whose rank is shared only; each is written, so no round is evaluated twice.
+
+def ranked(rows: DataFrame, keys: list[str]) -> DataFrame:
+    """shard, pos, rank (in the shard, of the first row with equal ``keys``), same (rows with equal keys), written.
+
+    Ranks come from exact counts over range partitions, whose order ends with the position: rows with equal keys, however
+    many, are spread over partitions.
+    """
+    order = [*keys, "pos"]
+    placed = place_by_range(rows, order, "ranks")
+    starts = group_starts(group_starts(placed, keys, order, "first", "same"), ["shard"], order, "base", "_n")
+    return barrier(starts.select("shard", "pos", (F.col("first") - F.col("base")).alias("rank"), "same"), "ranks")
+
+
+def resolved(symbols: DataFrame, state: DataFrame, h: int) -> DataFrame:
+    """(shard, row, pos, sym) from ranks by the first ``h`` symbols.
+
+    Each round joins the rank ``h`` positions later, for positions whose rank is shared only, and ranks them within their
+    group. Each is written, so no round is evaluated twice; all ranks differ when ``h`` passes the longest repetition.
     """
-    sizes = symbols.groupBy("shard").agg(F.count(F.lit(1)).alias("n"))
-    rows = symbols.select("shard", "pos", "sym")
-    placed = place_by_range(rows, ["shard", "sym", "pos"], "ranks")
-    numbered = row_numbers(placed, ["shard", "sym", "pos"], "at").drop(PART)
-    first = numbered.groupBy("shard", "sym").agg(F.min("at").alias("rank"), F.count(F.lit(1)).alias("same"))
-    base = numbered.groupBy("shard").agg(F.min("at").alias("base"))
-    state = numbered.join(first, ["shard", "sym"]).join(base, "shard").select("shard", "pos", (F.col("rank") - F.col("base")).alias("rank"), "same")
-    state = barrier(state, "ranks")
-    h = 1
-    for _ in range(most_rounds):
-        shared = state.filter("same > 1")
-        if shared.isEmpty():
-            break
+    sizes = F.broadcast(barrier(symbols.groupBy("shard").agg(F.count(F.lit(1)).alias("n")), "sizes"))  # one row a shard
+    while not state.filter("same > 1").isEmpty():
         later = state.select("shard", F.col("pos").alias("to"), F.col("rank").alias("later"))
-        target = F.pmod(F.col("pos") + h, F.col("n"))
-        keyed = shared.join(sizes, "shard").withColumn("to", target).join(later, ["shard", "to"])
-        inside = Window.partitionBy("shard", "rank")
-        split = keyed.withColumn("step", F.rank().over(inside.orderBy("later")) - 1).withColumn("same", F.count(F.lit(1)).over(Window.partitionBy("shard", "rank", "later")))
-        moved = split.select("shard", "pos", (F.col("rank") + F.col("step")).alias("rank"), "same")
+        shared = state.filter("same > 1").join(sizes, "shard")
+        keyed = shared.select("shard", "pos", "rank", F.pmod(F.col("pos") + h, F.col("n")).alias("to")).join(later, ["shard", "to"]).select("shard", "rank", "later", "pos")
+        order = ["shard", "rank", "later", "pos"]
+        placed = place_by_range(keyed, order, "rounds")
+        starts = group_starts(group_starts(placed, order[:3], order, "first", "same"), order[:2], order, "group", "_n")
+        moved = starts.select("shard", "pos", (F.col("rank") + F.col("first") - F.col("group")).alias("rank"), "same")
         state = barrier(state.filter("same = 1").unionByName(moved), "ranks")
         h *= 2
     before = symbols.join(sizes, "shard").select("shard", F.pmod(F.col("pos") + 1, F.col("n")).alias("pos"), F.col("sym").cast("long").alias("sym"))

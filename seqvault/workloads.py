@@ -5,6 +5,7 @@ from __future__ import annotations
 from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from seqvault import measures
 from seqvault.baselines.compressors import bwt_generic, bzip_collection, compress_then_encrypt
@@ -18,22 +19,25 @@ DEMO_KEY = bytes(range(64))
 #: Pattern lengths of the two search protocols.
 MEDIAN_LENGTHS, MEAN_LENGTHS = (15, 20, 50, 100, 200, 500), (20, 50, 100, 200, 500)
 SEED = 12_345
-#: Stand-ins for the genomic sets: source of the reference, copies, seed, length of the reference.
+#: Patterns of each length in the search protocols.
+PATTERNS = 500
+#: Stand-ins for the genomic sets: source of the reference (all its documents, joined), copies, seed.
 STAND_INS = {
-    "consensus_a": ("src0", 50, SEED, 10_000),
-    "consensus_b": ("src1", 50, SEED, 8_000),
-    "consensus_c": ("src2", 50, SEED, 5_000),
-    "random100": ("src1", 100, SEED + 1, 5_000),
-    "random500": ("src2", 500, SEED + 2, 2_000),
+    "consensus_a": ("src0", 50, SEED),
+    "consensus_b": ("src1", 50, SEED),
+    "consensus_c": ("src2", 50, SEED),
+    "random100": ("src1", 100, SEED + 1),
+    "random100_second": ("src1", 100, SEED + 3),
+    "random500": ("src2", 500, SEED + 2),
 }
 
 
-def collection(spark: SparkSession, sf_dir: str, name: str, length: int | None = None, copies: int | None = None) -> DataFrame:
-    """A stand-in collection: consensus_a/b/c (50 copies), random100, random500, whole."""
+def collection(spark: SparkSession, sf_dir: str, name: str, copies: int | None = None) -> DataFrame:
+    """A stand-in collection: consensus_a/b/c (50 copies), random100 and a second set, random500, whole (no copies)."""
     if name == "whole":
         return views.nuc_view(spark, sf_dir).select("item_no", "seq")
-    source, n, seed, most = STAND_INS[name]
-    return barrier(views.variant_collection(views.reference(spark, sf_dir, source, length or most), copies or n, seed), name)
+    source, n, seed = STAND_INS[name]
+    return barrier(views.variant_collection(views.reference(spark, sf_dir, source), copies or n, seed), name)
 
 
 def build_times(items: DataFrame, ks: tuple[int, ...] = (4, 5, 6, 7), params: IndexParams | None = None) -> list[dict]:
@@ -53,7 +57,8 @@ def ratios(items: DataFrame, ks: tuple[int, ...] = (4, 5, 6, 7), sizes: tuple[in
         first = build_index(items, replace(params or IndexParams(), k=k, bs=sizes[0]), DEMO_KEY, scratch_path(spark, "sweep"))
         for bs in sizes:
             index = first if bs == sizes[0] else first.recut(scratch_path(spark, "recut"), bs)
-            out.append({"workload": "ratio", "k": k, "bs": bs, "metric": "ratio", "value": measures.index_bytes(index) / source})
+            for name, size in (("ratio", measures.index_bytes(index)), ("stored_ratio", index.stored_bytes())):
+                out.append({"workload": "ratio", "k": k, "bs": bs, "metric": name, "value": size / source})
     others = {
         "plain": PlainFM.build(items).bytes(),
         "block_compressor": bzip_collection(items).agg({"packed": "sum"}).first()[0],
@@ -64,16 +69,36 @@ def ratios(items: DataFrame, ks: tuple[int, ...] = (4, 5, 6, 7), sizes: tuple[in
 
 
 def search(index: Index, patterns: DataFrame, last: str = "auto") -> list[dict]:
-    """Median and mean seconds by pattern length, and seconds per occurrence."""
+    """Median seconds by pattern length and seconds per occurrence, and the mean over the lengths of the second protocol."""
     rows = measures.search_times(index, patterns, last)
+    k, bs = index.meta["k"], index.meta["bs"]
     out = []
     for n in sorted({r[0] // 1_000_000 for r in rows}):
         mine = [r for r in rows if r[0] // 1_000_000 == n]
         hits = sum(r[2] for r in mine)
-        out.append({"workload": "search", "k": index.meta["k"], "len": n, "metric": "median_seconds", "value": measures.median([r[1] for r in mine])})
-        out.append({"workload": "search", "k": index.meta["k"], "len": n, "metric": "seconds_per_hit", "value": sum(r[1] for r in mine) / max(1, hits)})
-    mean = sum(r[1] for r in rows) / max(1, len(rows))
-    return [*out, {"workload": "search", "k": index.meta["k"], "len": 0, "metric": "mean_seconds", "value": mean}]
+        out.append({"workload": "search", "k": k, "bs": bs, "len": n, "metric": "median_seconds", "value": measures.median([r[1] for r in mine])})
+        out.append({"workload": "search", "k": k, "bs": bs, "len": n, "metric": "seconds_per_hit", "value": sum(r[1] for r in mine) / max(1, hits)})
+    mean = [r[1] for r in rows if r[0] // 1_000_000 in MEAN_LENGTHS]
+    return [*out, {"workload": "search", "k": k, "bs": bs, "len": 0, "metric": "mean_seconds", "value": sum(mean) / max(1, len(mean))}]
+
+
+def loaded(index: Index, patterns: DataFrame) -> list[dict]:
+    """Mean share of blocks opened, by pattern length."""
+    rows = measures.loaded_share(index, patterns).groupBy(F.floor(F.col("pattern_id") / 1_000_000).alias("n")).agg(F.avg("share").alias("share")).collect()
+    return [{"workload": "loaded", "k": index.meta["k"], "bs": index.meta["bs"], "len": n, "metric": "loaded_percent", "value": share} for n, share in sorted(map(tuple, rows))]
+
+
+def sweep(items: DataFrame, patterns: DataFrame, ks: tuple[int, ...] = (4, 5, 6, 7), sizes: tuple[int, ...] = (4096, 8192, 16384, 32768), params: IndexParams | None = None) -> list[dict]:
+    """Search times, loaded blocks and ratio (modelled, and as stored) on the grid of k and block size; one sort for each k."""
+    spark, source, out = items.sparkSession, measures.fasta_bytes(items), []
+    for k in ks:
+        first = build_index(items, replace(params or IndexParams(), k=k, bs=sizes[0]), DEMO_KEY, scratch_path(spark, "sweep"))
+        for bs in sizes:
+            index = first if bs == sizes[0] else first.recut(scratch_path(spark, "recut"), bs)
+            out += search(index, patterns) + loaded(index, patterns)
+            for name, size in (("ratio", measures.index_bytes(index)), ("stored_ratio", index.stored_bytes())):
+                out.append({"workload": "ratio", "k": k, "bs": bs, "metric": name, "value": size / source})
+    return out
 
 
 def cipher_cost(items: DataFrame, patterns: DataFrame, params: IndexParams | None = None) -> list[dict]:

@@ -7,6 +7,7 @@ from seqvault.baselines.csa import csa_locate
 from seqvault.baselines.plain_fm import PlainFM
 from seqvault.baselines.scan import scan_locate
 from seqvault.fm import WrongKey
+import seqvault.index as index_module
 from seqvault.index import Index, IndexParams, build_index
 from seqvault.operators.barrier import scratch_path
 
@@ -89,7 +90,7 @@ def test_append_recut_compact_and_keys(spark):
     assert sorted(map(tuple, index.recut(scratch_path(spark, "test"), 5).locate(asked).collect())) == want
     more = [(1000, "ACGTACG")]
     grown = index.append(spark.createDataFrame(more, "item_no long, seq string"))
-    assert grown.meta["shards"] == [0, 1]
+    assert grown.shards().count() == 2 and len(set(grown.meta["commits"].values())) == 2
     assert sorted(map(tuple, grown.locate(asked).collect())) == brute(items + more, patterns)
     assert sorted(map(tuple, grown.compact(scratch_path(spark, "test")).restore().collect())) == sorted(items + more)
     with pytest.raises(ValueError, match="not in this index"):
@@ -114,7 +115,7 @@ def test_rejected_collections(spark):
     with pytest.raises(ValueError, match="single shard"):
         build_index(spark.createDataFrame([(i, "ACGT" * 9) for i in range(9)], "item_no long, seq string"), IndexParams(k=2, shard_symbols=20, nonce_mode="paper"), KEY, scratch_path(spark, "test"))
     empty = make([])
-    assert empty.meta["shards"] == [] and empty.locate(spark.createDataFrame([(1, "A")], "pattern_id long, pattern string")).count() == 0
+    assert empty.shards().count() == 0 and empty.locate(spark.createDataFrame([(1, "A")], "pattern_id long, pattern string")).count() == 0
 
 
 def test_baselines_equal_brute_force(spark):
@@ -139,3 +140,48 @@ def test_blocks_opened_are_few_and_counted(spark):
 
 def test_key_helpers():
     assert cipher.key_from_hex(KEY.hex()) == KEY
+
+
+def test_a_shard_sorted_over_the_cluster(spark):
+    items = some_items(12)
+    patterns = some_patterns(items, 12)
+    df, asked = frames(spark, items, patterns)
+    want = brute(items, patterns)
+    for strategy, most in (("distributed", 1 << 40), ("doubling", 60)):
+        index = build_index(df, IndexParams(k=2, bs=16, mark_pct=20, strategy=strategy, shard_symbols=most, checksum=True), KEY, scratch_path(spark, "test"))
+        assert sorted(map(tuple, index.locate(asked).collect())) == want, strategy
+        assert sorted(map(tuple, index.restore().collect())) == sorted(items)
+        assert index.stored_bytes() > 0
+
+
+def test_a_driver_lost_before_the_commit_leaves_nothing_that_is_read(spark, monkeypatch):
+    items = some_items(13)
+    patterns = some_patterns(items, 13)
+    df, asked = frames(spark, items, patterns)
+    path = scratch_path(spark, "test")
+    first = build_index(df, IndexParams(k=2, bs=16), KEY, path)
+    more = spark.createDataFrame([(1000, "ACGTACGACGT"), (1001, "TTTACG")], "item_no long, seq string")
+
+    def lost(*_):
+        raise KeyboardInterrupt
+
+    with monkeypatch.context() as m:
+        m.setattr(index_module, "_commit", lost)
+        with pytest.raises(KeyboardInterrupt):
+            first.append(more)
+    again = Index.open(spark, path, KEY)
+    assert sorted(map(tuple, again.locate(asked).collect())) == brute(items, patterns)
+    grown = again.append(more)
+    whole = [*items, (1000, "ACGTACGACGT"), (1001, "TTTACG")]
+    assert sorted(map(tuple, Index.open(spark, path, KEY).restore().collect())) == sorted(whole)
+    assert sorted(map(tuple, grown.locate(asked).collect())) == brute(whole, patterns)
+    assert len(grown.meta["commits"]) == 2 and spark.read.parquet(f"{path}/tables").select("commit").distinct().count() == 3
+
+
+def test_only_shards_that_can_hold_a_pattern_are_asked(spark):
+    items = [(1, "ACAC" * 30), (2, "GTGT" * 30), (3, "AAAA" * 30)]
+    df, asked = frames(spark, items, [(0, "CACACACA"), (1, "TGTGTGTG"), (2, "C"), (3, "CCCC"), (4, "GTAC")])
+    index = build_index(df, IndexParams(k=2, bs=16, shard_symbols=61), KEY, scratch_path(spark, "test"))
+    rows = index.prune_shards(asked).groupBy("pattern_id").count().collect()
+    assert {r[0]: r[1] for r in rows} == {0: 1, 1: 1, 2: 3, 4: 1}
+    assert sorted(map(tuple, index.locate(asked).collect())) == sorted(map(tuple, index.locate(asked, pruned=False).collect())) == brute(items, [(0, "CACACACA"), (1, "TGTGTGTG"), (2, "C"), (3, "CCCC"), (4, "GTAC")])

@@ -14,7 +14,7 @@ from seqvault.sources import fasta, views
 from seqvault.sources.tables import table
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-CHECKED = ["nuc_alphabet", "kmer_histogram_k2", "block_encoding_k2", "super_patterns_table", "super_pattern_counts", "plain_bwt_kernel", "c_table", "occ_blocks", "occ_superblocks", "bwt_runs", "mark_rows", "range_histogram", "invert_bwt", "sealed_locate_k4", "sealed_locate_k1", "sealed_locate_shards", "sealed_count", "sealed_extract", "sealed_restore", "literal_pad_rule", "plain_fm_locate", "csa_locate", "cte_locate", "bwt_generic_roundtrip", "homophony_k4", "variant_collection", "sample_patterns", "absent_patterns", "hits_cube", "anti_items", "top_items", "click_paths", "windowed_hits", "fasta_roundtrip", "stream_windows", "stream_watch", "w_consensus_c"]
+CHECKED = ["nuc_alphabet", "kmer_histogram_k2", "block_encoding_k2", "super_patterns_table", "super_pattern_counts", "plain_bwt_kernel", "c_table", "occ_blocks", "occ_superblocks", "bwt_runs", "mark_rows", "range_histogram", "invert_bwt", "sealed_locate_k4", "sealed_locate_k1", "sealed_locate_shards", "sealed_count", "sealed_extract", "sealed_restore", "literal_pad_rule", "plain_fm_locate", "csa_locate", "cte_locate", "bwt_generic_roundtrip", "homophony_k4", "variant_collection", "sample_patterns", "absent_patterns", "hits_cube", "anti_items", "top_items", "click_paths", "windowed_hits", "fasta_roundtrip", "stream_windows", "stream_watch", "benchmark_overlap", "iupac_alphabet", "long_runs", "bwt_per_item", "scatter", "inexact_locate", "bwt_strategies_differ"]
 
 
 @pytest.fixture(scope="module")
