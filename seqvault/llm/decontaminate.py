@@ -9,8 +9,9 @@ as they occur.
    of shingles of items of a length are found by one equi-join, and only windows with so many of them go on: a bound, so
    no match is lost and clean text costs no fingerprint.
 2. Each distinct window gets a 64-bit SimHash, as each item has.
-3. Multi-index join: fingerprints are cut into ``radius + 1`` blocks, and a pair within ``radius`` bits agrees in one of
-   them, so joining on (length, block, value) finds all such pairs.
+3. Multi-index join: fingerprints are cut into ``BLOCKS`` blocks; a pair within ``radius`` bits differs in at most
+   ``radius // BLOCKS`` bits in one of them. Items are listed under every value so near to their own in every block, so
+   joining on (length, block, value) finds all such pairs.
 4. Pairs within the radius are verified by the exact weighted similarity.
 
 At a similarity of exactly 0.8, the mean distance is 9.7 bits with a deviation of 2.9; the radius of 20 leaves out about
@@ -28,8 +29,10 @@ from pyspark.sql import functions as F
 
 from seqvault.operators.barrier import barrier
 
-#: Rows of a table that may be sent to every task; beyond that the join is shuffled.
-SMALL = 200_000
+#: Numbers of a table that may be sent to every task (8 bytes each); beyond that the join is shuffled.
+SMALL = 500_000
+#: Blocks of a fingerprint: 9 or 10 bits wide, with 46 or 56 values within two bits for an item.
+BLOCKS = 7
 
 
 def word_array(text: Column) -> Column:
@@ -44,6 +47,11 @@ def shingle_array(w: Column, k: int) -> Column:
     return F.when(F.size(w) >= k, runs).otherwise(F.array().cast("array<bigint>"))
 
 
+def _numbered(shingles: Column, k: int) -> Column:
+    """(k, p, h) of shingles of ``k`` words."""
+    return F.transform(shingles, lambda h, p: F.struct(F.lit(k).alias("k"), p.alias("p"), h.alias("h")))
+
+
 def simhash(hashes: Column) -> Column:
     """64 bits, each set if it is set in over half of the hashes (repeats count)."""
     ones = lambda b: F.aggregate(hashes, F.lit(0), lambda n, h: n + F.call_function("shiftrightunsigned", h, b).bitwiseAND(F.lit(1)).cast("int"))
@@ -54,11 +62,27 @@ def _shift_left(x: Column, bits: Column) -> Column:
     return F.call_function("shiftleft", x, bits)
 
 
-def blocks(fp: Column, radius: int) -> Column:
-    """(block number, value) of ``radius + 1`` nearly equal parts of a fingerprint."""
-    n = radius + 1
-    cuts = [64 * i // n for i in range(n + 1)]
-    return F.array(*[F.struct(F.lit(i).alias("block"), F.shiftrightunsigned(fp, cuts[i]).bitwiseAND(F.lit((1 << (cuts[i + 1] - cuts[i])) - 1)).alias("value")) for i in range(n)])
+def block_cuts() -> list[int]:
+    return [64 * i // BLOCKS for i in range(BLOCKS + 1)]
+
+
+def blocks(fp: Column) -> Column:
+    """(block, value) of ``BLOCKS`` nearly equal parts of a fingerprint."""
+    cuts = block_cuts()
+    return F.array(*[F.struct(F.lit(i).alias("block"), F.shiftrightunsigned(fp, cuts[i]).bitwiseAND(F.lit((1 << (cuts[i + 1] - cuts[i])) - 1)).alias("value")) for i in range(BLOCKS)])
+
+
+def near_blocks(entries: DataFrame, radius: int) -> DataFrame:
+    """``entries`` with block and value for every value within ``radius // BLOCKS`` bits of their own in a block."""
+    cuts = block_cuts()
+    widest = max(b - a for a, b in zip(cuts, cuts[1:], strict=False))
+    masks = {0}
+    for _ in range(radius // BLOCKS):
+        masks |= {m ^ (1 << i) for m in masks for i in range(widest)}
+    width = F.get(F.array(*[F.lit(b - a) for a, b in zip(cuts, cuts[1:], strict=False)]), F.col("x.block"))
+    fitting = F.filter(F.array(*[F.lit(m).cast("long") for m in sorted(masks)]), lambda m: F.call_function("shiftrightunsigned", m, width) == 0)
+    own = entries.withColumn("x", F.explode(blocks(F.col("fp"))))
+    return own.withColumn("mask", F.explode(fitting)).select(*entries.columns, "x.block", F.col("x.value").bitwiseXOR(F.col("mask")).alias("value"))
 
 
 def weighted_similarity(a: Column, b: Column) -> Column:
@@ -68,8 +92,10 @@ def weighted_similarity(a: Column, b: Column) -> Column:
     return both / (F.size(a) + F.size(b) - both)
 
 
-def _small(df: DataFrame) -> DataFrame:
-    return F.broadcast(df) if df.limit(SMALL + 1).count() <= SMALL else df
+def _small(df: DataFrame, *numbers: str) -> DataFrame:
+    """``df``, to be sent to every task if its columns ``numbers`` say that it holds few numbers; without any, its rows."""
+    held = df.agg(F.sum(sum((F.expr(n) for n in numbers), F.lit(4)))).first()[0] or 0
+    return F.broadcast(df) if held <= SMALL else df
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, words: int = 5, similarity: float = 0.8, radius: int = 20) -> DataFrame:
@@ -86,11 +112,16 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, words: int = 5, similari
     marks = barrier(entries.select("n", "k", F.explode("shingles").alias("h")).distinct(), "marks")
 
     keyed = docs.select(F.col("doc_id").alias("_id"), F.xxhash64("text").alias("_hash"), word_array(F.col("text")).alias("w"))
-    found = None
-    for k in sizes or [words]:
-        spots = keyed.select("_id", "_hash", F.size("w").alias("size"), F.posexplode(shingle_array(F.col("w"), k)).alias("p", "h"))
-        hits = spots.join(_small(marks.filter(F.col("k") == k)), "h").select("_id", "_hash", "size", "n", "k", "p")
-        found = hits if found is None else found.unionByName(hits)
+    lengths = sizes or [words]
+    # sizes are taken before: a row of a shingle must not carry the words of its text along; and outer, as for a plain
+    # explode the optimizer derives a filter on the array, which would split a text anew for each of its words
+    if len(lengths) == 1:
+        sized = keyed.select("_id", "_hash", F.size("w").alias("size"), F.lit(lengths[0]).alias("k"), shingle_array(F.col("w"), lengths[0]).alias("s"))
+        spots = sized.select("_id", "_hash", "size", "k", F.posexplode_outer("s").alias("p", "h"))
+    else:  # shingles of several sizes in one pass
+        sized = keyed.select("_id", "_hash", F.size("w").alias("size"), F.concat(*[_numbered(shingle_array(F.col("w"), k), k) for k in lengths]).alias("s"))
+        spots = sized.select("_id", "_hash", "size", F.explode_outer("s").alias("s")).select("_id", "_hash", "size", "s.*")
+    found = spots.join(_small(marks), ["k", "h"]).select("_id", "_hash", "size", "n", "k", "p")
 
     # a: shingles of the item, b: of the window; need: shared shingles of a match; first and last of so many in a row
     length = F.least("n", "size")
@@ -111,20 +142,18 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, words: int = 5, similari
     targets = barrier(windows.groupBy("_id", "_hash").agg(F.collect_list(F.struct("n", "k", "b", "starts")).alias("at")), "windows")
 
     same = F.col("_id").eqNullSafe(F.col("t_id")) & (F.col("_hash") == F.col("t_hash"))
-    chosen = keyed.join(_small(targets.select(F.col("_id").alias("t_id"), F.col("_hash").alias("t_hash"), "at")), same).dropDuplicates(["_id", "_hash"])
-    pieces = None
-    for k in sizes or [words]:
-        cut = chosen.select("_id", "_hash", shingle_array(F.col("w"), k).alias("all"), F.explode(F.filter("at", lambda t: t["k"] == k)).alias("t"))
-        cut = cut.select("_id", "_hash", F.col("t.n").alias("n"), F.col("t.b").alias("b"), "all", F.explode("t.starts").alias("s"))
-        cut = cut.select("_id", "_hash", "n", F.slice("all", F.col("s") + 1, F.col("b")).alias("content"))
-        pieces = cut if pieces is None else pieces.unionByName(cut)
+    wanted = _small(targets.select(F.col("_id").alias("t_id"), F.col("_hash").alias("t_hash"), "at"), "aggregate(at, 0, (n, t) -> n + 4 + size(t.starts))")
+    chosen = keyed.join(wanted, same).dropDuplicates(["_id", "_hash"]).select("_id", "_hash", "w", F.explode("at").alias("t"))
+    shingles = F.coalesce(*[F.when(F.col("t.k") == k, shingle_array(F.col("w"), k)) for k in lengths])
+    pieces = chosen.select("_id", "_hash", F.col("t.n").alias("n"), F.col("t.b").alias("b"), shingles.alias("all"), F.col("t.starts").alias("starts"))
+    pieces = pieces.select("_id", "_hash", "n", F.explode_outer(F.transform("starts", lambda s: F.slice("all", s + 1, F.col("b")))).alias("content")).filter("content is not null")
     pieces = barrier(pieces.distinct(), "pieces")
 
     # small in bytes and heavy in work: dealt out by number, and each fingerprint is made once
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     contents = barrier(pieces.select("n", "content").distinct().repartition(parts).withColumn("fp", simhash(F.col("content"))), "contents")
-    left = contents.select("n", "content", "fp", F.explode(blocks(F.col("fp"), radius)).alias("x")).select("n", "content", "fp", "x.*")
-    right = entries.select("n", "item_id", "shingles", F.col("fp").alias("fp2"), F.explode(blocks(F.col("fp"), radius)).alias("x")).select("n", "item_id", "shingles", "fp2", "x.*")
+    left = contents.select("n", "content", "fp", F.explode(blocks(F.col("fp"))).alias("x")).select("n", "content", "fp", "x.*")
+    right = near_blocks(entries.select("n", "item_id", "shingles", "fp"), radius).withColumnRenamed("fp", "fp2")
     near = left.join(right, ["n", "block", "value"]).filter(F.bit_count(F.col("fp").bitwiseXOR(F.col("fp2"))) <= radius)
     verified = (
         near.select("n", "content", "item_id", "shingles").distinct().repartition(parts)

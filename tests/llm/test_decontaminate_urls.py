@@ -2,6 +2,7 @@ import random
 from collections import Counter
 
 import duckdb
+import numpy as np
 import pytest
 import regex
 
@@ -94,9 +95,45 @@ def test_odd_tables(spark, corpus):
     assert decontaminate.decontaminated(frame, bench.limit(0)).count() == 5
 
 
-def test_blocks_cover_the_fingerprint(spark):
-    row = spark.range(1).select(decontaminate.blocks(url_rules.F.lit(-1).cast("long"), 20).alias("b")).first()[0]
-    assert len(row) == 21 and sum(bin(x["value"]).count("1") for x in row) == 64
+def test_blocks_find_every_pair_within_the_radius(spark):
+    rnd = random.Random(8)
+    base = [rnd.getrandbits(64) for _ in range(5)]
+    other = []
+    for i, f in enumerate(base):
+        for bits in (0, 1, 10, 19, 20, 20, 20, 24, 40):
+            other.append((i, f ^ sum(1 << b for b in rnd.sample(range(64), bits))))
+    signed = lambda x: x - (1 << 64) if x >> 63 else x
+    F = url_rules.F
+    left = spark.createDataFrame([(k, signed(f)) for k, (_, f) in enumerate(other)], "k long, fp long").withColumn("x", F.explode(decontaminate.blocks(F.col("fp")))).select("k", "x.*")
+    right = decontaminate.near_blocks(spark.createDataFrame([(i, signed(f)) for i, f in enumerate(base)], "i long, fp long"), 20)
+    got = {tuple(r) for r in left.join(right, ["block", "value"]).select("k", "i").distinct().collect()}
+    assert got >= {(k, i) for k, (_, f) in enumerate(other) for i, g in enumerate(base) if (f ^ g).bit_count() <= 20}
+    row = spark.range(1).select(decontaminate.blocks(F.lit(-1).cast("long")).alias("b")).first()[0]
+    assert len(row) == decontaminate.BLOCKS and sum(bin(x["value"]).count("1") for x in row) == 64
+
+
+def test_recall_of_the_radius():
+    """Windows whose similarity to an item is 0.8 or little more: share within the radius of 20 bits."""
+    rng = np.random.default_rng(5)
+    missed, pairs = 0, 4_000
+    for _ in range(pairs):
+        n = int(rng.integers(20, 200))
+        shared = -(-8 * n // 9)  # of n shingles each: similarity just over 0.8
+        a = rng.integers(0, 1 << 63, n, dtype=np.uint64)
+        b = np.concatenate([a[:shared], rng.integers(0, 1 << 63, n - shared, dtype=np.uint64)])
+        bits = [np.unpackbits(x.view(np.uint8).reshape(n, 8), axis=1).sum(0) * 2 > n for x in (a, b)]
+        missed += int((bits[0] != bits[1]).sum() > 20)
+    assert missed / pairs < 0.002
+
+
+def test_a_very_long_text(spark):
+    rnd = random.Random(3)
+    item = " ".join(f"w{rnd.randrange(500)}" for _ in range(40))
+    text = " ".join(f"w{rnd.randrange(500)}" for _ in range(150_000))
+    docs = spark.createDataFrame([(1, f"{text} {item} {text}", "", "", 0), (2, text, "", "", 0)], DOCS)
+    rows = decontaminate.report(docs, spark.createDataFrame([(1, item), (2, "two words"), (3, "w1 w2 w3")], BENCH)).collect()
+    flags = {r["doc_id"]: (r["contaminated"], r["best_item"]) for r in rows}
+    assert flags[1][0] and flags[1][1] in (1, 3) and not (flags[2][0] and flags[2][1] != 3)
 
 
 URLS = [None, "", "no scheme", "http://net", "http://net/", "HTTP://A.NET/x", "http://a.b.example.net/en/1?x=/fr/", "http://example.net/en", "http://xexample.net/en/1", "https://m.example.com/de/q#x", "https://example.com?/de/", "ftp://x.org/fr/", "x://org/fr/y://net/", "http://a-net/", "http://net.org/fr/", "http://u:p@shop.example.net/en/", "http://shop.example.net:80/en/", "http://example.net./en/", "://net/", "http://a\nb.net/x", "http:///en/"] + [f"http://h{i % 5}.example.net/en/{i}" for i in range(40)]

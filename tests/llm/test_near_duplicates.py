@@ -42,9 +42,23 @@ def test_trie_join_finds_every_pair_once(depth, lot, monkeypatch):
     base = rng.integers(0, 1 << 63, 30, dtype=np.uint64)
     keys = np.unique(np.concatenate([base, *(base ^ np.uint64(1 << int(b)) for b in rng.integers(0, 64, 4)), *(base ^ np.uint64((1 << int(b)) | (1 << int(c))) for b, c in rng.integers(0, 63, (4, 2)))]))
     roots = np.array([(a, a ^ x) for a in range(1 << depth) for x in simhash_trie.neighbour_masks(depth, 2) if a <= a ^ x], np.int64)
-    i, j = simhash_trie.trie_join(keys, roots, depth, 2)
-    got = sorted(tuple(sorted(p)) for p in zip(i.tolist(), j.tolist(), strict=True))
-    assert got == [(a, b) for a in range(len(keys)) for b in range(a + 1, len(keys)) if (int(keys[a]) ^ int(keys[b])).bit_count() <= 2]
+    got = sorted(tuple(sorted(p)) for i, j in simhash_trie.trie_pairs(keys, roots, depth, 2) for p in zip(i.tolist(), j.tolist(), strict=True))
+    want = [(a, b) for a in range(len(keys)) for b in range(a + 1, len(keys)) if (int(keys[a]) ^ int(keys[b])).bit_count() <= 2]
+    assert got == want
+    forest = simhash_trie.Forest(len(keys))
+    for i, j in simhash_trie.trie_pairs(keys, roots, depth, 2, forest.whole):
+        forest.merge(i, j)
+    assert forest.label.tolist() == components(len(keys), want)
+
+
+def test_a_dense_group_is_not_walked_pair_by_pair(monkeypatch):
+    monkeypatch.setattr(simhash_trie, "PAIRS", 500)
+    keys = np.unique(np.random.default_rng(1).integers(0, 1 << 12, 3_000, dtype=np.uint64))
+    forest, seen = simhash_trie.Forest(len(keys)), 0
+    for i, j in simhash_trie.trie_pairs(keys, np.array([[0, 0]]), 0, 3, forest.whole):
+        forest.merge(i, j)
+        seen += len(i)
+    assert not forest.label.any() and seen < 20 * len(keys)
 
 
 def slow_fingerprint(text, words=3):
@@ -106,7 +120,7 @@ def test_embedding_links_equal_brute_force(spark):
     x[70:75] = x[5]
     rows = [(i, v.tolist(), 0) for i, v in enumerate(x)]
     odd = [(900, None, 0), (901, [0.0] * 16, 0), (902, [float("nan")] + [1.0] * 15, 0), (903, [None] + [1.0] * 15, 0), (904, [], 0), (905, [float("inf")] * 16, 0), (906, [1e-200] * 16, 0), (907, [1e200] * 16, 0), (908, [1.0, 2.0], 0), (None, x[0].tolist(), 0)]
-    got = embedding_join.near_duplicates(spark.createDataFrame(rows + odd, "vec_id long, embedding array<double>, label int").selectExpr("*", "1 AS unit"), tile=32).collect()
+    got = embedding_join.near_duplicates(spark.createDataFrame(rows + odd, "vec_id long, embedding array<double>, label int").selectExpr("*", "1 AS body", "2 AS dim"), tile_bytes=32 * 16 * 8).collect()
     u = x / np.linalg.norm(x, axis=1)[:, None]
     linked = u @ u.T >= 0.9
     edges = [(a, b) for a in range(120) for b in range(a) if linked[a, b]]
@@ -121,3 +135,37 @@ def test_embedding_links_equal_brute_force(spark):
         assert by[i]["n_links"] == 0 and by[i]["component_id"] == i and by[i]["kept"]
     assert by[906]["n_links"] == by[907]["n_links"] == 1 and by[907]["component_id"] == 906
     assert embedding_join.near_duplicates(spark.createDataFrame([], "vec_id long, embedding array<float>, label int")).count() == 0
+
+
+def test_dense_groups_and_clusters_of_vectors(spark, monkeypatch):
+    monkeypatch.setattr(embedding_join, "SLICE", 16)
+    monkeypatch.setattr(embedding_join, "LOT", 50)
+    rng = np.random.default_rng(3)
+    centres = rng.normal(size=(4, 24))
+    x = np.concatenate([c + rng.normal(scale=s, size=(70, 24)) for c, s in zip(centres, (0.02, 0.25, 0.35, 0.3), strict=True)])
+    x = np.concatenate([x, np.repeat(x[:1], 5_000, 0)])
+    got = embedding_join.near_duplicates(spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>"), tile_bytes=40 * 24 * 8).collect()
+    u = x[:281] / np.linalg.norm(x[:281], axis=1)[:, None]
+    linked = u @ u.T >= 0.9
+    weight = np.append(np.ones(280, int), 5_000)
+    label = components(281, [(a, b) for a in range(281) for b in range(a) if linked[a, b]])
+    assert 3 < len(set(label)) < 200
+    by = {r["vec_id"]: r for r in got}
+    for i in range(280):
+        assert by[i]["n_links"] == linked[i] @ weight - 1 and by[i]["component_id"] == label[i], i
+    assert all(by[i]["n_links"] == by[0]["n_links"] and by[i]["component_id"] == 0 and not by[i]["kept"] for i in range(280, 5_280))
+
+
+def test_tiles_that_are_apart_do_not_meet(spark):
+    rng = np.random.default_rng(4)
+    x = np.concatenate([np.eye(16)[k] * 5 + rng.normal(scale=0.05, size=(40, 16)) for k in range(4)])
+    seen = {}
+    real = embedding_join.meeting_tiles
+    rows = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    try:
+        embedding_join.meeting_tiles = lambda *a: seen.setdefault("pairs", real(*a))
+        got = embedding_join.near_duplicates(rows, tile_bytes=40 * 16 * 8, tiles=1).collect()
+    finally:
+        embedding_join.meeting_tiles = real
+    assert sorted(tuple(r) for r in seen["pairs"].collect()) == [(k, k) for k in range(4)]
+    assert all(r["n_links"] == 39 and r["component_id"] == r["vec_id"] // 40 * 40 for r in got)

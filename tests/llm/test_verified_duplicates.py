@@ -27,3 +27,34 @@ def test_documents_that_share_a_repeated_line_are_kept(spark):
     near = clean[0].replace("own0x", "changed0x", 1)
     docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in enumerate([*clean, near])], DOCS)
     assert sorted(r["doc_id"] for r in simhash_trie.one_of_each(docs).collect()) == list(range(8))
+
+
+def test_large_groups_block_by_block_equal_small_ones(spark, monkeypatch):
+    rnd = random.Random(9)
+    words = [f"w{i}" for i in range(3_000)]
+    base = [rnd.choices(words, k=120) for _ in range(4)]
+    texts = []
+    for b in base:
+        texts.append(" ".join(b))
+        for _ in range(25):
+            t = list(b)
+            for _ in range(rnd.randint(1, 4)):
+                t[rnd.randrange(120)] = f"x{rnd.random()}"
+            texts.append(" ".join(t))
+    texts += [""]
+    rows = [(7, i, i, t) for i, t in enumerate(texts)]
+    members = spark.createDataFrame(rows, "root long, node long, row long, text string")
+    sets = [set(simhash_trie.word_run_hashes(t, 5)[0].tolist()) for t in texts]
+    edges = [(a, b) for a in range(len(sets)) for b in range(a) if 9 * len(sets[a] & sets[b]) >= 4 * (len(sets[a]) + len(sets[b]))]
+    want = components(len(sets), edges)
+    small = [tuple(r) for r in simhash_trie.small_group_links(members, 5).collect()]
+    assert components(len(sets), small) == want
+    monkeypatch.setattr(simhash_trie, "PARTS", 3)
+    made = simhash_trie.candidate_sets(members, 5)
+    for leaders in (1, 3):
+        large = [tuple(r) for r in simhash_trie.large_group_links(made, leaders, 900).collect()]
+        assert components(len(sets), large) == want
+    docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in enumerate(texts)], DOCS)
+    kept = sorted(r["doc_id"] for r in simhash_trie.one_of_each(docs).collect())
+    monkeypatch.setattr(simhash_trie, "SHINGLES", 900)
+    assert sorted(r["doc_id"] for r in simhash_trie.one_of_each(docs).collect()) == kept
