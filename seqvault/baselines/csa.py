@@ -5,11 +5,13 @@ from __future__ import annotations
 import zlib
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from seqvault.alphabet import Alphabet, collect_alphabet
 from seqvault.encode import join_collection, plan_shards
+from seqvault.operators.barrier import barrier
 from seqvault.suffix import suffix_order_kernel
 
 
@@ -56,22 +58,22 @@ def csa_locate(items: DataFrame, patterns: DataFrame, mark_pct: int = 5, shard_s
     """pattern_id, item_no, offset: builds each shard's array in its task and searches it."""
     letters = collect_alphabet(items)
     alphabet, step = Alphabet(tuple(letters), 1), max(1, -(-100 // mark_pct))
-    asked = patterns.select("pattern_id", "pattern").limit(100_001).toPandas()
-    if len(asked) > 100_000:
-        raise ValueError("the comparison index takes at most 100,000 patterns at once")
+    planned = barrier(plan_shards(items.select("item_no", "seq"), 1, shard_symbols), "planned")
+    asked = patterns.select("pattern_id", "pattern").crossJoin(planned.select(F.col("shard").alias("of")).distinct())  # every shard is asked
 
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("item_no")
-        text, starts, _ = join_collection(pdf["seq"].tolist(), alphabet, None)
-        index = SuccessorIndex(text, alphabet.sigma, step)
-        out = []
-        for number, pattern in zip(asked["pattern_id"], asked["pattern"], strict=True):
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        left = left.sort_by("item_no")
+        text, starts, _ = join_collection(left["seq"].to_pylist(), alphabet, None)
+        index, items_ = SuccessorIndex(text, alphabet.sigma, step), left["item_no"].to_numpy()
+        out: list[list[np.ndarray]] = [[np.zeros(0, np.int64)] for _ in range(3)]
+        for number, pattern in zip(right["pattern_id"].to_pylist(), right["pattern"].to_pylist(), strict=True):
             digits = alphabet.digits(pattern)
             if not len(digits) or (digits < 0).any():
                 continue
             at = index.positions(np.arange(*index.range_of(digits)))
             owner = np.searchsorted(starts, at, "right") - 1
-            out.append(pd.DataFrame({"pattern_id": number, "item_no": pdf["item_no"].to_numpy()[owner], "offset": at - starts[owner]}))
-        return pd.concat(out) if out else pd.DataFrame({"pattern_id": [], "item_no": [], "offset": []}).astype("int64")
+            for part, column in zip(out, (np.full(len(at), number), items_[owner], at - starts[owner]), strict=True):
+                part.append(column)
+        return pa.table(dict(zip(("pattern_id", "item_no", "offset"), map(np.concatenate, out), strict=True)))
 
-    return plan_shards(items.select("item_no", "seq"), 1, shard_symbols).groupBy("shard").applyInPandas(run, "pattern_id long, item_no long, offset long")
+    return planned.groupBy("shard").cogroup(asked.groupBy("of")).applyInArrow(run, "pattern_id long, item_no long, offset long")

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
@@ -41,14 +41,13 @@ class WaveletMatrix:
         tail = plane[np.minimum(word, len(plane) - 1)] & ((np.uint64(1) << rest) - np.uint64(1))
         return self.sums[level][word] + np.bitwise_count(tail)
 
-    def rank(self, value: int, i: np.ndarray) -> np.ndarray:
-        """Occurrences of ``value`` before each position."""
+    def rank(self, values: np.ndarray, i: np.ndarray) -> np.ndarray:
+        """Occurrences of each of ``values`` before its position."""
         low = np.zeros_like(i)
         for level, z in enumerate(self.zeros):
-            if value >> (len(self.zeros) - 1 - level) & 1:
-                low, i = z + self.ones(level, low), z + self.ones(level, i)
-            else:
-                low, i = low - self.ones(level, low), i - self.ones(level, i)
+            bit = (values >> (len(self.zeros) - 1 - level) & 1).astype(bool)
+            before_low, before = self.ones(level, low), self.ones(level, i)
+            low, i = np.where(bit, z + before_low, low - before_low), np.where(bit, z + before, i - before)
         return i - low
 
     def access_rank(self, i: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -77,16 +76,21 @@ class PlainShard:
         self.row_of_mark = self.mark_rows[np.argsort(self.mark_pos)]
         self.items = [np.frombuffer(row[c], "<i8") for c in ("item_no", "item_start", "item_length")]
 
-    def range_of(self, pattern: str) -> tuple[int, int]:
-        digits = self.alphabet.digits(pattern)
-        if not len(digits) or (digits < 0).any():
-            return 0, 0
-        ends = np.array([0, self.n])
-        for s in digits[::-1].tolist():
-            ends = self.c[s] + self.tree.rank(s, ends)
-            if ends[0] >= ends[1]:
-                return 0, 0
-        return int(ends[0]), int(ends[1])
+    def ranges_of(self, patterns: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Rows of each pattern; all take their backward steps side by side."""
+        digits = [self.alphabet.digits(p) for p in patterns]
+        sizes = np.array([len(d) if (d >= 0).all() else 0 for d in digits], np.int64)
+        flat = np.concatenate([np.zeros(0, np.int64), *(d[::-1] for d in digits)])
+        begin = np.cumsum([0, *map(len, digits)])[:-1]
+        low, high = np.zeros(len(digits), np.int64), np.where(sizes > 0, self.n, 0)
+        active, step = np.flatnonzero(sizes > 0), 0
+        while len(active):
+            s = flat[begin[active] + step]
+            got = self.tree.rank(np.concatenate([s, s]), np.concatenate([low[active], high[active]]))
+            low[active], high[active] = self.c[s] + got[: len(s)], self.c[s] + got[len(s) :]
+            step += 1
+            active = active[(low[active] < high[active]) & (sizes[active] > step)]
+        return low, np.maximum(low, high)
 
     def positions(self, rows: np.ndarray) -> np.ndarray:
         out, walk, at, steps = np.zeros(len(rows), np.int64), np.arange(len(rows)), rows, 0
@@ -99,10 +103,15 @@ class PlainShard:
             at, steps = self.c[value] + rank, steps + 1
         return out
 
-    def locate(self, pattern: str) -> tuple[np.ndarray, np.ndarray]:
-        at = self.positions(np.arange(*self.range_of(pattern)))
+    def locate(self, patterns: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Number of the pattern, item_no and offset of every occurrence."""
+        low, high = self.ranges_of(patterns)
+        size = high - low
+        ends = np.cumsum(size)
+        rows = np.arange(ends[-1] if len(ends) else 0) + np.repeat(low - (ends - size), size)
+        at = self.positions(rows)
         owner = np.searchsorted(self.items[1], at, "right") - 1
-        return self.items[0][owner], at - self.items[1][owner]
+        return np.repeat(np.arange(len(patterns)), size), self.items[0][owner], at - self.items[1][owner]
 
     def extract(self, item: int, start: int, length: int) -> str | None:
         spot = np.flatnonzero(self.items[0] == item)
@@ -157,38 +166,45 @@ class PlainFM:
     def rows(self) -> DataFrame:
         return self.spark.read.schema(SCHEMA).parquet(self.path)
 
-    def _search(self, requests: DataFrame, run, schema: str) -> DataFrame:
-        """Every shard with all requests, which are few and sent along."""
+    def _search(self, requests: DataFrame, run: Callable[[PlainShard, pa.Table], dict], schema: str, most: int = 20_000) -> DataFrame:
+        """Every shard with all requests: a task holds one shard and up to ``most`` of them."""
         letters, names = self.letters, schema.replace(" long", "").replace(" string", "").split(", ")
-        asked = requests.toPandas().to_dict("records") if requests.count() <= 100_000 else None
-        if asked is None:
-            raise ValueError("the comparison index takes at most 100,000 requests at once")
+        chunks = max(1, -(-requests.count() // most))
+        numbers = F.explode(F.sequence(F.lit(0), F.lit(chunks - 1))).alias("chunk")
+        shards = self.rows().select("*", numbers)
+        asked = requests.withColumn("chunk", F.pmod(F.xxhash64(*requests.columns), F.lit(chunks)).cast("int")).crossJoin(self.rows().select("shard"))
+        columns = requests.columns
 
-        def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                for row in batch.to_pylist():
-                    shard = PlainShard(row, letters)
-                    found = [r for q in asked for r in run(shard, q)]
-                    yield pa.record_batch([pa.array([f[i] for f in found], pa.string() if n == "text" else pa.int64()) for i, n in enumerate(names)], names=names)
+        def search(left: pa.Table, right: pa.Table) -> pa.Table:
+            lot = run(PlainShard(left.to_pylist()[0], letters), right.select(columns))
+            return pa.table({n: pa.array(lot[n], pa.string() if n == "text" else pa.int64()) for n in names})
 
-        return self.rows().mapInArrow(search, schema)
+        # few bytes, but work for many tasks: a number of partitions that is named is not lowered by their size
+        parts = int(self.spark.conf.get("spark.sql.shuffle.partitions"))
+        keyed = [df.repartition(parts, "shard", "chunk").groupBy("shard", "chunk") for df in (shards, asked)]
+        return keyed[0].cogroup(keyed[1]).applyInArrow(search, schema)
 
     def locate(self, patterns: DataFrame) -> DataFrame:
-        return self._search(patterns.select("pattern_id", "pattern"), lambda s, q: [(q["pattern_id"], int(i), int(o)) for i, o in zip(*s.locate(q["pattern"]), strict=True)], "pattern_id long, item_no long, offset long")
+        def run(shard: PlainShard, table: pa.Table) -> dict:
+            number, item, offset = shard.locate(table["pattern"].to_pylist())
+            return {"pattern_id": table["pattern_id"].to_numpy()[number], "item_no": item, "offset": offset}
+
+        return self._search(patterns.select("pattern_id", "pattern"), run, "pattern_id long, item_no long, offset long")
 
     def count(self, patterns: DataFrame) -> DataFrame:
-        def one(s: PlainShard, q: dict) -> list[tuple]:
-            low, high = s.range_of(q["pattern"])
-            return [(q["pattern_id"], high - low)]
+        def run(shard: PlainShard, table: pa.Table) -> dict:
+            low, high = shard.ranges_of(table["pattern"].to_pylist())
+            return {"pattern_id": table["pattern_id"].to_numpy(), "n": high - low}
 
-        return self._search(patterns.select("pattern_id", "pattern"), one, "pattern_id long, n long").groupBy("pattern_id").agg(F.sum("n").alias("n"))
+        return self._search(patterns.select("pattern_id", "pattern"), run, "pattern_id long, n long").groupBy("pattern_id").agg(F.sum("n").alias("n"))
 
     def extract(self, requests: DataFrame) -> DataFrame:
-        def one(s: PlainShard, q: dict) -> list[tuple]:
-            text = s.extract(q["item_no"], q["start"], q["len"])
-            return [] if text is None else [(q["req_id"], text)]
+        def run(shard: PlainShard, table: pa.Table) -> dict:
+            asked = table.to_pylist()
+            texts = [shard.extract(q["item_no"], q["start"], q["len"]) for q in asked]
+            return {"req_id": [q["req_id"] for q, t in zip(asked, texts, strict=True) if t is not None], "text": [t for t in texts if t is not None]}
 
-        return self._search(requests, one, "req_id long, text string")
+        return self._search(requests.select("req_id", "item_no", "start", "len"), run, "req_id long, text string")
 
     def bytes(self) -> int:
         """Planes with a 32-bit count per word group, marks at 8 bytes, items and tables."""
