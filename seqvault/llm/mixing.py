@@ -58,8 +58,11 @@ def _rate(lam: Column, c: Column, cap: float) -> Column:
     return F.when(lam.isNull(), F.lit(cap)).otherwise(F.least(F.lit(cap), F.exp(F.least(lam * c, F.lit(50.0)))))
 
 
-def solve_tilts(counts: DataFrame, sources: DataFrame, cap: float, rounds: int = 60, close: float = 1e-7) -> DataFrame:
-    """``lam`` of each source: null where the target is the cap itself, else the root of the dual's gradient."""
+def solve_tilts(counts: DataFrame, sources: DataFrame, cap: float, rounds: int = 100, close: float = 1e-7) -> DataFrame:
+    """``lam`` of each source: null where the target is the cap itself, else the root of the dual's gradient.
+
+    Raises where ``rounds`` steps do not suffice; a few are usual, and halving the bracket alone would need about 60.
+    """
     size, n, lam = F.col("size").cast("double"), F.col("n"), F.col("lam")
     state = sources.withColumn("lam", F.when(F.col("target") >= F.col("source_size") * cap * (1 - 1e-12), F.lit(None)).otherwise(F.lit(0.0)))
     state = barrier(state.withColumns({"lo": F.lit(-1e6), "hi": F.lit(1e6)}), "tilts")
@@ -83,6 +86,8 @@ def solve_tilts(counts: DataFrame, sources: DataFrame, cap: float, rounds: int =
         if not state.agg(F.max("open")).first()[0]:
             break
         state = state.drop("open")
+    else:
+        raise RuntimeError(f"the tilts did not settle in {rounds} rounds")
     # sums of doubles depend on their order in the last digits; rounded, reruns give the same rates
     return state.select("skey", "source_size", "target", "mean", F.round("lam", 9).alias("lam"))
 

@@ -1,3 +1,4 @@
+import math
 import random
 import zlib
 
@@ -121,3 +122,33 @@ def test_mix_odd_rows(spark):
     taken = mixing.mixed_documents(docs)
     assert taken.columns == docs.columns and {r["_row"] for r in taken.collect()} <= {1}
     assert mixing.mixed_documents(docs.limit(0)).count() == 0
+
+
+def test_rates_equal_an_independent_solver(spark):
+    rnd = random.Random(21)
+    rows = [(i, " ".join(["w"] * rnd.choice([0, 1, 3, 10, 40, 200])), "en", rnd.choice(["a", "b", "c", "d", None]), 0) for i in range(300)]
+    got = mixing.mix(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")).collect()
+    source = {r[0]: r[3] for r in rows}
+    for name in {r[3] for r in rows}:
+        mine = [r for r in got if source[r["doc_id"]] == name]
+        sizes, target = [r["size"] for r in mine], mine[0]["target"]
+        assert target <= 2 * sum(sizes) + 1e-6
+        mean = sum(sizes) / sum(s > 0 for s in sizes)
+        taken = lambda lam: sum(min(2.0, math.exp(min(50.0, lam * s / mean))) * s for s in sizes)  # noqa: E731, B023
+        low, high = -50.0, 50.0
+        for _ in range(200):
+            middle = (low + high) / 2
+            low, high = (middle, high) if taken(middle) < target else (low, middle)
+        for r in mine:
+            want = 0.0 if not r["size"] else min(2.0, math.exp(min(50.0, high * r["size"] / mean)))
+            assert abs(r["rate"] - want) < 1e-4, (name, r["size"], r["rate"], want)
+
+
+def test_no_convergence_is_an_error(spark):
+    rows = [(i, "w " * (i % 7 + 1), "en", "ab"[i % 2], 0) for i in range(40)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    sized = docs.select(mixing.source_key(docs["source"]).alias("skey"), mixing.word_size(docs["text"]).alias("size"))
+    counts = sized.groupBy("skey", "size").count().withColumnRenamed("count", "n")
+    sources = counts.selectExpr("skey", "size * n AS t", "n").groupBy("skey").sum("t", "n").selectExpr("skey", "`sum(t)` AS source_size", "`sum(t)` / `sum(n)` AS mean", "1.3 * `sum(t)` AS target")
+    with pytest.raises(RuntimeError, match="settle"):
+        mixing.solve_tilts(counts, sources, 2.0, rounds=1)
