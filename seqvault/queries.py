@@ -300,8 +300,14 @@ def _ratio_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return workloads.tidy(spark, workloads.ratios(_collection(spark, sf_dir, "consensus_b"), params=IndexParams(shard_symbols=1 << 19)))
 
 
-def _search_rows(name: str, lengths: tuple[int, ...]) -> Query:
-    return lambda spark, sf_dir: workloads.tidy(spark, workloads.search(_workload_index(spark, sf_dir, name), _windows(spark, sf_dir, name, lengths=lengths)))
+def _search_rows(lengths: tuple[int, ...], metrics: tuple[str, ...]) -> Query:
+    """Measures of one run of all patterns, which the queries of both protocols share."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        rows = _kept(spark, ("times", sf_dir), lambda: workloads.search(_workload_index(spark, sf_dir, "consensus_a"), _windows(spark, sf_dir, "consensus_a")))
+        return workloads.tidy(spark, [r for r in rows if r["metric"] in metrics and (not r["len"] or r["len"] in lengths)])
+
+    return run
 
 
 def _homophony(k: int) -> tuple[Query, str]:
@@ -401,8 +407,8 @@ def _registered() -> dict[str, tuple[Query, str | None]]:
         q[f"w_{name}"] = (_workload(name), None)
     for name in ("consensus_b", "random100", "whole"):
         q[f"w_plain_{name}"] = (_plain_workload(name), None)
-    q["w_patterns_median"] = (_search_rows("consensus_a", MEDIAN_LENGTHS), None)
-    q["w_patterns_mean"] = (_search_rows("consensus_a", workloads.MEAN_LENGTHS), None)
+    q["w_patterns_median"] = (_search_rows(MEDIAN_LENGTHS, ("median_seconds", "seconds_per_hit")), None)
+    q["w_patterns_mean"] = (_search_rows(workloads.MEAN_LENGTHS, ("mean_seconds",)), None)
     q["w_sweep_k"] = (lambda s, d: workloads.tidy(s, workloads.build_times(_collection(s, d, "consensus_c"), params=IndexParams(shard_symbols=1 << 19))), None)
     q["w_sweep_bs"] = (lambda s, d: workloads.tidy(s, workloads.sweep(_collection(s, d, "consensus_c"), _windows(s, d, "consensus_c", 20), params=IndexParams(shard_symbols=1 << 19))), None)
     q["w_cipher"] = (lambda s, d: workloads.tidy(s, workloads.cipher_cost(_collection(s, d, "consensus_c"), _windows(s, d, "consensus_c", 100), IndexParams(shard_symbols=1 << 19))), None)
