@@ -14,7 +14,10 @@ def resolve(uri: str) -> tuple[fs.FileSystem, str]:
 
 
 class AtomicFile:
-    """Write under a name of this attempt, then move into place, so that retries and twins leave one whole file."""
+    """Write under a name of this attempt, then move into place, so that retries and twins leave one whole file.
+
+    In a store whose move does not replace, the file of an earlier attempt stays: attempts write the same bytes.
+    """
 
     def __init__(self, uri: str):
         self.store, self.path = resolve(uri)
@@ -28,7 +31,12 @@ class AtomicFile:
     def __exit__(self, kind, *_):
         if not self.sink.closed:
             self.sink.close()
-        if kind is None:
+        if kind is not None:
+            self.store.delete_file(self.attempt)
+            return
+        try:
             self.store.move(self.attempt, self.path)
-        else:
+        except OSError:
+            if self.store.get_file_info(self.path).type != fs.FileType.File:
+                raise
             self.store.delete_file(self.attempt)

@@ -5,8 +5,10 @@ import pandas as pd
 import pytest
 
 import __spark_entry__ as entry
-from seqvault import measures, queries
+from seqvault import measures, queries, sql
 from seqvault.encode import from_blocks, to_blocks
+from seqvault.index import IndexParams, build_index
+from seqvault.operators import shared_fs
 from seqvault.operators.barrier import scratch_path
 from seqvault.operators.prefix import place_by_range, row_numbers, running_sum
 from seqvault.plans import inspect
@@ -121,3 +123,43 @@ def test_sql_functions(spark, sf):
     assert spark.sql("SELECT mtf_rle(array(5, 5, 5, 9)) AS x").first()[0] == [0, 0, 2]
     assert round(spark.sql("SELECT homophony(n) FROM VALUES (1), (1), (2) AS t(n)").first()[0], 6) == round(__import__("math").log10(2), 6)
     assert spark.sql("SELECT revcomp('AACG')").first()[0] == "CGTT"
+
+
+def test_a_file_of_an_earlier_attempt_stays_where_a_move_does_not_replace(tmp_path):
+    class Strict:
+        """A store whose move fails on an existing target."""
+
+        def __init__(self, store):
+            self.store = store
+
+        def __getattr__(self, name):
+            return getattr(self.store, name)
+
+        def move(self, a, b):
+            if self.store.get_file_info(b).type.name == "File":
+                raise FileExistsError(b)
+            self.store.move(a, b)
+
+    for _ in range(2):
+        file = shared_fs.AtomicFile(f"file://{tmp_path}/x/one")
+        file.store = Strict(file.store)
+        with file as sink:
+            sink.write(b"same")
+    assert [p.name for p in (tmp_path / "x").iterdir()] == ["one"] and (tmp_path / "x" / "one").read_bytes() == b"same"
+    with pytest.raises(ZeroDivisionError), shared_fs.AtomicFile(f"file://{tmp_path}/x/two") as sink:
+        sink.write(b"half")
+        1 / 0  # noqa: B018
+    assert [p.name for p in (tmp_path / "x").iterdir()] == ["one"]
+
+
+def test_blocks_and_values_in_sql(spark):
+    index = build_index(spark.createDataFrame([(1, "ACGTACGTTTGA")], "item_no long, seq string"), IndexParams(k=2, bs=4), bytes(range(64)), scratch_path(spark, "sql"))
+    sql.register(spark, index)
+    spark.createDataFrame([([5, 5, 9, 5, 7, 7], 3), ([1], 4), ([], 5)], "syms array<long>, no long").createOrReplaceTempView("blocks_in")
+    rows = spark.sql("SELECT syms, decode_block(encode_block(syms, no), no) AS back, encode_block(syms, no).payload AS p FROM blocks_in").collect()
+    assert all(r["syms"] == r["back"] for r in rows) and len(rows) == 3
+    twice = spark.sql("SELECT seal(seal(encode('some text', 'UTF-8'), 9), 9) AS b, seal(encode('some text', 'UTF-8'), 9) AS c").first()
+    assert bytes(twice["b"]) == b"some text" != bytes(twice["c"])
+    commit = index.shards().first()["commit"]
+    got = spark.sql(f"SELECT * FROM seal_blocks('{commit}', 0, 0, 99)").orderBy("block_no").collect()
+    assert sum(r["n"] for r in got) == 8 and all(len(r["syms"]) == r["n"] for r in got)
