@@ -1,14 +1,13 @@
 """Quality by supervised subword embeddings.
 
-A word is represented by its own hashed id and those of its character n-grams (with word-boundary marks); a word pair of
-twice the same word has one id for all such pairs, counted ``PAIR`` times; a document is the average of all those vectors;
-a softmax layer gives the class. Vectors and layer are trained by numpy stochastic
+A word is represented by its own hashed id and those of its character n-grams (with word-boundary marks); a document is
+the average of all those vectors; a softmax layer gives the class. Vectors and layer are trained by numpy stochastic
 gradient descent on the driver from at most ``bound`` labelled rows, whose hashed ids come from the executors. Scoring
 uses that averaging and the layer are linear: each bucket's contribution to the logit difference is one number, so a
 task needs one array of ``buckets`` numbers and remembers the sum of each word it has met.
 
-Null or empty text: the average is the zero vector. Rows with equal ids are scored each. Without labels the score is 0.5.
-Empty table: empty result. Labels, lang, source and ids are no inputs of a score.
+Null or empty text: the average is the zero vector. Rows with equal ids are scored each; of rows with a labelled id in
+common, one is learned from. Without labels the score is 0.5. Empty table: empty result. Labels, lang, source and ids are no inputs of a score.
 """
 
 from __future__ import annotations
@@ -17,7 +16,6 @@ import math
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
-from operator import eq
 from zlib import crc32
 
 import numpy as np
@@ -26,9 +24,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from seqvault.llm.labelled import held_out, training_rows
+from seqvault.llm.workers import release, released
 
-#: Times that a repeated word's pair id counts.
-PAIR = 10
 #: Words remembered per task; the memo is emptied beyond that.
 MEMO = 300_000
 
@@ -41,24 +38,12 @@ def subword_ids(word: str, buckets: int, low: int, high: int) -> list[int]:
     return [crc32(g.encode("utf-8", "replace")) % buckets for g in (marked, *grams)]
 
 
-def repeats(words: list[str]) -> int:
-    """How many words equal the word before."""
-    return sum(map(eq, words, words[1:]))
-
-
-def pair_id(buckets: int) -> int:
-    return crc32(b"<same><same>") % buckets
-
-
 def document_ids(text: str | None, buckets: int, low: int, high: int) -> tuple[np.ndarray, np.ndarray]:
     """Distinct ids of a whole text and how often each occurs."""
     counts: dict[int, int] = {}
-    words = (text or "").split()
-    for word, n in Counter(words).items():
+    for word, n in Counter((text or "").split()).items():
         for i in subword_ids(word, buckets, low, high):
             counts[i] = counts.get(i, 0) + n
-    if pairs := repeats(words):
-        counts[pair_id(buckets)] = counts.get(pair_id(buckets), 0) + PAIR * pairs
     ids = np.fromiter(sorted(counts), np.int32, len(counts))
     return ids, np.array([counts[i] for i in ids.tolist()], np.float32)
 
@@ -86,17 +71,31 @@ class QualityModel:
                 self[word] = both = complex(sum([unit[i] for i in ids]), len(ids))
                 return both
 
-        memo, pair = Memo(), PAIR * complex(unit[pair_id(buckets)], 1)
+        memo = Memo()
 
         def score(text: str | None) -> float:
-            words = (text or "").split()
-            both = sum(map(memo.__getitem__, words), 0j) + pair * repeats(words)
+            both = sum(map(memo.__getitem__, (text or "").split()), 0j)
             z = self.bias + (both.real / both.imag if both.imag else 0.0)
             return 1 / (1 + math.exp(-max(-700.0, min(700.0, z))))
 
         return score
 
 
+def loss_and_gradients(mine: np.ndarray, share: np.ndarray, layer: np.ndarray, bias: np.ndarray, label: int) -> tuple[float, np.ndarray, np.ndarray, np.ndarray]:
+    """Log loss of one document, and its gradients by the vectors of its ids, by the layer and by the bias.
+
+    ``share``: how much of the document each id is; the document's vector is the average by these shares.
+    """
+    hidden = share @ mine
+    logits = hidden @ layer + bias
+    logits = logits - logits.max()
+    p = np.exp(logits)
+    loss = float(np.log(p.sum()) - logits[label])
+    p /= p.sum()
+    p[label] -= 1
+    return loss, np.outer(share, layer @ p), np.outer(hidden, p), p
+
+
 def train(y: np.ndarray, ids: list[np.ndarray], counts: list[np.ndarray], buckets: int = 1 << 17, dim: int = 12, epochs: int = 12, rate: float = 0.6, low: int = 2, high: int = 4, seed: int = 7) -> QualityModel:
     """Stochastic gradient descent over documents in a seeded order, with a linearly falling rate."""
     rng = np.random.default_rng(seed)
@@ -111,22 +110,18 @@ def train(y: np.ndarray, ids: list[np.ndarray], counts: list[np.ndarray], bucket
                 continue
             share = counts[k] / counts[k].sum()
             mine = vectors[ids[k]]
-            hidden = share @ mine
-            logits = hidden @ layer + bias
-            p = np.exp(logits - logits.max())
-            p /= p.sum()
-            p[int(y[k])] -= 1
-            back = layer @ p
-            layer -= step * np.outer(hidden, p)
-            bias -= step * p
+            _, to_mine, to_layer, to_bias = loss_and_gradients(mine, share, layer, bias, int(y[k]))
+            layer -= step * to_layer
+            bias -= step * to_bias
             # each id's gradient is scaled by its share; the factor keeps the sum of steps per document of order one
-            vectors[ids[k]] = mine - step * np.outer(share * len(share) ** 0.5, back)
+            vectors[ids[k]] = mine - step * len(share) ** 0.5 * to_mine
     return QualityModel((vectors @ (layer[:, 1] - layer[:, 0])).astype(np.float64), float(bias[1] - bias[0]), low, high)
 
 
 def fit(docs: DataFrame, labels: DataFrame, bound: int = 3_000, buckets: int = 1 << 17, low: int = 2, high: int = 4, **options) -> QualityModel:
     """Learn from at most ``bound`` labelled rows of ``docs``."""
 
+    @released
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             found = [document_ids(t, buckets, low, high) for t in batch.column(1).to_pylist()]
@@ -135,12 +130,16 @@ def fit(docs: DataFrame, labels: DataFrame, bound: int = 3_000, buckets: int = 1
     rows = training_rows(docs, labels, "quality", bound).mapInArrow(read, "doc_id long, y int, ids array<int>, counts array<float>").toArrow()
     rows = rows.sort_by("doc_id")
     lists = [[x.values.to_numpy() for x in rows.column(c)] for c in ("ids", "counts")]
-    return train(rows.column("y").to_numpy(), *lists, buckets=buckets, low=low, high=high, **options)
+    model = train(rows.column("y").to_numpy(), *lists, buckets=buckets, low=low, high=high, **options)
+    del rows, lists
+    release()
+    return model
 
 
 def score_documents(docs: DataFrame, model: QualityModel, threshold: float = 0.3) -> DataFrame:
     """doc_id, held_out, score, predicted of every row; one narrow pass."""
 
+    @released
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         score = model.scorer()
         for batch in batches:
