@@ -8,7 +8,7 @@ whose subtries are joined level by level over numpy arrays. A group returns a sp
 pairs; components are then joined across groups.
 
 :func:`one_of_each` uses the join for candidates: documents within the radius in any of several fingerprints over their
-distinct two-word shingles. The hashes are mixed anew for each fingerprint. The sets of five-word shingles of each group
+distinct words, which an edit changes least. The hashes are mixed anew for each fingerprint. The sets of five-word shingles of each group
 of candidates are compared exactly, and only links of similarity 0.8 and over form components. A group is compared in one
 task while its shingles fit there. A larger one is first compared with some of its documents, each a row that is joined to
 all others; what is no copy of these is then compared with the whole group, block by block, so no group is gathered and no
@@ -395,7 +395,7 @@ def large_group_links(sets: DataFrame, leaders: int, room: int) -> DataFrame:
     return out
 
 
-def one_of_each(docs: DataFrame, words: int = 2, seeds: int = 16, radius: int = 2, exact_words: int = 5) -> DataFrame:
+def one_of_each(docs: DataFrame, words: int = 1, seeds: int = 32, radius: int = 2, exact_words: int = 5) -> DataFrame:
     """The rows of ``docs``, one of each group of near duplicates (the smallest id), with the same columns.
 
     Documents are linked if they share 0.8 of their distinct shingles of ``exact_words`` words and are in one group of

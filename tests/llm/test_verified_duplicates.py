@@ -1,3 +1,4 @@
+import inspect
 import random
 
 import numpy as np
@@ -58,3 +59,24 @@ def test_large_groups_block_by_block_equal_small_ones(spark, monkeypatch):
     kept = sorted(r["doc_id"] for r in simhash_trie.one_of_each(docs).collect())
     monkeypatch.setattr(simhash_trie, "SHINGLES", 900)
     assert sorted(r["doc_id"] for r in simhash_trie.one_of_each(docs).collect()) == kept
+
+
+def test_recall_of_candidates_at_the_shipped_setting():
+    """Pairs whose similarity in five-word shingles is 0.80 and over: how many are within the radius in any fingerprint."""
+    options = {k: v.default for k, v in inspect.signature(simhash_trie.one_of_each).parameters.items() if k != "docs"}
+    rng = np.random.default_rng(11)
+    found = pairs = 0
+    while pairs < 600:
+        n = int(rng.integers(60, 1_500))
+        words = (rng.zipf(1.3, n) % 20_000).tolist()
+        other = list(words)
+        for at in rng.integers(0, n, max(1, int(n * rng.uniform(0.002, 0.024)))).tolist():
+            other[at] = f"new{rng.integers(1 << 40)}"
+        (a, x), (b, y) = ([np.unique(h) for h in simhash_trie.word_run_hashes(" ".join(map(str, t)), options["words"], options["exact_words"])] for t in (words, other))
+        shared = len(np.intersect1d(x, y))
+        if 5 * shared < 4 * (len(x) + len(y) - shared) or len(x) == len(y) == shared:
+            continue
+        pairs += 1
+        differ = np.bitwise_count(simhash_trie.fingerprints_of(a, options["seeds"]) ^ simhash_trie.fingerprints_of(b, options["seeds"]))
+        found += bool((differ <= options["radius"]).any())
+    assert found / pairs >= 0.93, found / pairs
