@@ -5,19 +5,21 @@ same one). Sorting all suffixes of a corpus is not needed for that, only those t
 
 1. Every window of ``depth`` bytes is assigned to one q-gram in it, the leftmost of least hash. Equal windows have equal
    q-grams at equal places, so windows need comparing only below a q-gram hash that occurs twice. Runs of windows with
-   the same q-gram are one row (hash, place); a count and a join keep those that repeat.
-2. The repeated ones are cut out with the bytes of their windows and sent to the task of their hash.
+   the same q-gram are one row (hash, place); a count and a join keep those that repeat. Q-grams with over ``often`` places
+   are passed over in that choice: a window hangs on one of them only if it holds no other, so windows that cross the
+   border of a very common passage are spread by what stands beyond it.
+2. The repeated ones are cut out with the bytes of their windows and sent to the task of their hash. A context that was
+   met before in the same task with an earlier place is a repetition as a whole: its marks are known and its bytes stay.
 3. There, the suffixes that start at the q-gram and the reversed prefixes that end before it are sorted by bucket-pointer
-   refinement: the q-gram hash is the initial bucket, and buckets of more than one suffix are refined by sorting on the
-   bucket identifiers of ever later offsets, computed once per offset and reused in all rounds. Common prefix lengths of
+   refinement: the q-gram hash is the initial bucket, and a bucket of more than one suffix is refined by sorting on the
+   buckets in which the suffixes at a later offset stand by then (:func:`refine_buckets`). Common prefix lengths of
    neighbours then tell which windows are equal: the same class at the window's left and right lengths. The first of a
    class stays, the others are marked.
 4. Marks go back to the part of the corpus that they lie in, and one more narrow pass applies them.
 
 Texts are written once, numbered by part and byte offset, and every pass reads that copy; marks are small tables by part
 in the shared folder which the pass of a part reads beside its texts. So texts are never shuffled, and any pass can be
-repeated. A q-gram hash with over ``hot`` places is not gathered: its windows are rows keyed by their content, and the
-first place of each is a minimum, combined before the shuffle.
+repeated.
 
 Null text: no bytes. Texts under ``depth`` bytes keep everything. Order is by doc_id; where ids repeat or are null, nulls
 come first and ties are ordered by text and place. Empty table: empty result. Other columns are not read.
@@ -30,11 +32,13 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import pyarrow.dataset as ds
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from seqvault.llm.workers import released
 from seqvault.operators.barrier import barrier, scratch_path
 from seqvault.operators.prefix import place_by_range, row_numbers
 from seqvault.operators.shared_fs import resolve
@@ -49,6 +53,11 @@ SHIFT = 40
 SLICE = 4 << 20
 #: Contexts cut or sorted at once in a task.
 CHUNK = 16_000
+#: Common q-grams that every task may be told of (8 bytes each): ``often`` grows with the corpus to keep to it.
+MOST_OFTEN = 4_000_000
+#: Contexts that a task remembers to leave out those it met before.
+MEMO = 50_000
+NONE = np.zeros(0, np.uint64)
 LOW = np.uint64((1 << 20) - 1)
 
 
@@ -75,9 +84,16 @@ def sliding_min(x: np.ndarray, width: int) -> np.ndarray:
     return np.minimum(x[: len(x) - rest], x[rest:]) if rest else x
 
 
-def window_runs(data: np.ndarray, first: np.ndarray, last: np.ndarray, depth: int) -> tuple[np.ndarray, ...]:
+def among(h: np.ndarray, often: np.ndarray) -> np.ndarray:
+    """Which hashes are in the sorted array ``often``."""
+    return often[np.minimum(np.searchsorted(often, h), len(often) - 1)] == h if len(often) else np.zeros(len(h), bool)
+
+
+def window_runs(data: np.ndarray, first: np.ndarray, last: np.ndarray, depth: int, often: np.ndarray = NONE) -> tuple[np.ndarray, ...]:
     """Runs of windows with the same q-gram: hash, start of the first window, number of windows, start minus gram place.
 
+    A q-gram in the sorted array ``often`` is taken only by windows without another.
+
     ``data`` holds texts that lie at ``first`` to ``last``; windows never cross texts. The runs of a text depend on that
     text alone, not on its neighbours or the pieces worked on: passes that get other batches find the same runs.
     """
@@ -98,7 +114,8 @@ def window_runs(data: np.ndarray, first: np.ndarray, last: np.ndarray, depth: in
                 before = -1
                 continue
             h = gram_hashes(data[low : high + depth - 1])
-            keys = (h & ~LOW) | np.arange(len(h), dtype=np.uint64)
+            keys = (h >> np.uint64(1)) | (among(h, often).astype(np.uint64) << np.uint64(63))
+            keys = (keys & ~LOW) | np.arange(len(h), dtype=np.uint64)
             place = (sliding_min(keys, depth - GRAM + 1) & LOW).astype(np.int64)
             new = ok.copy()
             new[1:] &= (place[1:] != place[:-1]) | ~ok[:-1]
@@ -163,6 +180,7 @@ def by_part(marks: DataFrame, tag: str) -> str:
 def numbered_texts(docs: DataFrame) -> DataFrame:
     """doc_id, text, place (part and byte offset), doc (order of the document): written once."""
 
+    @released
     def number(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         at = TaskContext.get().partitionId() << SHIFT
         for batch in sliced(batches, 1):
@@ -184,80 +202,150 @@ def numbered_texts(docs: DataFrame) -> DataFrame:
     return barrier(texts.join(ranks, "place").select("doc_id", "text", "place", "doc"), "texts")
 
 
-def repeated_runs(texts: DataFrame, depth: int, hot: int) -> DataFrame:
-    """place and hot flag of the window runs whose q-gram hash occurs more than once."""
+def run_rows(texts: DataFrame, depth: int, often: np.ndarray) -> DataFrame:
+    """h, place, known (the q-gram is in ``often``, so it repeats) of every run of windows."""
 
+    @released
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in sliced(batches, 0):
             data, first, last = _texts(batch.column(0))
-            h, start, _, _ = window_runs(data, first, last, depth)
+            h, start, _, _ = window_runs(data, first, last, depth, often)
             base = batch.column(1).to_numpy() - first
             owner = np.searchsorted(first, start, "right") - 1
-            yield pa.record_batch([pa.array(h.view(np.int64)), pa.array(base[owner] + start)], names=["h", "place"])
+            yield pa.record_batch([pa.array(h.view(np.int64)), pa.array(base[owner] + start), pa.array(among(h, often))], names=["h", "place", "known"])
+
+    return texts.select("text", "place").mapInArrow(find, "h long, place long, known boolean")
+
+
+def common_grams(texts: DataFrame, depth: int, often: int) -> np.ndarray:
+    """Hashes of q-grams with over ``often`` places, sorted; at most MOST_OFTEN of them.
+
+    A task counts its own runs and tells only of hashes that it meets twice, so little is shuffled. A common q-gram that is
+    seldom twice in a task may be missed: the list decides on which q-grams windows hang, not what is found.
+    """
+
+    @released
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [window_runs(*_texts(batch.column(0)), depth)[0] for batch in sliced(batches, 0)]
+        h, n = np.unique(np.concatenate([NONE, *held]), return_counts=True)
+        yield pa.record_batch([pa.array(h[n > 1].view(np.int64)), pa.array(n[n > 1])], names=["h", "n"])
+
+    counted = texts.select("text").mapInArrow(count, "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
+    many = barrier(counted.filter(F.col("n") > often), "common")
+    least = (many.agg(F.sum("n")).first()[0] or 0) // MOST_OFTEN
+    return np.sort(many.filter(F.col("n") > least).select("h").toArrow().column(0).to_numpy().view(np.uint64))
+
+
+def repeated_grams(runs: DataFrame) -> DataFrame:
+    """h of the q-gram hashes, not known to repeat, that occur more than once; counted before the shuffle."""
+    return runs.filter("not known").groupBy("h").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("h")
+
 
-    runs = texts.select("text", "place").mapInArrow(find, "h long, place long")
-    counts = runs.groupBy("h").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("h", (F.col("n") > hot).alias("hot"))
-    return runs.join(counts, "h").select("place", "hot")
+def repeated_runs(runs: DataFrame, grams: DataFrame) -> DataFrame:
+    """place of the window runs whose q-gram occurs more than once.
+
+    Runs that are known to repeat need no match and are spread over all tasks; of the others no q-gram has very many.
+    """
+    spread = F.when(F.col("known"), F.col("place")).otherwise(F.lit(0).cast("long")).alias("spread")
+    counted = grams.select("h", F.lit(0).cast("long").alias("spread"), F.lit(True).alias("twice"))
+    return runs.select("h", "place", "known", spread).join(counted, ["h", "spread"], "left").filter("known or twice").select("place")
 
 
-def contexts(texts: DataFrame, marks: str, depth: int, hot: bool) -> DataFrame:
-    """The runs marked as hot or not, with their bytes: h, doc, at (window start in the document), place, rel, content."""
+def contexts(texts: DataFrame, repeats: str, depth: int, often: np.ndarray) -> DataFrame:
+    """The repeated runs with their bytes: h, doc, at (window start in the document), place, rel, content.
+
+    A run whose bytes the task met before, earlier in the corpus, has no content but its number of windows as ``rel``, and
+    its place as ``h``: all its windows are marked.
+    """
 
+    @released
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        wanted = PartMarks(marks, ["place", "hot"])
+        wanted = PartMarks(repeats, ["place"])
+        met: dict[tuple, tuple] = {}
         for batch in sliced(batches, 0):
             data, first, last = _texts(batch.column(0))
-            h, start, count, rel = window_runs(data, first, last, depth)
-            places = batch.column(1).to_numpy()
+            h, start, count, rel = window_runs(data, first, last, depth, often)
+            places, docs = batch.column(1).to_numpy(), batch.column(2).to_numpy()
             owner = np.searchsorted(first, start, "right") - 1
             at = start - first[owner]
             place = places[owner] + at
             part = place >> SHIFT
             for p in np.unique(part):
                 mine = np.flatnonzero(part == p)
-                marked, flag = wanted.of(int(p))
+                (marked,) = wanted.of(int(p))
                 if not len(marked):
                     continue
                 local = place[mine] & ((1 << SHIFT) - 1)
                 spot = np.minimum(np.searchsorted(marked, local), len(marked) - 1)
-                chosen = mine[(marked[spot] == local) & (flag[spot].astype(bool) == hot)]
-                docs = batch.column(2).to_numpy()
+                chosen = mine[marked[spot] == local]
                 for low in range(0, len(chosen), CHUNK):
                     k = chosen[low : low + CHUNK]
-                    size = count[k] + depth - 1
-                    ends = np.cumsum(size)
-                    index = np.arange(ends[-1]) + np.repeat(start[k] - (ends - size), size)
-                    offsets = np.append(0, ends).astype(np.int32)
-                    content = pa.Array.from_buffers(pa.binary(), len(k), [None, pa.py_buffer(offsets), pa.py_buffer(data[index])])
-                    yield pa.record_batch(
-                        [pa.array(h[k].view(np.int64)), pa.array(docs[owner[k]]), pa.array(at[k]), pa.array(place[k]), pa.array(rel[k].astype(np.int32)), content],
-                        names=["h", "doc", "at", "place", "rel", "content"],
-                    )
+                    new = np.ones(len(k), bool)
+                    lines = zip(h[k].tolist(), rel[k].tolist(), start[k].tolist(), (start[k] + count[k] + depth - 1).tolist(), docs[owner[k]].tolist(), at[k].tolist(), strict=True)
+                    for i, (gram, lead, x, y, doc, spot_) in enumerate(lines):
+                        key = (gram, lead, data[x:y].tobytes())
+                        before = met.get(key)
+                        if before is not None and before < (doc, spot_):
+                            new[i] = False
+                        else:
+                            if len(met) >= MEMO:
+                                met.clear()
+                            met[key] = (doc, spot_)
+                    yield _context_rows(k[new], data, h, docs[owner], at, place, rel, start, count, depth)
+                    known = k[~new]
+                    if len(known):
+                        empty = pa.nulls(len(known), pa.binary())
+                        yield pa.record_batch([pa.array(place[known]), pa.array(docs[owner[known]]), pa.array(at[known]), pa.array(place[known]), pa.array(count[known].astype(np.int32)), empty], names=CONTEXT)
 
     return texts.select("text", "place", "doc").mapInArrow(cut, "h long, doc long, at long, place long, rel int, content binary")
 
 
+CONTEXT = ["h", "doc", "at", "place", "rel", "content"]
+
+
+def _context_rows(k: np.ndarray, data: np.ndarray, h: np.ndarray, doc: np.ndarray, at: np.ndarray, place: np.ndarray, rel: np.ndarray, start: np.ndarray, count: np.ndarray, depth: int) -> pa.RecordBatch:
+    """Runs ``k`` with the bytes of all their windows."""
+    size = count[k] + depth - 1
+    ends = np.cumsum(size)
+    index = np.arange(ends[-1] if len(k) else 0) + np.repeat(start[k] - (ends - size), size)
+    offsets = np.append(0, ends).astype(np.int32)
+    content = pa.Array.from_buffers(pa.binary(), len(k), [None, pa.py_buffer(offsets), pa.py_buffer(data[index])])
+    return pa.record_batch([pa.array(h[k].view(np.int64)), pa.array(doc[k]), pa.array(at[k]), pa.array(place[k]), pa.array(rel[k].astype(np.int32)), content], names=CONTEXT)
+
+
 def refine_buckets(bucket: np.ndarray, pieces: np.ndarray) -> np.ndarray:
-    """Order of suffixes given their initial bucket and the identifiers of their pieces at later offsets.
+    """Order of rows by their bucket and then by their pieces, by bucket-pointer refinement.
 
-    A round sorts the members of buckets that hold more than one suffix by (bucket, identifier at the next offset) and
-    splits the buckets; resolved suffixes are left alone. A bucket's number is the position of its first member.
+    Every piece of a row starts a suffix of the row. The pointer of a suffix names its bucket by the place of the bucket's
+    first member among all suffixes; at first, suffixes with equal first pieces share a bucket. A round sorts the members
+    of buckets that hold more than one on the pointers of the suffixes ``step`` pieces later, and writes the pointers of
+    the smaller buckets at once. The next round reads those, at twice the distance, so pointers that stand for ever more
+    pieces are reused instead of pieces being looked at again. Only suffixes that a later round reads are refined.
     """
-    order = np.argsort(bucket, kind="stable")
-    value = bucket[order]
-    head = np.append(True, value[1:] != value[:-1])
-    for k in range(pieces.shape[1]):
-        group = np.cumsum(head) - 1
-        open_ = np.flatnonzero(np.bincount(group)[group] > 1)
+    width = pieces.shape[1]
+    _, kind, often = np.unique(pieces, return_inverse=True, return_counts=True)
+    pointer = (np.cumsum(often) - often)[kind].reshape(pieces.shape)
+    step = 1
+    while step < width:
+        here = np.arange(0, width, 2 * step)
+        own = pointer[:, here]
+        later = np.full(own.shape, -1)
+        inside = here + step < width
+        later[:, inside] = pointer[:, here[inside] + step]
+        own, later = own.reshape(-1), later.reshape(-1)
+        open_ = np.flatnonzero(np.bincount(own)[own] > 1) if len(own) else own
         if not len(open_):
-            break
-        members, mine = order[open_], group[open_]
-        key = pieces[members, k]
-        turn = np.lexsort((key, mine))
-        order[open_] = members[turn]
-        key, mine = key[turn], mine[turn]
-        head[open_] = np.append(True, (mine[1:] != mine[:-1]) | (key[1:] != key[:-1]))
-    return order
+            step *= 2
+            continue
+        turn = open_[np.lexsort((later[open_], own[open_]))]
+        a, b = own[turn], later[turn]
+        first = np.append(True, a[1:] != a[:-1])
+        smaller = np.append(True, first[1:] | (b[1:] != b[:-1]))
+        place = np.arange(len(turn))
+        own[turn] = a + np.maximum.accumulate(np.where(smaller, place, 0)) - np.maximum.accumulate(np.where(first, place, 0))
+        pointer[:, here] = own.reshape(len(pieces), len(here))
+        step *= 2
+    return np.lexsort((pointer[:, 0], bucket))
 
 
 def suffix_classes(bucket: np.ndarray, text: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -328,6 +416,7 @@ def runs_of(context: np.ndarray, window: np.ndarray, place: np.ndarray) -> tuple
 def marked_windows(cut: DataFrame, depth: int) -> DataFrame:
     """place, n: runs of windows that start earlier too; contexts of a hash are sorted in one task."""
 
+    @released
     def sort(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def solve(table: pa.Table) -> pa.RecordBatch:
             content = table.column("content").combine_chunks()
@@ -342,6 +431,11 @@ def marked_windows(cut: DataFrame, depth: int) -> DataFrame:
         held: list[pa.RecordBatch] = []
         rows = 0
         for batch in batches:
+            known = batch.column("content").is_null()
+            done = batch.filter(known)
+            if done.num_rows:
+                yield pa.record_batch([done.column("place"), done.column("rel")], names=["place", "n"])
+            batch = batch.filter(pc.invert(known))
             if batch.num_rows:
                 held.append(batch)
                 rows += batch.num_rows
@@ -360,17 +454,6 @@ def marked_windows(cut: DataFrame, depth: int) -> DataFrame:
     return cut.repartition("h").sortWithinPartitions("h", "doc", "at").mapInArrow(sort, "place long, n int")
 
 
-def marked_hot_windows(cut: DataFrame, depth: int) -> DataFrame:
-    """place, n as :func:`marked_windows`, for hashes with too many contexts: every window is a row keyed by its content."""
-    number = F.explode(F.sequence(F.lit(0), F.length("content") - depth)).alias("w")
-    wide = cut.select("h", "doc", "at", "place", "rel", "content", number)
-    body = F.expr(f"substring(content, w + 1, {depth})")
-    keyed = wide.select("h", (F.col("rel") + F.col("w")).alias("r"), F.xxhash64(body).alias("x"), F.xxhash64(F.lit(1), body).alias("y"), "doc", (F.col("at") + F.col("w")).alias("s"), (F.col("place") + F.col("w")).alias("place"))
-    firsts = keyed.groupBy("h", "r", "x", "y").agg(F.min(F.struct("doc", "s")).alias("first"))
-    later = keyed.join(firsts, ["h", "r", "x", "y"]).filter((F.col("doc") != F.col("first.doc")) | (F.col("s") != F.col("first.s")))
-    return later.select("place", F.lit(1).alias("n"))
-
-
 def covered(starts: np.ndarray, counts: np.ndarray, size: int, depth: int) -> np.ndarray:
     """Mask of the bytes that the windows starting at ``starts`` (runs of ``counts``) cover."""
     step = np.zeros(size + 1, np.int32)
@@ -382,6 +465,7 @@ def covered(starts: np.ndarray, counts: np.ndarray, size: int, depth: int) -> np
 def apply_marks(texts: DataFrame, marks: str, depth: int, keep_text: bool) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and kept, the remaining bytes) of every document."""
 
+    @released
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         wanted = PartMarks(marks, ["place", "n"])
         for batch in sliced(batches, 1):
@@ -409,14 +493,16 @@ def apply_marks(texts: DataFrame, marks: str, depth: int, keep_text: bool) -> Da
     return texts.select("doc_id", "text", "place").mapInArrow(run, schema)
 
 
-def remove_repeats(docs: DataFrame, depth: int = 100, hot: int = 20_000, keep_text: bool = False) -> DataFrame:
-    """What is removed from every document, one row each; with ``keep_text`` also the bytes that stay."""
+def remove_repeats(docs: DataFrame, depth: int = 100, often: int = 20_000, keep_text: bool = False) -> DataFrame:
+    """What is removed from every document, one row each; with ``keep_text`` also the bytes that stay.
+
+    ``often`` decides only on which q-gram a window hangs, never which windows are compared.
+    """
     if depth < GRAM + 1:
         raise ValueError(f"depth must be over {GRAM}")
     texts = numbered_texts(docs)
-    repeats = by_part(repeated_runs(texts, depth, hot), "repeats")
-    found = marked_windows(contexts(texts, repeats, depth, False), depth)
-    if not docs.sparkSession.read.schema("place long, hot boolean, part long").parquet(repeats).filter("hot").isEmpty():
-        found = found.unionByName(marked_hot_windows(contexts(texts, repeats, depth, True), depth))
-    marks = by_part(found, "marks")
+    common = common_grams(texts, depth, often)
+    runs = run_rows(texts, depth, common)
+    repeats = by_part(repeated_runs(runs, repeated_grams(runs)), "repeats")
+    marks = by_part(marked_windows(contexts(texts, repeats, depth, common), depth), "marks")
     return apply_marks(texts, marks, depth, keep_text)

@@ -81,9 +81,35 @@ def test_refined_order_is_the_sorted_order(rows):
     order, common = suffix_dedup.suffix_classes(bucket, text, sizes)
     keys = [(bucket[i], text[i].tobytes()) for i in order]
     assert keys == sorted(keys)
+    whole = np.ascontiguousarray(text).view(">u8").astype(np.uint64)
+    slow = sorted(range(len(rows)), key=lambda i: (bucket[i], whole[i].tolist()))
+    assert [keys[i] for i in range(len(rows))] == [(bucket[i], text[i].tobytes()) for i in slow]
     assert common[0] == -1 and all(c == -1 or text[a][:c].tobytes() == text[b][:c].tobytes() for a, b, c in zip(order, order[1:], common[1:], strict=False))
 
 
+def test_common_grams_are_passed_over():
+    rng = np.random.default_rng(6)
+    line = rng.integers(97, 123, 120, dtype=np.uint8)
+    data = np.concatenate([rng.integers(97, 123, 200, dtype=np.uint8), line, rng.integers(97, 123, 200, dtype=np.uint8)])
+    often = np.sort(suffix_dedup.gram_hashes(line))
+    cuts = np.array([0, len(data)])
+    h, start, count, rel = suffix_dedup.window_runs(data, cuts[:-1], cuts[1:], 100, often)
+    for x, s, n in zip(suffix_dedup.among(h, often).tolist(), start.tolist(), count.tolist(), strict=True):
+        assert all(x == (w >= 200 and w + 100 <= 320) for w in range(s, s + n))
+    assert count.sum() == len(data) - 99 and ((start - rel >= start) & (start - rel + suffix_dedup.GRAM <= start + 100)).all()
+
+
+def test_one_line_in_every_document(spark, monkeypatch):
+    monkeypatch.setattr(suffix_dedup, "MEMO", 3)
+    rnd = random.Random(4)
+    line = "this line stands in all documents and is longer than the depth that is looked at, so it repeats everywhere. "
+    texts = ["".join(rnd.choices("abcdefgh ", k=rnd.randint(0, 300))) + line * rnd.randint(1, 3) + "".join(rnd.choices("abcdefgh ", k=rnd.randint(0, 300))) for _ in range(60)]
+    docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in enumerate(texts)], DOCS)
+    for often in (3, 20_000):
+        got = {r["doc_id"]: tuple(r)[1:] for r in suffix_dedup.remove_repeats(docs, 100, often).collect()}
+        assert got == dict(enumerate(brute(texts, 100)))
+
+
 def test_every_window_has_one_run():
     rng = np.random.default_rng(5)
     data = rng.integers(0, 3, 3_000, dtype=np.uint8)
