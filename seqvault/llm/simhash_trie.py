@@ -11,8 +11,8 @@ pairs; components are then joined across groups.
 distinct words, which an edit changes least. The hashes are mixed anew for each fingerprint. The sets of five-word shingles of each group
 of candidates are compared exactly, and only links of similarity 0.8 and over form components. A group is compared in one
 task while its shingles fit there. A larger one is first compared with some of its documents, each a row that is joined to
-all others; what is no copy of these is then compared with the whole group, block by block, so no group is gathered and no
-link within a group is left out.
+all others; what is no copy of the first of these is then compared with the whole group, block by block, so no group is
+gathered and no link within a group is left out, also none between copies of two of these.
 
 Null or empty text: fingerprint zero, linked like any other. Rows with equal ids are fingerprinted each and share the
 component of any of them. Null ids take part and are never the smallest. Empty table: empty result. Other columns are
@@ -357,11 +357,12 @@ def small_group_links(members: DataFrame, words: int) -> DataFrame:
 def large_group_links(sets: DataFrame, leaders: int, room: int) -> DataFrame:
     """a, b: links that span those of similarity 0.8 and over within each root of ``sets`` (root, node, row, hashes).
 
-    ``leaders`` times, the first document left of each root is joined to all that are left; its copies leave. Then blocks of
-    what is left meet blocks of the whole root, ``room`` hashes each.
+    ``leaders`` times, the first document left of each root is joined to all that are left; its copies leave. The copies of
+    one leader, those of which there are most in the root, need no more comparing with each other. All other documents are
+    open: blocks of them meet blocks of the whole root, ``room`` hashes each. So every pair is of one leader or in a block.
     """
     part = F.pmod(F.xxhash64("node"), F.lit(PARTS)).alias("part")
-    left, links = sets.select("root", "node", "row", "hashes", part), []
+    left, links, followers = sets.select("root", "node", "row", "hashes", part), [], []
     for _ in range(leaders):
         first = left.groupBy("root").agg(F.min("row").alias("row"))
         lead = left.join(F.broadcast(first), ["root", "row"]).select("root", F.col("node").alias("lead"), F.col("hashes").alias("wanted"))
@@ -370,10 +371,19 @@ def large_group_links(sets: DataFrame, leaders: int, room: int) -> DataFrame:
         near = 9 * shared >= 4 * (F.size("hashes") + F.size("wanted"))
         scored = barrier(left.join(everywhere, ["root", "part"]).select("root", "node", "row", "hashes", "part", "lead", near.alias("near")), "scored")
         links.append(scored.filter("near and node <> lead").select(F.col("node").alias("a"), F.col("lead").alias("b")))
+        followers.append(scored.filter("near").select("root", "node", "hashes", "lead"))
         left = scored.filter("not near").select("root", "node", "row", "hashes", "part")
         if left.isEmpty():
             break
 
+    led = followers[0]
+    for more in followers[1:]:
+        led = led.unionByName(more)
+    sizes = led.groupBy("root", "lead").agg(F.sum(F.size("hashes") + 1).alias("weight"))
+    most = F.broadcast(sizes.groupBy("root").agg(F.max_by("lead", F.struct("weight", "lead")).alias("settled")))  # one row per large root
+    again = led.join(most, "root").filter("lead <> settled")
+    left = left.select("root", "node", "hashes").unionByName(again.select("root", "node", "hashes"))
+
     blocks = lambda df, name: df.groupBy("root").agg(F.ceil(F.sum(F.size("hashes") + 1) / room).cast("int").alias(name))
     counts = F.broadcast(blocks(left, "n_left").join(blocks(sets, "n_all"), "root"))  # one row per large root
     deal = lambda turn, name: F.pmod(F.xxhash64("node", F.lit(turn)), F.col(name)).cast("int")

@@ -61,6 +61,24 @@ def test_large_groups_block_by_block_equal_small_ones(spark, monkeypatch):
     assert sorted(r["doc_id"] for r in simhash_trie.one_of_each(docs).collect()) == kept
 
 
+def test_copies_of_two_leaders_are_linked_across(spark, monkeypatch):
+    """A and B are first documents that are not alike; a copy of A and a copy of B are alike, and only these join them."""
+    shared = list(range(80))
+    a, b = shared[:80] + list(range(100, 120)), shared[:80] + list(range(200, 220))
+    near_a, near_b = shared[:80] + list(range(100, 111)), shared[:80] + list(range(200, 208))
+    sets = [a, b, near_a, near_b, list(range(300, 330))]
+    plain = list(map(set, sets))
+    alike = lambda x, y: 5 * len(plain[x] & plain[y]) >= 4 * len(plain[x] | plain[y])
+    edges = [(x, y) for x in range(5) for y in range(x) if alike(x, y)]
+    assert not alike(0, 1) and not alike(0, 3) and not alike(1, 2) and alike(2, 3) and alike(0, 2) and alike(1, 3)
+    monkeypatch.setattr(simhash_trie, "PARTS", 3)
+    made = spark.createDataFrame([(7, i, i, s) for i, s in enumerate(sets)], "root long, node long, row long, hashes array<long>")
+    for leaders in (1, 2, 4):
+        for room in (100, 10_000):
+            got = [tuple(r) for r in simhash_trie.large_group_links(made, leaders, room).collect()]
+            assert components(len(sets), got) == components(len(sets), edges), (leaders, room)
+
+
 def test_recall_of_candidates_at_the_shipped_setting():
     """Pairs whose similarity in five-word shingles is 0.80 and over: how many are within the radius in any fingerprint."""
     options = {k: v.default for k, v in inspect.signature(simhash_trie.one_of_each).parameters.items() if k != "docs"}
