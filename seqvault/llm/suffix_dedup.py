@@ -55,6 +55,9 @@ SLICE = 4 << 20
 CHUNK = 16_000
 #: Common q-grams that every task may be told of (8 bytes each): ``often`` grows with the corpus to keep to it.
 MOST_OFTEN = 4_000_000
+#: Bits of a q-gram hash that are shuffled. Q-grams that share them are compared as one, which costs work but changes nothing:
+#: at 30 GB about one run of windows in 800 that does not repeat is compared for it.
+HASH_BITS = 40
 #: Contexts that a task remembers to leave out those it met before.
 MEMO = 50_000
 NONE = np.zeros(0, np.uint64)
@@ -89,6 +92,12 @@ def among(h: np.ndarray, often: np.ndarray) -> np.ndarray:
     return often[np.minimum(np.searchsorted(often, h), len(often) - 1)] == h if len(often) else np.zeros(len(h), bool)
 
 
+def sent(h: np.ndarray, bits: int) -> np.ndarray:
+    """The low ``bits`` of hashes, as the high bits of BIGINTs: next to the varying bytes of the column that follows, where
+    the codec of the shuffle takes least for them."""
+    return (h << np.uint64(64 - bits)).view(np.int64)
+
+
 def window_runs(data: np.ndarray, first: np.ndarray, last: np.ndarray, depth: int, often: np.ndarray = NONE) -> tuple[np.ndarray, ...]:
     """Runs of windows with the same q-gram: hash, start of the first window, number of windows, start minus gram place.
 
@@ -202,7 +211,7 @@ def numbered_texts(docs: DataFrame) -> DataFrame:
     return barrier(texts.join(ranks, "place").select("doc_id", "text", "place", "doc"), "texts")
 
 
-def run_rows(texts: DataFrame, depth: int, often: np.ndarray) -> DataFrame:
+def run_rows(texts: DataFrame, depth: int, often: np.ndarray, bits: int = HASH_BITS) -> DataFrame:
     """h, place, known (the q-gram is in ``often``, so it repeats) of every run of windows."""
 
     @released
@@ -212,7 +221,7 @@ def run_rows(texts: DataFrame, depth: int, often: np.ndarray) -> DataFrame:
             h, start, _, _ = window_runs(data, first, last, depth, often)
             base = batch.column(1).to_numpy() - first
             owner = np.searchsorted(first, start, "right") - 1
-            yield pa.record_batch([pa.array(h.view(np.int64)), pa.array(base[owner] + start), pa.array(among(h, often))], names=["h", "place", "known"])
+            yield pa.record_batch([pa.array(sent(h, bits)), pa.array(base[owner] + start), pa.array(among(h, often))], names=["h", "place", "known"])
 
     return texts.select("text", "place").mapInArrow(find, "h long, place long, known boolean")
 
@@ -251,11 +260,11 @@ def repeated_runs(runs: DataFrame, grams: DataFrame) -> DataFrame:
     return runs.select("h", "place", "known", spread).join(counted, ["h", "spread"], "left").filter("known or twice").select("place")
 
 
-def contexts(texts: DataFrame, repeats: str, depth: int, often: np.ndarray) -> DataFrame:
-    """The repeated runs with their bytes: h, doc, at (window start in the document), place, rel, content.
+def contexts(texts: DataFrame, repeats: str, depth: int, often: np.ndarray, bits: int = HASH_BITS) -> DataFrame:
+    """The repeated runs with their bytes: h, doc, place (of the first window), rel, content.
 
-    A run whose bytes the task met before, earlier in the corpus, has no content but its number of windows as ``rel``, and
-    its place as ``h``: all its windows are marked.
+    A run whose bytes the task met before, earlier in the corpus, has no content but its number of windows as ``rel``, its
+    place as ``h`` and zeros elsewhere: all its windows are marked.
     """
 
     @released
@@ -291,26 +300,26 @@ def contexts(texts: DataFrame, repeats: str, depth: int, often: np.ndarray) -> D
                             if len(met) >= MEMO:
                                 met.clear()
                             met[key] = (doc, spot_)
-                    yield _context_rows(k[new], data, h, docs[owner], at, place, rel, start, count, depth)
+                    yield _context_rows(k[new], data, sent(h, bits), docs[owner], place, rel, start, count, depth)
                     known = k[~new]
                     if len(known):
-                        empty = pa.nulls(len(known), pa.binary())
-                        yield pa.record_batch([pa.array(place[known]), pa.array(docs[owner[known]]), pa.array(at[known]), pa.array(place[known]), pa.array(count[known].astype(np.int32)), empty], names=CONTEXT)
+                        empty, zeros = pa.nulls(len(known), pa.binary()), pa.array(np.zeros(len(known), np.int64))
+                        yield pa.record_batch([pa.array(place[known]), zeros, zeros, pa.array(count[known].astype(np.int32)), empty], names=CONTEXT)
 
-    return texts.select("text", "place", "doc").mapInArrow(cut, "h long, doc long, at long, place long, rel int, content binary")
+    return texts.select("text", "place", "doc").mapInArrow(cut, "h long, doc long, place long, rel int, content binary")
 
 
-CONTEXT = ["h", "doc", "at", "place", "rel", "content"]
+CONTEXT = ["h", "doc", "place", "rel", "content"]
 
 
-def _context_rows(k: np.ndarray, data: np.ndarray, h: np.ndarray, doc: np.ndarray, at: np.ndarray, place: np.ndarray, rel: np.ndarray, start: np.ndarray, count: np.ndarray, depth: int) -> pa.RecordBatch:
+def _context_rows(k: np.ndarray, data: np.ndarray, h: np.ndarray, doc: np.ndarray, place: np.ndarray, rel: np.ndarray, start: np.ndarray, count: np.ndarray, depth: int) -> pa.RecordBatch:
     """Runs ``k`` with the bytes of all their windows."""
     size = count[k] + depth - 1
     ends = np.cumsum(size)
     index = np.arange(ends[-1] if len(k) else 0) + np.repeat(start[k] - (ends - size), size)
     offsets = np.append(0, ends).astype(np.int32)
     content = pa.Array.from_buffers(pa.binary(), len(k), [None, pa.py_buffer(offsets), pa.py_buffer(data[index])])
-    return pa.record_batch([pa.array(h[k].view(np.int64)), pa.array(doc[k]), pa.array(at[k]), pa.array(place[k]), pa.array(rel[k].astype(np.int32)), content], names=CONTEXT)
+    return pa.record_batch([pa.array(h[k]), pa.array(doc[k]), pa.array(place[k]), pa.array(rel[k].astype(np.int32)), content], names=CONTEXT)
 
 
 def refine_buckets(bucket: np.ndarray, pieces: np.ndarray) -> np.ndarray:
@@ -414,7 +423,10 @@ def runs_of(context: np.ndarray, window: np.ndarray, place: np.ndarray) -> tuple
 
 
 def marked_windows(cut: DataFrame, depth: int) -> DataFrame:
-    """place, n: runs of windows that start earlier too; contexts of a hash are sorted in one task."""
+    """place, n: runs of windows that start earlier too; contexts of a hash are sorted in one task.
+
+    A document lies in one part, so places order its windows.
+    """
 
     @released
     def sort(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -434,7 +446,7 @@ def marked_windows(cut: DataFrame, depth: int) -> DataFrame:
             known = batch.column("content").is_null()
             done = batch.filter(known)
             if done.num_rows:
-                yield pa.record_batch([done.column("place"), done.column("rel")], names=["place", "n"])
+                yield pa.record_batch([done.column("h"), done.column("rel")], names=["place", "n"])
             batch = batch.filter(pc.invert(known))
             if batch.num_rows:
                 held.append(batch)
@@ -451,7 +463,7 @@ def marked_windows(cut: DataFrame, depth: int) -> DataFrame:
         if rows:
             yield solve(pa.Table.from_batches(held))
 
-    return cut.repartition("h").sortWithinPartitions("h", "doc", "at").mapInArrow(sort, "place long, n int")
+    return cut.repartition("h").sortWithinPartitions("h", "doc", "place").mapInArrow(sort, "place long, n int")
 
 
 def covered(starts: np.ndarray, counts: np.ndarray, size: int, depth: int) -> np.ndarray:
@@ -493,16 +505,17 @@ def apply_marks(texts: DataFrame, marks: str, depth: int, keep_text: bool) -> Da
     return texts.select("doc_id", "text", "place").mapInArrow(run, schema)
 
 
-def remove_repeats(docs: DataFrame, depth: int = 100, often: int = 20_000, keep_text: bool = False) -> DataFrame:
+def remove_repeats(docs: DataFrame, depth: int = 100, often: int = 20_000, keep_text: bool = False, bits: int = HASH_BITS) -> DataFrame:
     """What is removed from every document, one row each; with ``keep_text`` also the bytes that stay.
 
-    ``often`` decides only on which q-gram a window hangs, never which windows are compared.
+    ``often`` decides only on which q-gram a window hangs, never which equal windows are found; nor do ``bits``, of the hashes
+    that are shuffled.
     """
     if depth < GRAM + 1:
         raise ValueError(f"depth must be over {GRAM}")
     texts = numbered_texts(docs)
     common = common_grams(texts, depth, often)
-    runs = run_rows(texts, depth, common)
+    runs = run_rows(texts, depth, common, bits)
     repeats = by_part(repeated_runs(runs, repeated_grams(runs)), "repeats")
-    marks = by_part(marked_windows(contexts(texts, repeats, depth, common), depth), "marks")
+    marks = by_part(marked_windows(contexts(texts, repeats, depth, common, bits), depth), "marks")
     return apply_marks(texts, marks, depth, keep_text)

@@ -51,6 +51,17 @@ def test_equals_brute_force(spark, depth, hot, chunk, monkeypatch):
     assert got == dict(enumerate(brute(texts, depth)))
 
 
+@pytest.mark.parametrize("bits", [3, 40])
+def test_hashes_cut_short_change_nothing(spark, bits):
+    texts = corpus(5)
+    docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in enumerate(texts)], DOCS).repartition(3)
+    got = {r["doc_id"]: tuple(r)[1:] for r in suffix_dedup.remove_repeats(docs, 100, 2, bits=bits).collect()}
+    assert got == dict(enumerate(brute(texts, 100)))
+    runs = suffix_dedup.run_rows(suffix_dedup.numbered_texts(docs), 100, np.zeros(0, np.uint64), bits)
+    assert 1 < runs.select("h").distinct().count() <= 1 << bits
+    assert not runs.filter(f"h & {(1 << (64 - bits)) - 1} <> 0").count()
+
+
 def test_ties_nulls_and_no_rows(spark):
     text = "the same words again and again, " * 2 + "x" * 60
     rows = [(5, text, "", "", 0), (None, text, None, None, None), (5, text, "", "", 0), (7, text, "", "", 0)]
