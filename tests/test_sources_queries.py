@@ -1,3 +1,4 @@
+import itertools
 import numbers
 
 import duckdb
@@ -163,3 +164,22 @@ def test_blocks_and_values_in_sql(spark):
     commit = index.shards().first()["commit"]
     got = spark.sql(f"SELECT * FROM seal_blocks('{commit}', 0, 0, 99)").orderBy("block_no").collect()
     assert sum(r["n"] for r in got) == 8 and all(len(r["syms"]) == r["n"] for r in got)
+
+
+def test_runs_of_a_collection_of_any_length(spark, tmp_path):
+    """Over 4,194,304 symbols, with empty items first, in a row and last."""
+    part = "a" * 12 + "b" * 40 + "cd" * 30 + "  " + "e" * 11 + "\N{LATIN SMALL LETTER E WITH ACUTE}" * 15
+    texts = ["", *[""] * 12, part * 12_000, *[""] * 11, part * 12_000, None, *[""] * 10, part * 20_000, *[""] * 14]
+    path = str(tmp_path / "documents.parquet")
+    pd.DataFrame({"doc_id": range(len(texts)), "text": texts, "lang": "en", "source": "s"}).to_parquet(path)
+    got = sorted(tuple(r) for r in queries.queries()["long_runs"](spark, str(tmp_path)).collect())
+    letters = {"N": 5} | {c: 2 + "ACGNT".index(views.cycle("ACGT")[i]) for i, c in enumerate(views.LETTERS)}
+    whole = [s for t in texts if t is not None for s in [*[letters.get(c, 5) for c in t if c != " "], 1]] + [0]
+    want, at = [], 0
+    for sym, same in itertools.groupby(whole):
+        n = len(list(same))
+        if n >= 12:
+            want.append((0, at, sym, n, whole[at + n]))
+        at += n
+    assert len(whole) > 1 << 22 and {r[2] for r in want} >= {1, 5}
+    assert got == sorted(want)
