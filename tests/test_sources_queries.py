@@ -183,3 +183,15 @@ def test_runs_of_a_collection_of_any_length(spark, tmp_path):
         at += n
     assert len(whole) > 1 << 22 and {r[2] for r in want} >= {1, 5}
     assert got == sorted(want)
+
+
+def test_displaced_block_patterns_of_document_heads(spark, con, sf):
+    got, want = queries.queries()["w_worked_example"](spark, sf).toPandas(), con.execute(queries.oracle_sql()["w_worked_example"]).df()
+    assert len(got) >= 4 * 100 and got["pattern_id"].nunique() * 4 == len(got)
+    assert rows_of(got) == rows_of(want)
+
+
+def test_worked_example(spark):
+    pattern = spark.createDataFrame([(1, "ACGAACTGA")], "pattern_id long, pattern string")
+    got = {r["d"]: " ".join(r["parts"]) for r in queries.planner.super_patterns(pattern, 4).collect()}
+    assert got == {0: "ACGA ACTG A???", 1: "?ACG AACT GA??", 2: "??AC GAAC TGA?", 3: "???A CGAA CTGA"}
