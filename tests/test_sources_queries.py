@@ -1,7 +1,9 @@
 import itertools
 import numbers
+import tracemalloc
 
 import duckdb
+import numpy as np
 import pandas as pd
 import pytest
 
@@ -195,3 +197,19 @@ def test_worked_example(spark):
     pattern = spark.createDataFrame([(1, "ACGAACTGA")], "pattern_id long, pattern string")
     got = {r["d"]: " ".join(r["parts"]) for r in queries.planner.super_patterns(pattern, 4).collect()}
     assert got == {0: "ACGA ACTG A???", 1: "?ACG AACT GA??", 2: "??AC GAAC TGA?", 3: "???A CGAA CTGA"}
+
+
+def test_copies_of_a_reference_are_made_in_stretches():
+    base = np.random.default_rng(3).choice(np.frombuffer(b"ACGTN", np.uint8), 120_000)
+    for v in (0, 3):
+        whole = views.mutated(base, v, 12_345, len(base))
+        assert len(whole) != len(base)
+        for stretch in (7, 16, 1_000, 50_021):
+            assert views.mutated(base, v, 12_345, stretch) == whole
+    long = np.tile(base, 40)
+    tracemalloc.start()
+    views.mutated(long, 1, 12_345)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 16 * len(long)  # the whole at once takes over 80 bytes a letter
+    assert views.mutated(np.zeros(0, np.uint8), 1, 12_345) == b""
