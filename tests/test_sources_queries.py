@@ -213,3 +213,12 @@ def test_copies_of_a_reference_are_made_in_stretches():
     tracemalloc.stop()
     assert peak < 16 * len(long)  # the whole at once takes over 80 bytes a letter
     assert views.mutated(np.zeros(0, np.uint8), 1, 12_345) == b""
+
+
+def test_variant_counts_equal_their_sql_and_the_collection(spark, con, sf):
+    got = queries.queries()["variant_stats"](spark, sf).toPandas()
+    assert rows_of(got) == rows_of(con.execute(queries.oracle_sql()["variant_stats"]).df())
+    kept = queries.workloads.collection(spark, sf, "random100").selectExpr("count(*)", "sum(length(seq))").first()
+    bases = queries.queries()["w_variant_bases"](spark, sf)
+    assert tuple(bases.first()) == tuple(kept)
+    assert "Scan parquet" not in bases._jdf.queryExecution().toString().split("Physical Plan")[-1]  # nothing is written first
