@@ -16,6 +16,7 @@ def test_pieces_of_copies_are_compressed_together(spark):
     items = spark.createDataFrame(rows, "item_no long, seq_id string, start long, seq string").coalesce(1)
     sent = cut_items(items, 4000, 100, 40 * 4000)
     assert sent.agg(F.sum(F.length("pieces"))).first()[0] < 40 * 20_000 / 8
+    assert sent.rdd.getNumPartitions() == int(spark.conf.get("spark.sql.shuffle.partitions"))
     got = {}
     for shard in range(5):
         numbers, names, texts = joined(sent.filter(F.col("shard") == shard).toArrow())
